@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+from .decontam import op7_winnowing_decontamination
 from .sharding import op6_kd_tree_sharding
 
 QUERIES = {
+    "op7_winnowing_decontamination": op7_winnowing_decontamination,
     "op6_kd_tree_sharding": op6_kd_tree_sharding,
 }
 ORACLES: dict[str, str] = {}
