@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 from .decontam import op7_winnowing_decontamination
+from .media import op1_media_sniffing
 from .packing import op5_best_fit_packing
 from .sharding import op6_kd_tree_sharding
 
 QUERIES = {
+    "op1_media_sniffing": op1_media_sniffing,
     "op5_best_fit_packing": op5_best_fit_packing,
     "op7_winnowing_decontamination": op7_winnowing_decontamination,
     "op6_kd_tree_sharding": op6_kd_tree_sharding,
