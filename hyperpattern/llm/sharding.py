@@ -11,10 +11,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
+from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import ranked, table, text_or_empty, written
+from .shared import ranked, table, text_or_empty
 
 DIM_BITS, TIE_BITS, BIN_BITS = 20, 40, 12
 
@@ -147,7 +148,7 @@ def shard_documents(docs: DataFrame, shards: int = 24) -> DataFrame:
         (raw - F.octet_length(F.replace(text, F.lit("\n"), F.lit("")))).cast("long").alias("_lines"),
         (raw - F.octet_length(F.replace(text, F.lit(" "), F.lit("")))).cast("long").alias("_spaces"),
     )
-    points = written(points, "shard-points")
+    points = points.persist(StorageLevel.MEMORY_AND_DISK)  # read by every pass; a lost block is made again from the documents
     out = assign_shards(points, ["_bytes", "_wide", "_lines", "_spaces"], "size", "_group", ["doc_id"], shards)
     out = ranked(out.select("doc_id", "size", "text_crc32", "shard"), "shard", ["doc_id", "text_crc32", "size"], "slot")
     return out.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), F.col("shard").cast("int").alias("shard"), "slot", F.lit(None).cast("int").alias("grown_shard"))
