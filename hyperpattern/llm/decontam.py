@@ -18,6 +18,8 @@ SPAN, GRAM = 13, 8
 WINDOW = SPAN - GRAM + 1
 #: A word of the contract, after lower-casing A-Z (fixed value).
 WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+#: The same words before lower-casing, for counting.
+ANY_WORD = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -27,20 +29,38 @@ def words(text: Column) -> Column:
     return F.regexp_extract_all(F.when(plain, F.lower(text)).otherwise(F.translate(text, UPPER, LOWER)), F.lit(WORD), F.lit(0))
 
 
-def _runs(array: Column, n: int, make) -> Column:
-    """make(i) for each position i (from 1) at which n elements begin."""
-    last = F.size(array) - n + 1
-    return F.when(last >= 1, F.transform(F.sequence(F.lit(1), last), make)).otherwise(F.array())
+def _pairs(array: Column, apart: int, make) -> Column:
+    """make(x, y) for all elements x and y that stand `apart` places from each other."""
+    n = F.greatest(F.size(array) - apart, F.lit(0))
+    return F.zip_with(F.slice(array, 1, n), F.slice(array, apart + 1, n), make)
 
 
-def gram_hashes(array: Column, n: int) -> Column:
-    return _runs(array, n, lambda i: F.xxhash64(*[F.element_at(array, i + j) for j in range(n)]))
+def _held(df: DataFrame, name: str, value: Column) -> DataFrame:
+    """df with a column computed once for each row; the optimizer doesn't copy an exploded column into the lambdas that use it."""
+    return df.select("*", F.explode(F.array(value)).alias(name))
 
 
-def winnowed(hashes: Column) -> Column:
-    """Minima of WINDOW consecutive hashes, and the minimum of a shorter sequence."""
-    minima = _runs(hashes, WINDOW, lambda i: F.array_min(F.slice(hashes, i, WINDOW)))
-    return F.array_distinct(F.when(F.size(hashes) < WINDOW, F.array_compact(F.array(F.array_min(hashes)))).otherwise(minima))
+def with_gram_hashes(df: DataFrame, n: int) -> DataFrame:
+    """df (with words w) with h: the hash of the n words from each place, made of hashes of runs of half the length."""
+    df = _held(df, "_h1", F.transform("w", lambda x: F.xxhash64(x)))
+    have = 1
+    while have < n:
+        step = min(have, n - have)
+        df = _held(df, f"_h{have + step}", _pairs(F.col(f"_h{have}"), step, lambda x, y: F.xxhash64(x, y)))
+        have += step
+    return df.withColumnRenamed(f"_h{n}", "h").drop(*[c for c in df.columns if c.startswith("_h") and c != f"_h{n}"])
+
+
+def with_winnowed(df: DataFrame) -> DataFrame:
+    """df (with hashes h) with marks: the minima of WINDOW consecutive hashes, and the minimum of a shorter sequence."""
+    df = _held(df, "_m1", F.col("h"))
+    have = 1
+    while have < WINDOW:
+        step = min(have, WINDOW - have)
+        df = _held(df, f"_m{have + step}", _pairs(F.col(f"_m{have}"), step, lambda x, y: F.least(x, y)))
+        have += step
+    marks = F.when(F.size("h") < WINDOW, F.array_compact(F.array(F.array_min("h")))).otherwise(F.col(f"_m{WINDOW}"))
+    return df.withColumn("marks", F.array_distinct(marks)).drop(*[c for c in df.columns if c.startswith("_m")])
 
 
 def _window_text(array: Column, start: Column, n) -> Column:
@@ -66,18 +86,17 @@ def hits(docs: DataFrame, key: list[str], windows: DataFrame) -> DataFrame:
         cut = of_n.select("window", F.split("window", " ").alias("w"))
         full = n == SPAN
         gram = GRAM if full else n
-        hashes = lambda frame: frame.withColumn("h", gram_hashes(F.col("w"), gram))
-        marks = lambda full: winnowed(F.col("h")) if full else F.array_distinct("h")
-        prints = written(hashes(cut).select(F.explode(marks(full)).alias("f")).distinct(), "benchmark-prints")
-        split = docs.select(*key, words(text_or_empty()).alias("w"))
-        split = hashes(split.where(F.size("w") >= gram))
-        shared = split.select(*key, F.explode(marks(full)).alias("f")).join(small(prints), "f")
+        marked = lambda frame: with_winnowed(with_gram_hashes(frame, gram)) if full else with_gram_hashes(frame, gram).withColumn("marks", F.array_distinct("h"))  # noqa: E731, B023
+        prints = written(marked(cut).select(F.explode("marks").alias("f")).distinct(), "benchmark-prints")
+        split = _held(docs, "w", words(text_or_empty())).drop("text").where(F.size("w") >= gram)
+        shared = marked(split).select(*key, F.explode("marks").alias("f")).join(small(prints), "f")
         shared = written(shared.groupBy(*key).agg(F.collect_set("f").alias("fs")), "shared-prints")
-        again = docs.join(small(shared), _same(docs, shared, key)).select(*[docs[k] for k in key], words(text_or_empty(docs["text"])).alias("w"), "fs")
-        again = hashes(again)
-        near = F.flatten(F.transform("h", lambda h, i: F.when(F.array_contains("fs", h), F.sequence(F.greatest(F.lit(1), i + 1 - (n - gram)), i + 1)).otherwise(F.array().cast("array<int>"))))
-        starts = F.filter(F.array_distinct(near), lambda s: s <= F.size("w") - n + 1)
-        spots = again.withColumn("starts", starts).select(*key, "w", F.explode("starts").alias("s")).select(*key, "s", _window_text(F.col("w"), F.col("s"), F.lit(n)).alias("window"))
+        again = docs.join(small(shared), _same(docs, shared, key)).select(*[docs[k] for k in key], "text", "fs")
+        again = with_gram_hashes(_held(again, "w", words(text_or_empty())).drop("text"), gram)
+        places = F.filter(F.transform("h", lambda h, i: F.when(F.array_contains("fs", h), i + 1)), lambda i: i.isNotNull())
+        again = again.select(*key, "w", F.explode(places).alias("at"))
+        spots = again.select(*key, "w", F.explode(F.sequence(F.greatest(F.lit(1), F.col("at") - (n - gram)), F.least(F.col("at"), F.greatest(F.lit(1), F.size("w") - n + 1)))).alias("s"))
+        spots = spots.select(*key, "s", _window_text(F.col("w"), F.col("s"), F.lit(n)).alias("window"))
         of_n = written(of_n, "benchmark-windows")
         found.append(spots.join(small(of_n), "window").select(*key, "s", "n", "window"))
     out = found[0]
@@ -102,7 +121,7 @@ def contamination(docs: DataFrame, bench: DataFrame, id_col: str = "item_id") ->
     docs = docs.select("doc_id", "text", F.xxhash64(text_or_empty()).alias("text_hash"))
     key = ["doc_id", "text_hash"]
     windows = written(benchmark_windows(bench, id_col), "benchmark-items")
-    sizes = docs.select(*key, F.size(words(text_or_empty())).cast("long").alias("n_words"))
+    sizes = docs.select(*key, F.size(F.regexp_extract_all(text_or_empty(), F.lit(ANY_WORD), F.lit(0))).cast("long").alias("n_words"))
     if windows.isEmpty():
         return _with_result(sizes, None)
     spots = written(hits(docs, key, windows).distinct(), "benchmark-hits")
