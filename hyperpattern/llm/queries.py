@@ -6,9 +6,11 @@ from .decontam import op7_winnowing_decontamination
 from .media import op1_media_sniffing
 from .packing import op5_best_fit_packing
 from .sharding import op6_kd_tree_sharding
+from .toxicity import op4_toxicity_neighbours
 from .warc import op3_warc_reassembly
 
 QUERIES = {
+    "op4_toxicity_neighbours": op4_toxicity_neighbours,
     "op3_warc_reassembly": op3_warc_reassembly,
     "op1_media_sniffing": op1_media_sniffing,
     "op5_best_fit_packing": op5_best_fit_packing,
