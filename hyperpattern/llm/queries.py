@@ -4,12 +4,14 @@ from __future__ import annotations
 
 from .decontam import op7_winnowing_decontamination
 from .media import op1_media_sniffing
+from .near_dup import op8_probminhash_near_duplicates
 from .packing import op5_best_fit_packing
 from .sharding import op6_kd_tree_sharding
 from .toxicity import op4_toxicity_neighbours
 from .warc import op3_warc_reassembly
 
 QUERIES = {
+    "op8_probminhash_near_duplicates": op8_probminhash_near_duplicates,
     "op4_toxicity_neighbours": op4_toxicity_neighbours,
     "op3_warc_reassembly": op3_warc_reassembly,
     "op1_media_sniffing": op1_media_sniffing,

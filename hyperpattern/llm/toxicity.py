@@ -1,6 +1,6 @@
 """Toxicity from the nearest labelled examples by exact TF-IDF cosine.
 
-Terms are words and the 4- and 5-byte beginnings of longer words. The labelled sample, of at most EXAMPLES rows of each
+Terms are words and the 4- to 7-byte beginnings of longer words. The labelled sample, of at most EXAMPLES rows of each
 label, gives the vocabulary (terms tied to the label by chi-square) and the examples; document frequencies come from all
 documents. The examples are an inverted index whose postings lie in blocks with a largest weight for each term. A
 document's blocks are taken in order of the bound that these give on a cosine, and the search ends when no block left
@@ -24,8 +24,9 @@ from .shared import small, table, text_or_empty, written
 #: Bounds of the fitted part: labelled rows of each label, and terms.
 EXAMPLES, TERMS = 8000, 2048
 NEIGHBOURS, BLOCK, PRIOR_WEIGHT = 16, 64, 0.25
-PREFIXES = (4, 5)
-CHI_SQUARE, LEAST_ROWS = 20.0, 4
+PREFIXES = (4, 5, 6, 7)
+#: A term is kept if it is tied to the label this strongly: chi-square, rows with label 1 (and their share), and how many times commoner there.
+CHI_SQUARE, LEAST_ROWS, LEAST_SHARE, RATIO = 20.0, 4, 1 / 250, 5
 
 
 def terms(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -217,11 +218,12 @@ def fit(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES, n_terms: i
         pos = np.bincount(back, y[doc[first]], len(known)).astype(np.int64)
         return [pa.array(known.view(np.int64)), pa.array(pos), pa.array(np.bincount(back, minlength=len(known)).astype(np.int64) - pos)]
 
-    counted = _batched(by_label, sample, ["toxic", "text"], "term long, pos long, neg long").groupBy("term").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg"))
+    distinct = sample.dropDuplicates(["name", "toxic"])  # copies of a text are one witness
+    counted = _batched(by_label, distinct, ["toxic", "text"], "term long, pos long, neg long").groupBy("term").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg"))
     a, b = F.col("pos").cast("double"), F.col("neg").cast("double")
     c, d = n[1] - a, n[0] - b
     chi = (n[0] + n[1]) * F.pow(a * d - b * c, F.lit(2.0)) / ((a + b) * (c + d) * float(n[1]) * float(n[0]) + 1e-9)
-    tied = counted.where((a / n[1] > 3 * b / n[0]) & (a >= LEAST_ROWS)).select("term", chi.alias("chi")).where(F.col("chi") >= CHI_SQUARE)
+    tied = counted.where((a / n[1] > RATIO * b / n[0]) & (a >= max(LEAST_ROWS, n[1] * LEAST_SHARE))).select("term", chi.alias("chi")).where(F.col("chi") >= CHI_SQUARE)
     chosen = [r["term"] for r in tied.orderBy(F.desc("chi"), "term").limit(n_terms).collect()]  # at most n_terms
     hashes = np.sort(np.array(chosen, np.int64).view(np.uint64))
     if not len(hashes):
