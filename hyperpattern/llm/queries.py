@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from .decontam import op7_winnowing_decontamination
+from .html_text import op9_nearest_url_extraction
 from .line_dedup import op2_fuzzy_line_dedup
 from .media import op1_media_sniffing
 from .near_dup import op8_probminhash_near_duplicates
@@ -12,6 +13,7 @@ from .toxicity import op4_toxicity_neighbours
 from .warc import op3_warc_reassembly
 
 QUERIES = {
+    "op9_nearest_url_extraction": op9_nearest_url_extraction,
     "op2_fuzzy_line_dedup": op2_fuzzy_line_dedup,
     "op8_probminhash_near_duplicates": op8_probminhash_near_duplicates,
     "op4_toxicity_neighbours": op4_toxicity_neighbours,
