@@ -41,26 +41,39 @@ def components(edges: DataFrame) -> DataFrame:
     return roots if roots is not None else edges.select(F.col("a").alias("node"), F.col("b").alias("root"))
 
 
+#: Rounds in which members are compared with a few of their bucket, and with how many.
+FEW_ROUNDS, FEW = 3, 8
+
+
 def linked(bands: DataFrame, verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
     """node, root of all nodes with a verified link. bands: a written table key, node; verify keeps the pairs (a, b) that are links.
 
-    Members of a bucket are first compared with its smallest node, then with its largest, and only members of buckets
-    that still hold several components are compared with each other, across components. A pair that is left out is
-    already connected, so components are those of all verified pairs.
+    Members of a bucket are first compared with its smallest node. Then, for a few rounds, those outside the bucket's
+    largest component are compared with some of it, drawn by hash. Last, whatever still lies in different components of
+    one bucket is compared pair by pair, so a pair that is never compared is already connected, and the components are
+    those of all verified pairs. The rounds only spare comparisons inside a large group.
     """
-    shared = bands.groupBy("key").agg(F.min("node").alias("first"), F.max("node").alias("last")).where("first < last")
-    shared = written(shared, "buckets")
-    members = written(bands.join(small(shared), "key"), "members")
-    edges, roots, tried = None, None, None
-    for lead in ("first", "last"):
-        pairs = members.select(F.col("node").alias("a"), F.col(lead).alias("b")) if roots is None else _apart(members, roots).select(F.col("node").alias("a"), F.col(lead).alias("b"), "root", F.col(f"root_{lead}").alias("_r")).where("root <> _r")
-        pairs = pairs.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-        pairs = written(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), "pairs")
-        tried = pairs if tried is None else tried.unionByName(pairs)
-        found = written(verify(pairs), "links")
-        edges = found if edges is None else edges.unionByName(found)
+    shared = written(bands.groupBy("key").agg(F.min("node").alias("first"), F.max("node").alias("last")).where("first < last"), "buckets")
+    members = written(bands.join(small(shared), "key").select("key", "node", "first"), "members")
+    tried = written(_pairs(members, "first"), "pairs")
+    edges = written(verify(tried), "links")
+    roots = components(edges)
+    for r in range(FEW_ROUNDS):
+        apart = written(_apart(members, roots), "apart")
+        if apart.isEmpty():
+            return roots
+        most = apart.groupBy("key", "root").agg(F.count("*").alias("n")).groupBy("key").agg(F.max_by("root", F.struct("n", "root")).alias("main"))
+        of_main = apart.join(most, "key")
+        draws = [F.min_by("node", F.xxhash64("node", F.lit(r * FEW + i))).alias(f"_m{i}") for i in range(FEW)]
+        drawn = of_main.where("root = main").groupBy("key").agg(*draws)
+        outside = of_main.where("root <> main").join(drawn, "key").select("node", F.explode(F.array_distinct(F.array(*[f"_m{i}" for i in range(FEW)]))).alias("other"))
+        pairs = written(_pairs(outside, "other").join(tried, ["a", "b"], "left_anti"), "pairs")
+        if pairs.isEmpty():
+            break
+        tried = written(tried.unionByName(pairs), "tried-pairs")
+        edges = written(edges.unionByName(verify(pairs)), "links")
         roots = components(edges)
-    apart = written(_apart(members, roots).select("key", "node", "root"), "apart")
+    apart = written(_apart(members, roots), "apart")
     rest = apart.alias("x").join(apart.alias("y"), (F.col("x.key") == F.col("y.key")) & (F.col("x.root") < F.col("y.root")))
     rest = rest.select(F.greatest("x.node", "y.node").alias("a"), F.least("x.node", "y.node").alias("b")).distinct().join(tried, ["a", "b"], "left_anti")
     rest = written(rest, "pairs")
@@ -69,11 +82,12 @@ def linked(bands: DataFrame, verify: Callable[[DataFrame], DataFrame]) -> DataFr
     return components(edges.unionByName(verify(rest)))
 
 
+def _pairs(frame: DataFrame, other: str) -> DataFrame:
+    return frame.where(F.col("node") != F.col(other)).select(F.greatest("node", other).alias("a"), F.least("node", other).alias("b")).distinct()
+
+
 def _apart(members: DataFrame, roots: DataFrame) -> DataFrame:
-    """Members of buckets with several components, with their roots and those of the first and last node."""
-    for c in ("node", "first", "last"):
-        name = "root" if c == "node" else f"root_{c}"
-        side = roots.select(F.col("node").alias(c), F.col("root").alias(name))
-        members = members.join(side, c, "left").withColumn(name, F.coalesce(name, c))
-    mixed = members.groupBy("key").agg(F.min("root").alias("_lo"), F.max("root").alias("_hi")).where("_lo < _hi").select("key")
-    return members.join(mixed, "key", "left_semi")
+    """key, node, root of members of buckets that hold several components."""
+    rooted = members.join(small(roots) if hasattr(roots, "_written_path") else roots, "node", "left").select("key", "node", F.coalesce("root", "node").alias("root"))
+    mixed = rooted.groupBy("key").agg(F.min("root").alias("_lo"), F.max("root").alias("_hi")).where("_lo < _hi").select("key")
+    return rooted.join(mixed, "key", "left_semi")

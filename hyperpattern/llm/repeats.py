@@ -236,12 +236,10 @@ def repeated_starts(texts: DataFrame, total: int, length: int) -> DataFrame | No
     # equal runs are repeated as a whole; one of each stands for all in what follows
     kinds = written(runs.groupBy("digest").agg(F.count("*").alias("times"), F.first("least").alias("least"), F.first("n").alias("n"), F.first("bytes").alias("bytes")), "distinct-runs")
     whole = kinds.where("times > 1").select("digest", F.lit(0).alias("lo"), F.col("n").cast("int").alias("hi"))
-    # a run is compared only with runs that have its least 8-gram
-    company = kinds.groupBy("least").agg(F.count("*").alias("c")).where("c > 1").select("least")
-    mixed = kinds.join(company, "least", "left_semi")
     starts = kinds.agg(F.sum("n")).first()[0]
     buckets = max(least_buckets, -(-starts // PER_BUCKET))
-    mixed = mixed.select(F.pmod(F.xxhash64("least"), F.lit(buckets)).cast("int").alias("bucket"), "digest", "bytes")
+    # runs are compared with runs of the same least 8-gram, and with themselves, since a text may repeat itself
+    mixed = kinds.select(F.pmod(F.xxhash64("least"), F.lit(buckets)).cast("int").alias("bucket"), "digest", "bytes")
     found = mixed.groupBy("bucket").applyInArrow(_repeated_strings(length), "digest binary, lo int, hi int")
     hit = written(whole.unionByName(found), "repeated-runs")
     return runs.select("k", "at", "digest").join(small(hit), "digest").select("k", (F.col("at") + F.col("lo")).alias("lo"), (F.col("at") + F.col("hi")).alias("hi"))
