@@ -42,21 +42,31 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 #: Rounds in which members are compared with a few of their bucket, and with how many.
-FEW_ROUNDS, FEW = 3, 8
+FEW_ROUNDS, FEW = 2, 4
 
 
-def linked(bands: DataFrame, verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
-    """node, root of all nodes with a verified link. bands: a written table key, node; verify keeps the pairs (a, b) that are links.
+def verified(pairs: DataFrame, sets_of: Callable[[DataFrame], DataFrame], threshold: float) -> DataFrame:
+    """The pairs (a, b) whose sets have a Jaccard similarity of at least the threshold, by exact intersection."""
+    ids = written(pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct(), "candidates")
+    sets = written(sets_of(ids), "candidate-sets")
+    left = sets.select(F.col("node").alias("a"), F.col("values").alias("x"))
+    right = sets.select(F.col("node").alias("b"), F.col("values").alias("y"))
+    both = F.size(F.array_intersect("x", "y"))
+    return written(pairs.join(left, "a").join(right, "b").where(both >= threshold * (F.size("x") + F.size("y") - both)).select("a", "b"), "links")
+
+
+def linked(bands: DataFrame, sets_of: Callable[[DataFrame], DataFrame], threshold: float) -> DataFrame:
+    """node, root of all nodes with a link. bands: a written table key, node; sets_of(ids) gives node, values (distinct longs) of a written table of nodes.
 
     Members of a bucket are first compared with its smallest node. Then, for a few rounds, those outside the bucket's
     largest component are compared with some of it, drawn by hash. Last, whatever still lies in different components of
-    one bucket is compared pair by pair, so a pair that is never compared is already connected, and the components are
-    those of all verified pairs. The rounds only spare comparisons inside a large group.
+    one bucket is compared pair by pair. A pair that is never compared is already connected, or can't be a link: of two
+    sets that meet only in elements that others have too, the smaller number of such elements bounds what they share.
     """
     shared = written(bands.groupBy("key").agg(F.min("node").alias("first"), F.max("node").alias("last")).where("first < last"), "buckets")
     members = written(bands.join(small(shared), "key").select("key", "node", "first"), "members")
     tried = written(_pairs(members, "first"), "pairs")
-    edges = written(verify(tried), "links")
+    edges = verified(tried, sets_of, threshold)
     roots = components(edges)
     for r in range(FEW_ROUNDS):
         apart = written(_apart(members, roots), "apart")
@@ -71,15 +81,28 @@ def linked(bands: DataFrame, verify: Callable[[DataFrame], DataFrame]) -> DataFr
         if pairs.isEmpty():
             break
         tried = written(tried.unionByName(pairs), "tried-pairs")
-        edges = written(edges.unionByName(verify(pairs)), "links")
+        edges = written(edges.unionByName(verified(pairs, sets_of, threshold)), "links")
         roots = components(edges)
     apart = written(_apart(members, roots), "apart")
-    rest = apart.alias("x").join(apart.alias("y"), (F.col("x.key") == F.col("y.key")) & (F.col("x.root") < F.col("y.root")))
+    if apart.isEmpty():
+        return roots
+    sets = written(sets_of(written(apart.select("node").distinct(), "candidates")), "candidate-sets")
+    elements = sets.select("node", F.explode("values").alias("v"))
+    met = elements.groupBy("v").agg(F.count("*").alias("n")).where("n > 1").select("v")
+    common = elements.join(met, "v", "left_semi").groupBy("node").agg(F.count("*").alias("common"))
+    sizes = written(sets.select("node", F.size("values").alias("size")).join(common, "node"), "common-elements")
+    able = apart.join(sizes, "node").where(F.col("common") >= threshold * F.col("size"))
+    able = able.join(able.groupBy("node").agg(F.collect_list("key").alias("keys")), "node")
+    x, y = able.alias("x"), able.alias("y")
+    both = F.least("x.common", "y.common")
+    near = both >= threshold * (F.col("x.size") + F.col("y.size") - both)
+    once = F.col("x.key") == F.array_min(F.array_intersect("x.keys", "y.keys"))  # a pair that shares buckets is met in one of them
+    rest = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.root") < F.col("y.root")) & near & once)
     rest = rest.select(F.greatest("x.node", "y.node").alias("a"), F.least("x.node", "y.node").alias("b")).distinct().join(tried, ["a", "b"], "left_anti")
     rest = written(rest, "pairs")
     if rest.isEmpty():
         return roots
-    return components(edges.unionByName(verify(rest)))
+    return components(edges.unionByName(verified(rest, sets_of, threshold)))
 
 
 def _pairs(frame: DataFrame, other: str) -> DataFrame:

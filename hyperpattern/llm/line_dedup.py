@@ -74,16 +74,11 @@ def components_of_lines(docs: DataFrame, threshold: float = THRESHOLD) -> DataFr
     # one occurrence stands for all: the band keys are of the line's bytes alone, so copies give equal rows
     keys = written(band_keys(lines.select(F.xxhash64("line").alias("node"), "line")).distinct().join(known.where("lo <> hi").select("node"), "node", "left_anti").select("key", "node"), "line-bands")
 
-    def verify(pairs: DataFrame) -> DataFrame:
-        ids = written(pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct(), "candidates")
+    def sets_of(ids: DataFrame) -> DataFrame:
         texts = lines.select(F.xxhash64("line").alias("node"), "line").join(small(ids), "node", "left_semi").dropDuplicates(["node"])
-        sets = written(texts.select("node", all_shingles(F.encode("line", "UTF-8")).alias("s")), "line-shingles")
-        left = sets.select(F.col("node").alias("a"), F.col("s").alias("x"))
-        right = sets.select(F.col("node").alias("b"), F.col("s").alias("y"))
-        both = F.size(F.array_intersect("x", "y"))
-        return pairs.join(left, "a").join(right, "b").where(both >= threshold * (F.size("x") + F.size("y") - both)).select("a", "b")
+        return texts.select("node", all_shingles(F.encode("line", "UTF-8")).alias("values"))
 
-    roots = linked(keys, verify)
+    roots = linked(keys, sets_of, threshold)
     alone = clear.where("n > 1").select("node").join(roots.select("node"), "node", "left_anti").select("node", F.col("node").alias("root"))
     return written(roots.unionByName(alone), "line-roots")
 

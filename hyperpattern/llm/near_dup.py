@@ -151,16 +151,10 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
     single, copies = distinct_texts(docs)
     keys = written(signatures(single, bands, rows).select(F.explode("values").alias("key"), "node"), "bands")
 
-    def verify(pairs: DataFrame) -> DataFrame:
-        ids = written(pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct(), "candidates")
-        sets = written(shingle_sets(single.join(small(ids), "node", "left_semi")), "shingle-sets")
-        left = sets.select(F.col("node").alias("a"), F.col("values").alias("x"))
-        right = sets.select(F.col("node").alias("b"), F.col("values").alias("y"))
-        both = F.size(F.array_intersect("x", "y"))
-        near = both >= threshold * (F.size("x") + F.size("y") - both)
-        return pairs.join(left, "a").join(right, "b").where(near).select("a", "b")
-
-    roots = linked(keys, verify)
+    def sets_of(ids: DataFrame) -> DataFrame:
+        return shingle_sets(single.join(small(ids), "node", "left_semi"))
+
+    roots = linked(keys, sets_of, threshold)
     roots = written(roots, "near-roots")
     of_copy = copies.join(small(roots), "node", "left").select("doc_id", F.coalesce("root", "node").alias("class_id"))
     of_rest = roots.select(F.col("node").alias("doc_id"), F.col("root").alias("class_id"))

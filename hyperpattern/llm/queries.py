@@ -2,17 +2,22 @@
 
 from __future__ import annotations
 
+import corpus_pipeline
+
 from .decontam import op7_winnowing_decontamination
 from .html_text import op9_nearest_url_extraction
 from .line_dedup import op2_fuzzy_line_dedup
 from .media import op1_media_sniffing
 from .near_dup import op8_probminhash_near_duplicates
 from .packing import op5_best_fit_packing
+from .repeats import op10_difference_cover_repeats
 from .sharding import op6_kd_tree_sharding
 from .toxicity import op4_toxicity_neighbours
 from .warc import op3_warc_reassembly
 
 QUERIES = {
+    "pipeline": corpus_pipeline.run,
+    "op10_difference_cover_repeats": op10_difference_cover_repeats,
     "op9_nearest_url_extraction": op9_nearest_url_extraction,
     "op2_fuzzy_line_dedup": op2_fuzzy_line_dedup,
     "op8_probminhash_near_duplicates": op8_probminhash_near_duplicates,
