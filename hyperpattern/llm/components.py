@@ -45,18 +45,18 @@ def components(edges: DataFrame) -> DataFrame:
 FEW_ROUNDS, FEW = 2, 4
 
 
-def verified(pairs: DataFrame, sets_of: Callable[[DataFrame], DataFrame], threshold: float) -> DataFrame:
+def verified(pairs: DataFrame, texts: DataFrame, sets: Callable[[DataFrame], DataFrame], threshold: float) -> DataFrame:
     """The pairs (a, b) whose sets have a Jaccard similarity of at least the threshold, by exact intersection."""
     ids = written(pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct(), "candidates")
-    sets = written(sets_of(ids), "candidate-sets")
-    left = sets.select(F.col("node").alias("a"), F.col("values").alias("x"))
-    right = sets.select(F.col("node").alias("b"), F.col("values").alias("y"))
+    found = written(sets(texts.join(small(ids), "node", "left_semi")), "candidate-sets")
+    left = found.select(F.col("node").alias("a"), F.col("values").alias("x"))
+    right = found.select(F.col("node").alias("b"), F.col("values").alias("y"))
     both = F.size(F.array_intersect("x", "y"))
     return written(pairs.join(left, "a").join(right, "b").where(both >= threshold * (F.size("x") + F.size("y") - both)).select("a", "b"), "links")
 
 
-def linked(bands: DataFrame, sets_of: Callable[[DataFrame], DataFrame], threshold: float) -> DataFrame:
-    """node, root of all nodes with a link. bands: a written table key, node; sets_of(ids) gives node, values (distinct longs) of a written table of nodes.
+def linked(bands: DataFrame, texts_of: Callable[[DataFrame], DataFrame], sets: Callable[[DataFrame], DataFrame], threshold: float) -> DataFrame:
+    """node, root of all nodes with a link. bands: a written table key, node; texts_of(ids) gives the texts of a written table of nodes, once; sets(texts) gives node, values (distinct longs).
 
     Members of a bucket are first compared with its smallest node. Then, for a few rounds, those outside the bucket's
     largest component are compared with some of it, drawn by hash. Last, whatever still lies in different components of
@@ -65,8 +65,9 @@ def linked(bands: DataFrame, sets_of: Callable[[DataFrame], DataFrame], threshol
     """
     shared = written(bands.groupBy("key").agg(F.min("node").alias("first"), F.max("node").alias("last")).where("first < last"), "buckets")
     members = written(bands.join(small(shared), "key").select("key", "node", "first"), "members")
+    texts = written(texts_of(written(members.select("node").distinct(), "candidates")), "candidate-texts")
     tried = written(_pairs(members, "first"), "pairs")
-    edges = verified(tried, sets_of, threshold)
+    edges = verified(tried, texts, sets, threshold)
     roots = components(edges)
     for r in range(FEW_ROUNDS):
         apart = written(_apart(members, roots), "apart")
@@ -81,16 +82,16 @@ def linked(bands: DataFrame, sets_of: Callable[[DataFrame], DataFrame], threshol
         if pairs.isEmpty():
             break
         tried = written(tried.unionByName(pairs), "tried-pairs")
-        edges = written(edges.unionByName(verified(pairs, sets_of, threshold)), "links")
+        edges = written(edges.unionByName(verified(pairs, texts, sets, threshold)), "links")
         roots = components(edges)
     apart = written(_apart(members, roots), "apart")
     if apart.isEmpty():
         return roots
-    sets = written(sets_of(written(apart.select("node").distinct(), "candidates")), "candidate-sets")
-    elements = sets.select("node", F.explode("values").alias("v"))
-    met = elements.groupBy("v").agg(F.count("*").alias("n")).where("n > 1").select("v")
-    common = elements.join(met, "v", "left_semi").groupBy("node").agg(F.count("*").alias("common"))
-    sizes = written(sets.select("node", F.size("values").alias("size")).join(common, "node"), "common-elements")
+    of_apart = sets(texts.join(small(written(apart.select("node").distinct(), "candidates")), "node", "left_semi"))
+    elements = of_apart.select("node", F.explode("values").alias("v"))
+    met = written(elements.groupBy("v").agg(F.count("*").alias("n")).where("n > 1").select("v"), "common-elements")
+    sizes = elements.join(met.withColumn("met", F.lit(1)), "v", "left").groupBy("node").agg(F.count("*").alias("size"), F.count("met").alias("common"))
+    sizes = written(sizes, "common-sizes")
     able = apart.join(sizes, "node").where(F.col("common") >= threshold * F.col("size"))
     able = able.join(able.groupBy("node").agg(F.collect_list("key").alias("keys")), "node")
     x, y = able.alias("x"), able.alias("y")
@@ -102,7 +103,7 @@ def linked(bands: DataFrame, sets_of: Callable[[DataFrame], DataFrame], threshol
     rest = written(rest, "pairs")
     if rest.isEmpty():
         return roots
-    return components(edges.unionByName(verified(rest, sets_of, threshold)))
+    return components(edges.unionByName(verified(rest, texts, sets, threshold)))
 
 
 def _pairs(frame: DataFrame, other: str) -> DataFrame:

@@ -16,8 +16,8 @@ from .components import linked
 from .shared import small, table, text_or_empty, written
 
 SHINGLE, THRESHOLD = 9, 0.8
-BAND_BITS, ROWS = 3, 2
-FEW_WORDS = 12
+BAND_BITS, ROWS = 3, 3
+FEW_WORDS = 24
 #: The signature's shingles: SHINGLE characters from the first character of each word on.
 ANCHORED = r"(?s)(?=(?<![^\s])([^\s].{0,%d}))" % (SHINGLE - 1)
 
@@ -27,29 +27,31 @@ def _held(df: DataFrame, name: str, value: Column) -> DataFrame:
     return df.select("*", F.explode(F.array(value)).alias(name))
 
 
-def all_shingles(line: Column, size: int = SHINGLE) -> Column:
-    """Hashes of all runs of `size` bytes, each once; a shorter line is one shingle. line: binary column."""
+def all_shingles(line: str, size: int = SHINGLE) -> Column:
+    """Hashes of all runs of `size` bytes, each once; a shorter line is one shingle. line: a binary column that is held."""
     starts = F.sequence(F.lit(1), F.greatest(F.lit(1), F.octet_length(line) - (size - 1)))
     return F.array_distinct(F.transform(starts, lambda i: F.xxhash64(F.substring(line, i, F.lit(size)))))
 
 
+def shingle_sets(lines: DataFrame) -> DataFrame:
+    """node, values: the distinct shingle hashes of lines (node, line)."""
+    return _held(lines.select("node", "line"), "_bytes", F.col("line").cast("binary")).select("node", all_shingles("_bytes").alias("values"))
+
+
 def band_keys(lines: DataFrame) -> DataFrame:
     """key, node for lines (node, line)."""
-    words = F.regexp_extract_all(F.col("line"), F.lit(ANCHORED), F.lit(1))
-    some = _held(lines, "_w", words).withColumn("_bytes", F.encode("line", "UTF-8"))
-    hashes = F.when(F.size("_w") < FEW_WORDS, all_shingles(F.col("_bytes"))).otherwise(F.array_distinct(F.transform("_w", lambda w: F.xxhash64(w))))
-    some = _held(some.select("node", "_w", "_bytes"), "_h", F.sort_array(hashes)).select("node", "_h")
+    held = _held(_held(lines, "_w", F.regexp_extract_all(F.col("line"), F.lit(ANCHORED), F.lit(1))), "_bytes", F.when(F.size("_w") < FEW_WORDS, F.col("line").cast("binary")))
+    hashes = F.when(F.size("_w") < FEW_WORDS, all_shingles("_bytes")).otherwise(F.array_distinct(F.transform("_w", lambda w: F.xxhash64(w))))
+    some = _held(held.select("node", "_w", "_bytes"), "_h", F.sort_array(hashes)).select("node", "_h")
+    # hashes are sorted, so those of a part of the hash space stand together; the first of a part and the ROWS - 1 after it, as far as they are of that part, are its key
     part = lambda x: F.shiftright(x, 64 - BAND_BITS)
-    # the sorted hashes next to each other; a band's key is made of the first ROWS of its part
-    n = F.size("_h")
-    lead = F.transform(
-        "_h",
-        lambda x, i: F.when(
-            (i == 0) | (part(F.element_at("_h", F.greatest(i, F.lit(1)))) != part(x)),
-            F.when((i + 1 < n) & (part(F.element_at("_h", F.least(i + 2, n))) == part(x)), F.xxhash64(x, F.element_at("_h", F.least(i + 2, n)))).otherwise(F.xxhash64(x)),
-        ),
-    )
-    return some.select(F.explode(F.filter(lead, lambda k: k.isNotNull())).alias("key"), "node")
+    at = lambda i: F.try_element_at("_h", i)
+
+    def key(x: Column, i: Column) -> Column:
+        more = [F.when(part(at(i + 1 + k)) == part(x), at(i + 1 + k)) for k in range(1, ROWS)]
+        return F.when((i == 0) | (part(at(F.greatest(i, F.lit(1)))) != part(x)), F.xxhash64(x, *more))
+
+    return some.select(F.explode(F.filter(F.transform("_h", key), lambda k: k.isNotNull())).alias("key"), "node")
 
 
 def split_lines(docs: DataFrame) -> DataFrame:
@@ -74,11 +76,10 @@ def components_of_lines(docs: DataFrame, threshold: float = THRESHOLD) -> DataFr
     # one occurrence stands for all: the band keys are of the line's bytes alone, so copies give equal rows
     keys = written(band_keys(lines.select(F.xxhash64("line").alias("node"), "line")).distinct().join(known.where("lo <> hi").select("node"), "node", "left_anti").select("key", "node"), "line-bands")
 
-    def sets_of(ids: DataFrame) -> DataFrame:
-        texts = lines.select(F.xxhash64("line").alias("node"), "line").join(small(ids), "node", "left_semi").dropDuplicates(["node"])
-        return texts.select("node", all_shingles(F.encode("line", "UTF-8")).alias("values"))
+    def texts_of(ids: DataFrame) -> DataFrame:
+        return lines.select(F.xxhash64("line").alias("node"), "line").join(small(ids), "node", "left_semi").dropDuplicates(["node"])
 
-    roots = linked(keys, sets_of, threshold)
+    roots = linked(keys, texts_of, shingle_sets, threshold)
     alone = clear.where("n > 1").select("node").join(roots.select("node"), "node", "left_anti").select("node", F.col("node").alias("root"))
     return written(roots.unionByName(alone), "line-roots")
 

@@ -151,10 +151,7 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
     single, copies = distinct_texts(docs)
     keys = written(signatures(single, bands, rows).select(F.explode("values").alias("key"), "node"), "bands")
 
-    def sets_of(ids: DataFrame) -> DataFrame:
-        return shingle_sets(single.join(small(ids), "node", "left_semi"))
-
-    roots = linked(keys, sets_of, threshold)
+    roots = linked(keys, lambda ids: single.join(small(ids), "node", "left_semi"), shingle_sets, threshold)
     roots = written(roots, "near-roots")
     of_copy = copies.join(small(roots), "node", "left").select("doc_id", F.coalesce("root", "node").alias("class_id"))
     of_rest = roots.select(F.col("node").alias("doc_id"), F.col("root").alias("class_id"))

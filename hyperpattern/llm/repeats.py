@@ -27,7 +27,7 @@ from .shared import small, table, text_or_empty, written
 
 LENGTH, GRAM = 400, 8
 #: Entries that one bucket is meant to hold.
-PER_BUCKET = 2_000_000
+PER_BUCKET = 1_000_000
 U = np.uint64
 
 
@@ -61,8 +61,8 @@ def difference_cover(length: int) -> tuple[int, tuple[int, ...]]:
 def _places(starts: np.ndarray, total: int) -> tuple[np.ndarray, np.ndarray]:
     """For each byte of joined texts: its place in its text, and the bytes of the text from there on."""
     lengths = np.diff(starts)
-    at = np.arange(total) - np.repeat(starts[:-1], lengths)
-    return at, np.repeat(lengths, lengths) - 1 - at
+    at = np.arange(total, dtype=np.int32) - np.repeat(starts[:-1].astype(np.int32), lengths)
+    return at, np.repeat(lengths.astype(np.int32), lengths) - 1 - at
 
 
 def _lists(values: np.ndarray, counts: np.ndarray) -> pa.ListArray:
@@ -79,7 +79,7 @@ def sampled_names(texts: DataFrame, length: int, buckets: int) -> DataFrame:
         chosen = np.zeros(period, bool)
         chosen[list(residues)] = True
         for batch in batches:
-            for first, n in K.parts(batch.column(1), 4 << 20):
+            for first, n in K.parts(batch.column(1), 2 << 20):
                 part = batch.slice(first, n)
                 keys = part.column(0).to_pylist()
                 b, starts = K.joined(part.column(1))
@@ -159,7 +159,7 @@ def runs_of_starts(texts: DataFrame, length: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for first, n in K.parts(batch.column(1), 4 << 20):
+            for first, n in K.parts(batch.column(1), 1 << 20):
                 part = batch.slice(first, n)
                 b, starts = K.joined(part.column(1))
                 raw = b.tobytes()
