@@ -70,10 +70,10 @@ def _lists(values: np.ndarray, counts: np.ndarray) -> pa.ListArray:
 
 
 def sampled_names(texts: DataFrame, length: int, buckets: int) -> DataFrame:
-    """bucket, names (48 bits each), keys, counts, places: sampled tuples of many texts, dealt out by name."""
+    """bucket, chunk, names (48 bits each), keys, counts, places: sampled tuples of a chunk of texts (named by its first key), dealt out by name."""
     period, residues = difference_cover(length)
     tuple_bytes = length - period + 1
-    schema = "bucket int, names binary, keys array<binary>, counts array<int>, places binary"
+    schema = "bucket int, chunk binary, names binary, keys array<binary>, counts array<int>, places binary"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         chosen = np.zeros(period, bool)
@@ -97,16 +97,23 @@ def sampled_names(texts: DataFrame, length: int, buckets: int) -> DataFrame:
                     who, counts = np.unique(text[own], return_counts=True)
                     names = h[own].view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
                     places = at[s[own]].astype("<u4").view(np.uint8).reshape(-1, 4).T.tobytes()  # planes of bytes compress
-                    out.append((int(k), names, [keys[i] for i in who], counts.tolist(), places))
+                    out.append((int(k), keys[0], names, [keys[i] for i in who], counts.tolist(), places))
                 if out:
-                    kinds = (pa.int32(), pa.binary(), pa.list_(pa.binary()), pa.list_(pa.int32()), pa.binary())
-                    yield pa.RecordBatch.from_arrays([pa.array(c, kind) for c, kind in zip(zip(*out, strict=True), kinds, strict=True)], names=["bucket", "names", "keys", "counts", "places"])
+                    kinds = (pa.int32(), pa.binary(), pa.binary(), pa.list_(pa.binary()), pa.list_(pa.int32()), pa.binary())
+                    yield pa.RecordBatch.from_arrays([pa.array(c, kind) for c, kind in zip(zip(*out, strict=True), kinds, strict=True)], names=["bucket", "chunk", "names", "keys", "counts", "places"])
 
     return texts.select("k", "text").mapInArrow(run, schema)
 
 
+REPEATED = "chunk binary, keys array<binary>, counts array<int>, places binary"
+
+
+def _numbers(lists: pa.ChunkedArray) -> np.ndarray:
+    return np.concatenate([np.asarray(x.values) for x in lists])
+
+
 def _repeated_names(group: pa.Table) -> pa.Table:
-    """k, places of the samples whose name occurs twice or more in the bucket."""
+    """Of each row of the bucket, the samples whose name occurs twice or more in the bucket."""
     raw = np.concatenate([np.frombuffer(x.as_buffer(), np.uint8).reshape(-1, 6) for x in group.column("names")])
     name = np.zeros((len(raw), 8), np.uint8)
     name[:, :6] = raw
@@ -116,32 +123,39 @@ def _repeated_names(group: pa.Table) -> pa.Table:
     again = np.zeros(len(name), bool)
     again[order[1:][same]] = True
     again[order[:-1][same]] = True
-    place = np.concatenate([np.ascontiguousarray(np.frombuffer(x.as_buffer(), np.uint8).reshape(4, -1).T).view("<u4").ravel() for x in group.column("places")])
-    counts = np.concatenate([np.asarray(x.values) for x in group.column("counts")])
-    keys = pa.concat_arrays([x.values for x in group.column("keys")])
-    owner = np.repeat(np.arange(len(counts)), counts)
-    hit = np.bincount(owner[again], minlength=len(counts))
-    has = np.flatnonzero(hit)
-    return pa.table({"k": keys.take(pa.array(has)), "places": _lists(place[again].astype(np.int32), hit[has])})
-
-
-def starts_to_check(flags: DataFrame, period: int) -> DataFrame:
-    """k, lo, hi: stretches [lo, hi) of starts from which a repeated sample is less than a period away."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            los, his = [], []
-            for x in batch.column(1):
-                s = np.sort(np.asarray(x.values))
-                new = np.flatnonzero(np.diff(s, prepend=-(10**9)) > period)
-                los.append(np.maximum(s[new] - period + 1, 0).astype(np.int32))
-                his.append((s[np.append(new[1:], len(s)) - 1] + 1).astype(np.int32))
-            counts = np.array([len(x) for x in los], np.int64)
-            flat = lambda x: np.concatenate(x) if x else np.zeros(0, np.int32)
-            yield pa.RecordBatch.from_arrays([batch.column(0), _lists(flat(los), counts), _lists(flat(his), counts)], names=["k", "lo", "hi"])
+    out, at = [], 0
+    for chunk, keys, counts, places in zip(*(group.column(c) for c in ("chunk", "keys", "counts", "places")), strict=True):
+        counts = np.asarray(counts.values)
+        n = int(counts.sum())
+        hit = again[at : at + n]
+        at += n
+        if hit.any():
+            place = np.ascontiguousarray(np.frombuffer(places.as_buffer(), np.uint8).reshape(4, -1).T).view("<u4").ravel()
+            of_key = np.add.reduceat(hit.astype(np.int32), np.concatenate([[0], np.cumsum(counts)[:-1]]))
+            has = np.flatnonzero(of_key)
+            out.append((chunk.as_py(), keys.values.take(pa.array(has)).to_pylist(), of_key[has].tolist(), place[hit].astype("<i4").tobytes()))
+    kinds = (pa.binary(), pa.list_(pa.binary()), pa.list_(pa.int32()), pa.binary())
+    columns = list(zip(*out, strict=True)) or [()] * 4
+    return pa.table({n: pa.array(c, k) for n, c, k in zip(("chunk", "keys", "counts", "places"), columns, kinds, strict=True)})
+
+
+def _stretches(period: int):
+    def run(group: pa.Table) -> pa.Table:
+        """k, lo, hi for the texts of a chunk: stretches [lo, hi) of starts from which a repeated sample is less than a period away."""
+        keys = pa.concat_arrays([x.values for x in group.column("keys")])
+        names, who = np.unique(np.frombuffer(b"".join(keys.to_pylist()), "V16"), return_inverse=True)
+        owner = np.repeat(who, _numbers(group.column("counts")))
+        place = np.concatenate([np.frombuffer(x.as_buffer(), "<i4") for x in group.column("places")]).astype(np.int64)
+        order = np.lexsort((place, owner))
+        owner, place = owner[order], place[order]
+        new = np.ones(len(place), bool)
+        new[1:] = (owner[1:] != owner[:-1]) | (np.diff(place) > period)
+        lo = np.maximum(place[new] - period + 1, 0).astype(np.int32)
+        hi = (place[np.append(np.flatnonzero(new)[1:], len(place)) - 1] + 1).astype(np.int32)
+        counts = np.bincount(owner[new], minlength=len(names))
+        return pa.table({"k": pa.array([x.tobytes() for x in names], pa.binary()), "lo": _lists(lo, counts), "hi": _lists(hi, counts)})
 
-    grouped = flags.groupBy("k").agg(F.flatten(F.collect_list("places")).alias("places"))
-    return grouped.mapInArrow(run, "k binary, lo array<int>, hi array<int>")
+    return run
 
 
 def _least_ahead(x: np.ndarray, width: int) -> np.ndarray:
@@ -227,8 +241,8 @@ def repeated_starts(texts: DataFrame, total: int, length: int) -> DataFrame | No
     least_buckets = int(texts.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     buckets = max(least_buckets, -(-total * len(residues) // period // PER_BUCKET))
     named = sampled_names(texts, length, buckets)
-    flags = named.groupBy("bucket").applyInArrow(_repeated_names, "k binary, places array<int>")
-    stretches = written(starts_to_check(flags, period), "starts-to-check")
+    repeated = named.groupBy("bucket").applyInArrow(_repeated_names, REPEATED)
+    stretches = written(repeated.groupBy("chunk").applyInArrow(_stretches(period), "k binary, lo array<int>, hi array<int>"), "starts-to-check")
     if stretches.isEmpty():
         return None
     runs = runs_of_starts(texts.join(small(stretches), "k"), length)
