@@ -42,7 +42,9 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 #: Rounds in which members are compared with a few of their bucket, and with how many.
-FEW_ROUNDS, FEW = 2, 4
+FEW_ROUNDS, FEW = 1, 4
+#: Classes of elements, by hash, in which two sets' sizes bound what they share.
+CLASSES = 32
 
 
 def verified(pairs: DataFrame, texts: DataFrame, sets: Callable[[DataFrame], DataFrame], threshold: float) -> DataFrame:
@@ -60,8 +62,9 @@ def linked(bands: DataFrame, texts_of: Callable[[DataFrame], DataFrame], sets: C
 
     Members of a bucket are first compared with its smallest node. Then, for a few rounds, those outside the bucket's
     largest component are compared with some of it, drawn by hash. Last, whatever still lies in different components of
-    one bucket is compared pair by pair. A pair that is never compared is already connected, or can't be a link: of two
-    sets that meet only in elements that others have too, the smaller number of such elements bounds what they share.
+    one bucket is compared pair by pair. A pair that is never compared is already connected, or can't be a link: elements
+    that no other set has are in no intersection, and of the others, two sets share in each class at most what the one
+    with fewer has there.
     """
     shared = written(bands.groupBy("key").agg(F.min("node").alias("first"), F.max("node").alias("last")).where("first < last"), "buckets")
     members = written(bands.join(small(shared), "key").select("key", "node", "first"), "members")
@@ -90,13 +93,15 @@ def linked(bands: DataFrame, texts_of: Callable[[DataFrame], DataFrame], sets: C
     of_apart = sets(texts.join(small(written(apart.select("node").distinct(), "candidates")), "node", "left_semi"))
     elements = of_apart.select("node", F.explode("values").alias("v"))
     met = written(elements.groupBy("v").agg(F.count("*").alias("n")).where("n > 1").select("v"), "common-elements")
-    sizes = elements.join(met.withColumn("met", F.lit(1)), "v", "left").groupBy("node").agg(F.count("*").alias("size"), F.count("met").alias("common"))
+    counts = [F.count(F.when(F.pmod(F.col("v"), F.lit(CLASSES)) == i, F.col("met"))).cast("int") for i in range(CLASSES)]
+    sizes = elements.join(met.withColumn("met", F.lit(1)), "v", "left").groupBy("node").agg(F.count("*").alias("size"), F.count("met").alias("common"), F.array(*counts).alias("by_class"))
     sizes = written(sizes, "common-sizes")
     able = apart.join(sizes, "node").where(F.col("common") >= threshold * F.col("size"))
     able = able.join(able.groupBy("node").agg(F.collect_list("key").alias("keys")), "node")
     x, y = able.alias("x"), able.alias("y")
-    both = F.least("x.common", "y.common")
-    near = both >= threshold * (F.col("x.size") + F.col("y.size") - both)
+    reaches = lambda n: n >= threshold * (F.col("x.size") + F.col("y.size") - n)
+    by_class = F.aggregate(F.zip_with("x.by_class", "y.by_class", lambda i, j: F.least(i, j)), F.lit(0), lambda n, i: n + i)
+    near = reaches(F.least("x.common", "y.common")) & reaches(by_class)
     once = F.col("x.key") == F.array_min(F.array_intersect("x.keys", "y.keys"))  # a pair that shares buckets is met in one of them
     rest = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.root") < F.col("y.root")) & near & once)
     rest = rest.select(F.greatest("x.node", "y.node").alias("a"), F.least("x.node", "y.node").alias("b")).distinct().join(tried, ["a", "b"], "left_anti")

@@ -1,10 +1,9 @@
 """Fuzzy line deduplication with DataFrame operations only.
 
 Lines that are alike in their sets of byte shingles are one component; the first occurrence of a component stays. Equal
-lines are one node from the start. A line's signature takes the shingle that begins at each word (a line with few words:
-all its shingles); their hashes fall into BANDS parts of the hash space, and the least ROWS hashes of a part are a key,
-as one-permutation MinHash does with parts and minima. Pairs that share a key are links if the exact Jaccard similarity
-of the sets of all their shingles reaches the threshold.
+lines are one node from the start. The hashes of a line's shingles fall into BANDS * ROWS parts, the least of each part
+is its MinHash, and ROWS of them are the key of a band. Pairs that share a key are links if the exact Jaccard similarity
+of their shingle sets reaches the threshold.
 """
 
 from __future__ import annotations
@@ -16,10 +15,7 @@ from .components import linked
 from .shared import small, table, text_or_empty, written
 
 SHINGLE, THRESHOLD = 9, 0.8
-BAND_BITS, ROWS = 3, 3
-FEW_WORDS = 24
-#: The signature's shingles: SHINGLE characters from the first character of each word on.
-ANCHORED = r"(?s)(?=(?<![^\s])([^\s].{0,%d}))" % (SHINGLE - 1)
+BANDS, ROWS = 7, 3
 
 
 def _held(df: DataFrame, name: str, value: Column) -> DataFrame:
@@ -38,20 +34,19 @@ def shingle_sets(lines: DataFrame) -> DataFrame:
     return _held(lines.select("node", "line"), "_bytes", F.col("line").cast("binary")).select("node", all_shingles("_bytes").alias("values"))
 
 
-def band_keys(lines: DataFrame) -> DataFrame:
-    """key, node for lines (node, line)."""
-    held = _held(_held(lines, "_w", F.regexp_extract_all(F.col("line"), F.lit(ANCHORED), F.lit(1))), "_bytes", F.when(F.size("_w") < FEW_WORDS, F.col("line").cast("binary")))
-    hashes = F.when(F.size("_w") < FEW_WORDS, all_shingles("_bytes")).otherwise(F.array_distinct(F.transform("_w", lambda w: F.xxhash64(w))))
-    some = _held(held.select("node", "_w", "_bytes"), "_h", F.sort_array(hashes)).select("node", "_h")
-    # hashes are sorted, so those of a part of the hash space stand together; the first of a part and the ROWS - 1 after it, as far as they are of that part, are its key
-    part = lambda x: F.shiftright(x, 64 - BAND_BITS)
-    at = lambda i: F.try_element_at("_h", i)
+def shingle_rows(lines: DataFrame) -> DataFrame:
+    """node, h: a row for each run of SHINGLE bytes of lines (node, line); a shorter line is one run. Exploding stays in generated code, which lambdas over arrays don't."""
+    held = _held(lines.select("node", "line"), "_bytes", F.col("line").cast("binary"))
+    rows = held.select("node", "_bytes", F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), F.octet_length("_bytes") - (SHINGLE - 1)))).alias("_i"))
+    return rows.select("node", F.xxhash64(F.substring("_bytes", F.col("_i"), F.lit(SHINGLE))).alias("h"))
 
-    def key(x: Column, i: Column) -> Column:
-        more = [F.when(part(at(i + 1 + k)) == part(x), at(i + 1 + k)) for k in range(1, ROWS)]
-        return F.when((i == 0) | (part(at(F.greatest(i, F.lit(1)))) != part(x)), F.xxhash64(x, *more))
 
-    return some.select(F.explode(F.filter(F.transform("_h", key), lambda k: k.isNotNull())).alias("key"), "node")
+def band_keys(lines: DataFrame) -> DataFrame:
+    """key, node for lines (node, line), each node once: the least hash of each of BANDS * ROWS parts of a line's shingles, ROWS of them a key."""
+    part = F.pmod(F.col("h"), F.lit(BANDS * ROWS))
+    least = shingle_rows(lines).groupBy("node").agg(*[F.min(F.when(part == j, F.col("h"))).alias(f"_{j}") for j in range(BANDS * ROWS)])
+    key = lambda b: F.when(F.coalesce(*[F.col(f"_{b * ROWS + i}") for i in range(ROWS)]).isNotNull(), F.xxhash64(F.lit(b), *[F.col(f"_{b * ROWS + i}") for i in range(ROWS)]))
+    return least.select(F.explode(F.array_compact(F.array(*[key(b) for b in range(BANDS)]))).alias("key"), "node")
 
 
 def split_lines(docs: DataFrame) -> DataFrame:
@@ -73,8 +68,8 @@ def components_of_lines(docs: DataFrame, threshold: float = THRESHOLD) -> DataFr
     lines = split_lines(docs).where(countable(F.col("line")))
     known = written(lines.select(F.xxhash64("line").alias("node"), F.xxhash64(F.reverse("line")).alias("check")).groupBy("node").agg(F.count("*").alias("n"), F.min("check").alias("lo"), F.max("check").alias("hi")), "line-counts")
     clear = known.where("lo = hi")
-    # one occurrence stands for all: the band keys are of the line's bytes alone, so copies give equal rows
-    keys = written(band_keys(lines.select(F.xxhash64("line").alias("node"), "line")).distinct().join(known.where("lo <> hi").select("node"), "node", "left_anti").select("key", "node"), "line-bands")
+    doubtful = written(known.where("lo <> hi").select("node"), "doubtful-lines")
+    keys = written(band_keys(lines.select(F.xxhash64("line").alias("node"), "line")).join(small(doubtful), "node", "left_anti").select("key", "node"), "line-bands")
 
     def texts_of(ids: DataFrame) -> DataFrame:
         return lines.select(F.xxhash64("line").alias("node"), "line").join(small(ids), "node", "left_semi").dropDuplicates(["node"])
