@@ -2,5 +2,133 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql.window import Window
+
+from . import oracle, walks, workloads
+from .baselines import BASELINES, bipartite
+from .candidates import build_space, init_candidates, prune_to_fixpoint
+from .carriers import NAMES, edges_sql, hypergraph
+from .measures import summary
+from .operators import as_of_join, interval_join, top_by_group
+from .order import ORDERS
+from .pattern import PatternGraph
+from .search import PRUNES, distinct_subgraphs, embeddings_long, match
+
+_HOT = {}
+
+
+def _h(spark: SparkSession, sf_dir: str, name: str, simple: bool = True):
+    """The hypergraph of a folder, written once for each session and folder."""
+    key = (spark.sparkContext.applicationId, sf_dir, name, simple)
+    if key not in _HOT:
+        _HOT[key] = hypergraph(spark, sf_dir, name, simple).materialise()
+    return _HOT[key]
+
+
+#: Pattern literals: label lists by edge, vertices by number; taken from walks over the small tables.
+def _pattern(edges: list[list[tuple[int, str]]], elabels=()) -> PatternGraph:
+    return PatternGraph.of([[v for v, _ in e] for e in edges], {v: x for e in edges for v, x in e}, elabels)
+
+
+A, B, H, M, U = "AUTOMOBILE", "BUILDING", "HOUSEHOLD", "MACHINERY", "FURNITURE"
+CHAIN = _pattern([[(1, A), (2, B)], [(2, B), (3, M)], [(3, M), (4, H)]])
+FORK = _pattern([[(1, A), (2, B), (3, H)], [(3, H), (4, M)], [(3, H), (5, U)]])
+PAIR = _pattern([[(1, A), (2, B)], [(2, B), (3, M)]])
+TRIANGLE = _pattern([[(1, A), (2, B)], [(2, B), (3, M)], [(1, A), (3, M)]])
+STAR4 = _pattern([[(1, A), (2, B)], [(1, A), (3, M)], [(1, A), (4, H)], [(4, H), (5, U)]])
+TWO_PARTS = _pattern([[(1, A), (2, B), (3, U)], [(3, U), (4, H)], [(5, M), (6, M), (7, H), (8, B)]])
+REGIONS = _pattern([[(1, "ASIA"), (2, "EUROPE")], [(2, "EUROPE"), (3, "AFRICA")], [(3, "AFRICA"), (1, "ASIA"), (4, "AMERICA")]])
+CO2 = _pattern([[(1, ""), (2, ""), (3, ""), (4, ""), (5, "")], [(1, ""), (2, ""), (6, ""), (7, ""), (8, ""), (9, "")]])
+DEAL = _pattern([[(1, "C"), (2, "P"), (3, "S")], [(1, "C"), (4, "P"), (3, "S")]])
+LINKS = _pattern([[(1, ""), (2, ""), (3, ""), (4, ""), (5, "")], [(1, ""), (2, ""), (6, ""), (7, ""), (8, "")]])
+VECTORS = _pattern([[(1, "1"), (2, "2")], [(2, "2"), (3, "3")]])
+
+CASES: dict[str, tuple[str, PatternGraph]] = {
+    "coactive_pair": ("coactive_10m", PAIR),
+    "coactive_chain": ("coactive_10m", CHAIN),
+    "coactive_fork": ("coactive_10m", FORK),
+    "coactive_triangle": ("coactive_10m", TRIANGLE),
+    "coactive_star4": ("coactive_10m", STAR4),
+    "supply_regions": ("supply_region", REGIONS),
+    "coactive_hour_pair": ("coactive_1h", CO2),
+    "deal": ("deal_typed", DEAL),
+    "vectors": ("vec_buckets", VECTORS),
+}
+
+
+def _match(case: str, **how) -> Callable[[SparkSession, str], DataFrame]:
+    name, p = CASES[case]
+    return lambda spark, sf_dir: match(_h(spark, sf_dir, name), p, **how)
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _match("coactive_pair")(spark, sf_dir)
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+ORACLES: dict[str, str] = {}
+
+
+def _add(name: str, query: Callable[[SparkSession, str], DataFrame], sql: str | None = None) -> None:
+    QUERIES[name] = query
+    if sql:
+        ORACLES[name] = sql
+
+
+for _n in NAMES:
+    _add(f"stats_{_n}", lambda s, d, n=_n: _h(s, d, n).stats(), oracle.stats(_n))
+for _n in ("basket_type", "supply_region", "coactive_10m"):
+    _add(f"signature_partitions_{_n}", lambda s, d, n=_n: _h(s, d, n).signature_partitions(), oracle.signature_partitions(_n))
+_add("edge_adjacency_coactive", lambda s, d: _h(s, d, "coactive_10m").edge_adjacency(), oracle.edge_adjacency("coactive_10m"))
+for _c in ("coactive_chain", "supply_regions"):
+    _n, _p = CASES[_c]
+    _add(f"candidates_{_c}", lambda s, d, n=_n, p=_p: init_candidates(p, _h(s, d, n)).select("q", "f"), oracle.init_candidates(_p, _n))
+    _add(f"connections_{_c}", lambda s, d, n=_n, p=_p: build_space(p, _h(s, d, n)).connections.select("q", "f", "q2", "f2"), oracle.connections(_p, _n))
+    _add(f"filtered_{_c}", lambda s, d, n=_n, p=_p: prune_to_fixpoint(p, build_space(p, _h(s, d, n))).candidates.select("q", "f"), oracle.filtered_candidates(_p, _n))
+for _c, (_n, _p) in CASES.items():
+    _add(f"match_{_c}", _match(_c), oracle.by_subsets(_p, _n))
+_add("match_coactive_pair_vertices", _match("coactive_pair"), oracle.by_vertices(PAIR, "coactive_10m"))
+_CHAIN_SQL = oracle.by_subsets(CHAIN, "coactive_10m")
+for _v in PRUNES:
+    _add(f"prune_{_v}_coactive_chain", _match("coactive_chain", prune=_v, engine="wavefront"), _CHAIN_SQL)
+_add("unfiltered_coactive_chain", _match("coactive_chain", initial_filter=False), _CHAIN_SQL)
+for _o in ORDERS:
+    _add(f"order_{_o}_coactive_chain", _match("coactive_chain", order=_o), _CHAIN_SQL)
+for _b in BASELINES:
+    _add(f"baseline_{_b}_coactive_triangle", lambda s, d, b=_b: BASELINES[b](_h(s, d, "coactive_10m"), TRIANGLE), oracle.by_subsets(TRIANGLE, "coactive_10m"))
+_add("bipartite_without_arity", lambda s, d: bipartite(_h(s, d, "coactive_10m"), PAIR, "none"))
+_add("disconnected_coactive", lambda s, d: match(_h(s, d, "coactive_10m"), TWO_PARTS), oracle.by_subsets(TWO_PARTS, "coactive_10m"))
+_add("non_simple_page_links", lambda s, d: match(_h(s, d, "page_links", False), LINKS, non_simple=True), None)
+_add("embeddings_long_coactive", lambda s, d: embeddings_long(match(_h(s, d, "coactive_10m"), PAIR)), f"SELECT concat(m0, '|', m1) AS embedding_id, 0 AS q, m0 AS f FROM ({oracle.by_subsets(PAIR, 'coactive_10m')}) UNION ALL SELECT concat(m0, '|', m1), 1, m1 FROM ({oracle.by_subsets(PAIR, 'coactive_10m')})")
+_add("distinct_subgraphs_coactive", lambda s, d: distinct_subgraphs(match(_h(s, d, "coactive_10m"), PAIR)), f"SELECT DISTINCT concat(least(m0, m1), '|', greatest(m0, m1)) AS edges FROM ({oracle.by_subsets(PAIR, 'coactive_10m')})")
+_add("walks_coactive", lambda s, d: walks.sample(_h(s, d, "coactive_10m"), 3, 5).select("query", "step", "e"), oracle.walks("coactive_10m", 3, 5))
+
+# experiment workloads, on few queries
+_add("experiment_query_times", lambda s, d: summary(workloads.query_times(s, d, ("coactive_10m",), (3,), 2)))
+_add("experiment_candidate_spaces", lambda s, d: workloads.candidate_spaces(s, d, ("coactive_10m",), (3,), 3))
+_add("experiment_pruning_ablation", lambda s, d: workloads.pruning_ablation(s, d, size=3, n=3))
+_add("experiment_preprocessing", lambda s, d: workloads.preprocessing(s, d, ("coactive_10m",)))
+
+
+def _events(s: SparkSession, d: str) -> DataFrame:
+    e = s.read.parquet(f"{d}/events.parquet")
+    return e.select("event_id", "user_id", "event_type", F.unix_timestamp(F.col("ts").cast("timestamp")).alias("t"), "value")
+
+
+def _orders(s: SparkSession, d: str) -> DataFrame:
+    o = s.read.parquet(f"{d}/orders.parquet")
+    return o.select("o_orderkey", F.col("o_custkey").alias("user_id"), F.unix_timestamp(F.col("o_orderdate").cast("timestamp")).alias("t"))
+
+
+_EV = "SELECT event_id, user_id, event_type, CAST(floor(epoch(ts)) AS BIGINT) AS t, value FROM events"
+_add("relational_rollup", lambda s, d: s.read.parquet(f"{d}/lineitem.parquet").rollup("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.sum(F.col("l_quantity").cast("long")).alias("qty")), "SELECT l_returnflag, l_linestatus, count(*) AS n, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS qty FROM lineitem GROUP BY ROLLUP (l_returnflag, l_linestatus)")
+_add("relational_pivot", lambda s, d: s.read.parquet(f"{d}/orders.parquet").groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O", "P"]).count().select("o_orderpriority", *[F.coalesce(c, F.lit(0)).alias(f"n_{c.lower()}") for c in "FOP"]), "SELECT o_orderpriority, count(*) FILTER (o_orderstatus = 'F') AS n_f, count(*) FILTER (o_orderstatus = 'O') AS n_o, count(*) FILTER (o_orderstatus = 'P') AS n_p FROM orders GROUP BY o_orderpriority")
+_add("relational_top_vertices", lambda s, d: top_by_group(_h(s, d, "coactive_10m").incidence().groupBy("label", "v").agg(F.count("*").alias("degree")), ["label"], [F.desc("degree"), F.asc("v")], 3), f"WITH edges AS ({edges_sql('coactive_10m')}), i AS (SELECT CAST(split_part(t, '\t', 1) AS BIGINT) AS v, split_part(t, '\t', 2) AS label FROM (SELECT unnest(tagged) AS t FROM edges)), g AS (SELECT label, v, count(*) AS degree FROM i GROUP BY label, v) SELECT label, v, degree FROM g QUALIFY row_number() OVER (PARTITION BY label ORDER BY degree DESC, v) <= 3")
+_add("relational_interval_join", lambda s, d: interval_join(_events(s, d).select("event_id", "t"), "t", _orders(s, d).where("o_orderkey < 50").select("o_orderkey", F.col("t").alias("lo"), (F.col("t") + 86400 * 30).alias("hi")), "lo", "hi", 86400 * 30).select("event_id", "o_orderkey"), f"SELECT event_id, o_orderkey FROM ({_EV}) e JOIN (SELECT o_orderkey, CAST(floor(epoch(o_orderdate)) AS BIGINT) AS lo FROM orders WHERE o_orderkey < 50) o ON t >= lo AND t < lo + 86400 * 30")
+_add("relational_as_of_join", lambda s, d: as_of_join(_events(s, d).select("event_id", "user_id", "t"), _orders(s, d).groupBy("user_id", "t").agg(F.max("o_orderkey").alias("o_orderkey")), "user_id", "t", "o_orderkey"), f"SELECT e.event_id, e.user_id, e.t, o.o_orderkey FROM ({_EV}) e ASOF LEFT JOIN (SELECT o_custkey AS user_id, CAST(floor(epoch(o_orderdate)) AS BIGINT) AS t, max(o_orderkey) AS o_orderkey FROM orders GROUP BY 1, 2) o ON e.user_id = o.user_id AND e.t >= o.t")
+_add("relational_windows", lambda s, d: _events(s, d).select("event_id", F.lag("event_id").over(Window.partitionBy("user_id").orderBy("t", "event_id")).alias("before"), F.count("*").over(Window.partitionBy("user_id").orderBy("t").rangeBetween(-3600, 0)).alias("last_hour")), f"SELECT event_id, lag(event_id) OVER (PARTITION BY user_id ORDER BY t, event_id) AS before, count(*) OVER (PARTITION BY user_id ORDER BY t RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW) AS last_hour FROM ({_EV})")
+_add("relational_except_all", lambda s, d: s.read.parquet(f"{d}/customer.parquet").select("c_nationkey").exceptAll(s.read.parquet(f"{d}/supplier.parquet").select(F.col("s_nationkey").alias("c_nationkey"))), "SELECT c_nationkey FROM customer EXCEPT ALL SELECT s_nationkey FROM supplier")

@@ -1 +1,28 @@
+"""Relational operators that users of hypergraphs need beyond Spark's own: range and as-of joins, top-k by group."""
 
+from __future__ import annotations
+
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql.window import Window
+
+
+def interval_join(points: DataFrame, at: str, spans: DataFrame, lo: str, hi: str, width: int) -> DataFrame:
+    """Pairs with lo <= at < hi by an equi-join on buckets of `width`; choose it near the usual length of a span."""
+    p = points.withColumn("_bucket", F.floor(F.col(at) / width))
+    s = spans.withColumn("_bucket", F.explode(F.sequence(F.floor(F.col(lo) / width), F.floor((F.col(hi) - 1) / width))))
+    return p.join(s, "_bucket").where((F.col(at) >= F.col(lo)) & (F.col(at) < F.col(hi))).drop("_bucket")
+
+
+def as_of_join(left: DataFrame, right: DataFrame, key: str, at: str, value: str) -> DataFrame:
+    """left with `value` of the latest row of right of the same key that isn't later. One sort by key and time, no pairs."""
+    a = left.select(F.struct(*left.columns).alias("_row"), F.col(key).alias("_k"), F.col(at).alias("_t"), F.lit(None).cast(right.schema[value].dataType).alias("_v"), F.lit(1).alias("_side"))
+    b = right.select(F.lit(None).cast(a.schema["_row"].dataType).alias("_row"), F.col(key).alias("_k"), F.col(at).alias("_t"), F.col(value).alias("_v"), F.lit(0).alias("_side"))
+    w = Window.partitionBy("_k").orderBy("_t", "_side").rowsBetween(Window.unboundedPreceding, 0)
+    both = a.unionByName(b).withColumn("_v", F.last("_v", ignorenulls=True).over(w))
+    return both.where("_side = 1").select("_row.*", F.col("_v").alias(value))
+
+
+def top_by_group(df: DataFrame, group: list[str], order: list[Column], k: int) -> DataFrame:
+    w = Window.partitionBy(*group).orderBy(*order)
+    return df.withColumn("_r", F.row_number().over(w)).where(F.col("_r") <= k).drop("_r")
