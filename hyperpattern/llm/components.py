@@ -9,7 +9,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .shared import forget, small, written
@@ -45,20 +45,31 @@ def components(edges: DataFrame) -> DataFrame:
 FEW_ROUNDS, FEW = 1, 4
 #: Classes of elements, by hash, in which two sets' sizes bound what they share.
 CLASSES = 32
+#: Up to so many pairs for each node in doubt are compared without bounds first.
+PAIRS_A_NODE = 20
 
 
-def verified(pairs: DataFrame, texts: DataFrame, sets: Callable[[DataFrame], DataFrame], threshold: float) -> DataFrame:
-    """The pairs (a, b) whose sets have a Jaccard similarity of at least the threshold, by exact intersection."""
-    ids = written(pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct(), "candidates")
-    found = written(sets(texts.join(small(ids), "node", "left_semi")), "candidate-sets")
-    left = found.select(F.col("node").alias("a"), F.col("values").alias("x"))
-    right = found.select(F.col("node").alias("b"), F.col("values").alias("y"))
-    both = F.size(F.array_intersect("x", "y"))
-    return written(pairs.join(left, "a").join(right, "b").where(both >= threshold * (F.size("x") + F.size("y") - both)).select("a", "b"), "links")
+def verified_by_sets(sets: Callable[[DataFrame], DataFrame], threshold: float) -> Callable[[DataFrame, DataFrame], DataFrame]:
+    """verify(pairs, texts) that makes each text's set once, and joins the sets to the pairs."""
 
+    def verify(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+        ids = written(pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct(), "candidates")
+        found = written(sets(texts.join(small(ids), "node", "left_semi")), "candidate-sets")
+        left = found.select(F.col("node").alias("a"), F.col("values").alias("x"))
+        right = found.select(F.col("node").alias("b"), F.col("values").alias("y"))
+        return pairs.join(left, "a").join(right, "b").where(alike(F.col("x"), F.col("y"), threshold)).select("a", "b")
 
-def linked(bands: DataFrame, texts_of: Callable[[DataFrame], DataFrame], sets: Callable[[DataFrame], DataFrame], threshold: float) -> DataFrame:
-    """node, root of all nodes with a link. bands: a written table key, node; texts_of(ids) gives the texts of a written table of nodes, once; sets(texts) gives node, values (distinct longs).
+    return verify
+
+
+def alike(x: Column, y: Column, threshold: float) -> Column:
+    """The Jaccard similarity of two arrays of distinct elements is at least the threshold."""
+    both = F.size(F.array_intersect(x, y))
+    return both >= threshold * (F.size(x) + F.size(y) - both)
+
+
+def linked(bands: DataFrame, texts_of: Callable[[DataFrame], DataFrame], sets: Callable[[DataFrame], DataFrame], verify: Callable[[DataFrame, DataFrame], DataFrame], threshold: float) -> DataFrame:
+    """node, root of all nodes with a link. bands: key, node; texts_of(ids) gives the texts of a written table of nodes, once; sets(texts) gives node, values (distinct numbers); verify(pairs, texts) keeps the pairs that are links.
 
     Members of a bucket are first compared with its smallest node. Then, for a few rounds, those outside the bucket's
     largest component are compared with some of it, drawn by hash. Last, whatever still lies in different components of
@@ -70,7 +81,7 @@ def linked(bands: DataFrame, texts_of: Callable[[DataFrame], DataFrame], sets: C
     members = written(bands.join(small(shared), "key").select("key", "node", "first"), "members")
     texts = written(texts_of(written(members.select("node").distinct(), "candidates")), "candidate-texts")
     tried = written(_pairs(members, "first"), "pairs")
-    edges = verified(tried, texts, sets, threshold)
+    edges = written(verify(tried, texts), "links")
     roots = components(edges)
     for r in range(FEW_ROUNDS):
         apart = written(_apart(members, roots), "apart")
@@ -85,30 +96,43 @@ def linked(bands: DataFrame, texts_of: Callable[[DataFrame], DataFrame], sets: C
         if pairs.isEmpty():
             break
         tried = written(tried.unionByName(pairs), "tried-pairs")
-        edges = written(edges.unionByName(verified(pairs, texts, sets, threshold)), "links")
+        edges = written(edges.unionByName(verify(pairs, texts)), "links")
         roots = components(edges)
     apart = written(_apart(members, roots), "apart")
     if apart.isEmpty():
         return roots
-    of_apart = sets(texts.join(small(written(apart.select("node").distinct(), "candidates")), "node", "left_semi"))
-    elements = of_apart.select("node", F.explode("values").alias("v"))
-    met = written(elements.groupBy("v").agg(F.count("*").alias("n")).where("n > 1").select("v"), "common-elements")
-    counts = [F.count(F.when(F.pmod(F.col("v"), F.lit(CLASSES)) == i, F.col("met"))).cast("int") for i in range(CLASSES)]
-    sizes = elements.join(met.withColumn("met", F.lit(1)), "v", "left").groupBy("node").agg(F.count("*").alias("size"), F.count("met").alias("common"), F.array(*counts).alias("by_class"))
-    sizes = written(sizes, "common-sizes")
-    able = apart.join(sizes, "node").where(F.col("common") >= threshold * F.col("size"))
+    # how many pairs stand to be compared: few enough are compared at once, more are first bounded
+    by_root = apart.groupBy("key", "root").agg(F.count("*").alias("n")).groupBy("key").agg(((F.sum("n") * F.sum("n") - F.sum(F.col("n") * F.col("n"))) / 2).alias("p"))
+    many = by_root.agg(F.sum("p")).first()[0] > PAIRS_A_NODE * apart.select("node").distinct().count()
+    able = _bounded(apart, texts, sets, threshold) if many else apart
     able = able.join(able.groupBy("node").agg(F.collect_list("key").alias("keys")), "node")
     x, y = able.alias("x"), able.alias("y")
-    reaches = lambda n: n >= threshold * (F.col("x.size") + F.col("y.size") - n)
-    by_class = F.aggregate(F.zip_with("x.by_class", "y.by_class", lambda i, j: F.least(i, j)), F.lit(0), lambda n, i: n + i)
-    near = reaches(F.least("x.common", "y.common")) & reaches(by_class)
+    near = _reach(threshold) if many else F.lit(True)
     once = F.col("x.key") == F.array_min(F.array_intersect("x.keys", "y.keys"))  # a pair that shares buckets is met in one of them
     rest = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.root") < F.col("y.root")) & near & once)
     rest = rest.select(F.greatest("x.node", "y.node").alias("a"), F.least("x.node", "y.node").alias("b")).distinct().join(tried, ["a", "b"], "left_anti")
     rest = written(rest, "pairs")
     if rest.isEmpty():
         return roots
-    return components(edges.unionByName(verified(rest, texts, sets, threshold)))
+    return components(edges.unionByName(verify(rest, texts)))
+
+
+def _bounded(apart: DataFrame, texts: DataFrame, sets: Callable[[DataFrame], DataFrame], threshold: float) -> DataFrame:
+    """apart with size, common (elements that other sets have too) and by_class (those by class), without nodes that can't reach the threshold with any."""
+    of_apart = sets(texts.join(small(written(apart.select("node").distinct(), "candidates")), "node", "left_semi"))
+    elements = of_apart.select("node", F.explode("values").alias("v"))
+    met = written(elements.groupBy("v").agg(F.count("*").alias("n")).where("n > 1").select("v"), "common-elements")
+    counts = [F.count(F.when(F.pmod(F.col("v"), F.lit(CLASSES)) == i, F.col("met"))).cast("int") for i in range(CLASSES)]
+    sizes = elements.join(met.withColumn("met", F.lit(1)), "v", "left").groupBy("node").agg(F.count("*").alias("size"), F.count("met").alias("common"), F.array(*counts).alias("by_class"))
+    sizes = written(sizes, "common-sizes")
+    return apart.join(sizes, "node").where(F.col("common") >= threshold * F.col("size"))
+
+
+def _reach(threshold: float) -> Column:
+    """The bounds of x and y allow the threshold."""
+    reaches = lambda n: n >= threshold * (F.col("x.size") + F.col("y.size") - n)
+    by_class = F.aggregate(F.zip_with("x.by_class", "y.by_class", lambda i, j: F.least(i, j)), F.lit(0), lambda n, i: n + i)
+    return reaches(F.least("x.common", "y.common")) & reaches(by_class)
 
 
 def _pairs(frame: DataFrame, other: str) -> DataFrame:

@@ -11,11 +11,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .components import linked
+from .components import alike, linked
 from .shared import small, table, text_or_empty, written
 
 SHINGLE, THRESHOLD = 9, 0.8
-BANDS, ROWS = 7, 3
+BANDS, ROWS = 6, 3
+FEW, MANY, SAMPLE = 160, 200, 4
 
 
 def _held(df: DataFrame, name: str, value: Column) -> DataFrame:
@@ -24,9 +25,9 @@ def _held(df: DataFrame, name: str, value: Column) -> DataFrame:
 
 
 def all_shingles(line: str, size: int = SHINGLE) -> Column:
-    """Hashes of all runs of `size` bytes, each once; a shorter line is one shingle. line: a binary column that is held."""
+    """32-bit hashes of all runs of `size` bytes, each once; a shorter line is one shingle. line: a binary column that is held."""
     starts = F.sequence(F.lit(1), F.greatest(F.lit(1), F.octet_length(line) - (size - 1)))
-    return F.array_distinct(F.transform(starts, lambda i: F.xxhash64(F.substring(line, i, F.lit(size)))))
+    return F.array_distinct(F.transform(starts, lambda i: F.hash(F.substring(line, i, F.lit(size)))))
 
 
 def shingle_sets(lines: DataFrame) -> DataFrame:
@@ -34,19 +35,35 @@ def shingle_sets(lines: DataFrame) -> DataFrame:
     return _held(lines.select("node", "line"), "_bytes", F.col("line").cast("binary")).select("node", all_shingles("_bytes").alias("values"))
 
 
-def shingle_rows(lines: DataFrame) -> DataFrame:
-    """node, h: a row for each run of SHINGLE bytes of lines (node, line); a shorter line is one run. Exploding stays in generated code, which lambdas over arrays don't."""
-    held = _held(lines.select("node", "line"), "_bytes", F.col("line").cast("binary"))
-    rows = held.select("node", "_bytes", F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), F.octet_length("_bytes") - (SHINGLE - 1)))).alias("_i"))
-    return rows.select("node", F.xxhash64(F.substring("_bytes", F.col("_i"), F.lit(SHINGLE))).alias("h"))
+def verified_lines(threshold: float):
+    """verify(pairs, lines): lines are joined to the pairs, and sets are made of both there; a line is a tenth of its set."""
+
+    def verify(pairs: DataFrame, lines: DataFrame) -> DataFrame:
+        side = lambda c: lines.select(F.col("node").alias(c), F.col("line").cast("binary").alias(f"_{c}"))
+        both = pairs.join(side("a"), "a").join(side("b"), "b")
+        both = _held(_held(both.repartition("a", "b"), "_x", all_shingles("_a")), "_y", all_shingles("_b"))
+        return both.where(alike(F.col("_x"), F.col("_y"), threshold)).select("a", "b")
+
+    return verify
 
 
 def band_keys(lines: DataFrame) -> DataFrame:
-    """key, node for lines (node, line), each node once: the least hash of each of BANDS * ROWS parts of a line's shingles, ROWS of them a key."""
-    part = F.pmod(F.col("h"), F.lit(BANDS * ROWS))
-    least = shingle_rows(lines).groupBy("node").agg(*[F.min(F.when(part == j, F.col("h"))).alias(f"_{j}") for j in range(BANDS * ROWS)])
-    key = lambda b: F.when(F.coalesce(*[F.col(f"_{b * ROWS + i}") for i in range(ROWS)]).isNotNull(), F.xxhash64(F.lit(b), *[F.col(f"_{b * ROWS + i}") for i in range(ROWS)]))
-    return least.select(F.explode(F.array_compact(F.array(*[key(b) for b in range(BANDS)]))).alias("key"), "node")
+    """node, keys for lines (node, line), each node once: the least hash of each of BANDS * ROWS parts of a line's shingles, ROWS of them a key.
+
+    Lines of FEW bytes and more are also signed by one in SAMPLE of their shingles, chosen by hash, and lines of MANY
+    bytes and more only so. Lines that reach a similarity of 0.8 differ in length by a factor of at most FEW / MANY, so
+    they are signed alike. Exploding and adding up stay in generated code, which lambdas over arrays don't.
+    """
+    n = F.octet_length("line")
+    ways = F.when(n < FEW, F.array(F.lit(0))).when(n < MANY, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(1)))
+    held = _held(lines.select("node", "line"), "_bytes", F.col("line").cast("binary")).select("node", "_bytes", F.explode(ways).alias("_way"))
+    rows = held.select("node", "_way", "_bytes", F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), F.octet_length("_bytes") - (SHINGLE - 1)))).alias("_i"))
+    rows = rows.select("node", "_way", F.hash(F.substring("_bytes", F.col("_i"), F.lit(SHINGLE))).alias("h"))
+    rows = rows.where((F.col("_way") == 0) | (F.col("h").bitwiseAND(SAMPLE - 1) == 0))
+    rows = rows.select("node", "_way", "h", F.pmod(F.shiftright("h", 4), F.lit(BANDS * ROWS)).alias("_part"))
+    least = rows.groupBy("node", "_way").agg(*[F.min(F.when(F.col("_part") == j, F.col("h"))).alias(f"_{j}") for j in range(BANDS * ROWS)])
+    key = lambda b: F.when(F.coalesce(*[F.col(f"_{b * ROWS + i}") for i in range(ROWS)]).isNotNull(), F.xxhash64("_way", F.lit(b), *[F.col(f"_{b * ROWS + i}") for i in range(ROWS)]))
+    return least.select("node", F.array_compact(F.array(*[key(b) for b in range(BANDS)])).alias("keys"))
 
 
 def split_lines(docs: DataFrame) -> DataFrame:
@@ -69,12 +86,13 @@ def components_of_lines(docs: DataFrame, threshold: float = THRESHOLD) -> DataFr
     known = written(lines.select(F.xxhash64("line").alias("node"), F.xxhash64(F.reverse("line")).alias("check")).groupBy("node").agg(F.count("*").alias("n"), F.min("check").alias("lo"), F.max("check").alias("hi")), "line-counts")
     clear = known.where("lo = hi")
     doubtful = written(known.where("lo <> hi").select("node"), "doubtful-lines")
-    keys = written(band_keys(lines.select(F.xxhash64("line").alias("node"), "line")).join(small(doubtful), "node", "left_anti").select("key", "node"), "line-bands")
+    keys = written(band_keys(lines.select(F.xxhash64("line").alias("node"), "line")).join(small(doubtful), "node", "left_anti"), "line-bands")
+    keys = keys.select(F.explode("keys").alias("key"), "node")
 
     def texts_of(ids: DataFrame) -> DataFrame:
         return lines.select(F.xxhash64("line").alias("node"), "line").join(small(ids), "node", "left_semi").dropDuplicates(["node"])
 
-    roots = linked(keys, texts_of, shingle_sets, threshold)
+    roots = linked(keys, texts_of, shingle_sets, verified_lines(threshold), threshold)
     alone = clear.where("n > 1").select("node").join(roots.select("node"), "node", "left_anti").select("node", F.col("node").alias("root"))
     return written(roots.unionByName(alone), "line-roots")
 

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .components import linked
+from .components import linked, verified_by_sets
 from .shared import small, table, text_or_empty, written
 
 SHINGLE, THRESHOLD = 5, 0.8
@@ -151,7 +151,7 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
     single, copies = distinct_texts(docs)
     keys = written(signatures(single, bands, rows).select(F.explode("values").alias("key"), "node"), "bands")
 
-    roots = linked(keys, lambda ids: single.join(small(ids), "node", "left_semi"), shingle_sets, threshold)
+    roots = linked(keys, lambda ids: single.join(small(ids), "node", "left_semi"), shingle_sets, verified_by_sets(shingle_sets, threshold), threshold)
     roots = written(roots, "near-roots")
     of_copy = copies.join(small(roots), "node", "left").select("doc_id", F.coalesce("root", "node").alias("class_id"))
     of_rest = roots.select(F.col("node").alias("doc_id"), F.col("root").alias("class_id"))
