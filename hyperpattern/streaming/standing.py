@@ -46,7 +46,7 @@ def standing_query(edge_stream: DataFrame, p: PatternGraph, store: str, report:
         spark = batch.sparkSession
         edges = HypergraphFrame._described(batch.select("e", "members").withColumn("elabel", F.lit(None).cast("string")))
         edges.withColumn("batch", F.lit(number)).write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("batch").parquet(store)
-        kept = spark.read.parquet(store)
+        kept = spark.read.schema(edges.schema.add("batch", "long")).parquet(store)
         old, new = kept.where(F.col("batch") < number).drop("batch"), kept.where(F.col("batch") == number).drop("batch")
         if not new.isEmpty():
             report(delta_matches(old, new, p), number)
