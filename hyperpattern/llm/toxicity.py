@@ -306,7 +306,7 @@ def op4_toxicity_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def drop_toxic(docs: DataFrame, labels: DataFrame, at_least: float = 0.5) -> DataFrame:
-    """docs without the rows that score `at_least`; all columns stay."""
-    columns = docs.columns
+    """docs without the rows that score `at_least`; all columns stay, whatever their names."""
     model = fit(docs.select("doc_id", "text"), labels)
-    return score_texts(docs, model, columns).where(F.col("score") < at_least).select(*columns)
+    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), "text")
+    return score_texts(packed, model, ["row"]).where(F.col("score") < at_least).select("row.*")
