@@ -62,9 +62,10 @@ def distinct_in_text(h: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.nda
 
 
 def registers(h: np.ndarray, doc: np.ndarray, weight: np.ndarray, texts: int, m: int) -> np.ndarray:
-    """texts x m earliest arrivals; texts without elements keep infinities."""
+    """texts x m elements of the earliest arrivals, which agree where weights differ too; texts without elements keep zeros."""
     reg = np.full((texts, m), np.inf)
     flat = reg.reshape(-1)
+    winner = np.zeros(texts * m, U)
     time = np.zeros(len(h))
     latest = np.full(texts, np.inf)
     step = 0
@@ -74,16 +75,18 @@ def registers(h: np.ndarray, doc: np.ndarray, weight: np.ndarray, texts: int, m:
         time = time - np.log(((draw >> U(11)).astype(np.float64) + 1) * 2.0**-53) / weight
         cell = doc * m + (K.mixed(draw) % U(m)).astype(np.int64)
         np.minimum.at(flat, cell, time)
+        won = time == flat[cell]
+        winner[cell[won]] = h[won]
         touched = np.unique(doc)
         latest[touched] = reg[touched].max(axis=1)
         go = time < latest[doc]
         h, doc, weight, time = h[go], doc[go], weight[go], time[go]
-    return reg
+    return winner.reshape(texts, m)
 
 
 def band_keys(reg: np.ndarray, bands: int, rows: int) -> np.ndarray:
     """texts x bands hashes of `rows` registers each, different from band to band."""
-    bits = K.mixed(reg.view(U) + U(1)).reshape(len(reg), bands, rows)
+    bits = K.mixed(reg + U(1)).reshape(len(reg), bands, rows)
     powers = K.POWERS.upto(rows)[0]
     key = np.zeros((len(reg), bands), U)
     for i in range(rows):
