@@ -46,7 +46,7 @@ FEW_ROUNDS, FEW = 1, 4
 #: Classes of elements, by hash, in which two sets' sizes bound what they share.
 CLASSES = 32
 #: Up to so many pairs for each node in doubt are compared without bounds first.
-PAIRS_A_NODE = 20
+PAIRS_A_NODE = 2
 
 
 def verified_by_sets(sets: Callable[[DataFrame], DataFrame], threshold: float) -> Callable[[DataFrame, DataFrame], DataFrame]:
