@@ -107,10 +107,39 @@ _add("embeddings_long_coactive", lambda s, d: embeddings_long(match(_h(s, d, "co
 _add("distinct_subgraphs_coactive", lambda s, d: distinct_subgraphs(match(_h(s, d, "coactive_10m"), PAIR)), f"SELECT DISTINCT concat(least(m0, m1), '|', greatest(m0, m1)) AS edges FROM ({oracle.by_subsets(PAIR, 'coactive_10m')})")
 _add("walks_coactive", lambda s, d: walks.sample(_h(s, d, "coactive_10m"), 3, 5).select("query", "step", "e"), oracle.walks("coactive_10m", 3, 5))
 
+
+
+def _walk_match(name: str, size: int = 3) -> Callable[[SparkSession, str], DataFrame]:
+    """The first walk over a hypergraph as a query: high arity, edge labels, repeated edges and large alphabets."""
+
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        h = _h(spark, sf_dir, name)
+        p = next(iter(walks.patterns(h, walks.sample(h, size, 3)).values()))
+        return embeddings_long(match(h, p))
+
+    return query
+
+
+for _n in ("basket_type", "basket_brand", "supply_region", "customer_parts", "supplier_parts", "doc_words", "turn_words", "doc_quality"):
+    _add(f"match_walk_{_n}", _walk_match(_n))
+
+
+def _bench_in_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A benchmark text's words as a one-edge pattern over document vocabularies: planted copies of whole vocabularies."""
+    bench = _h(spark, sf_dir, "bench_words")
+    first = bench.edges.orderBy("arity", "e").first()["e"]
+    return embeddings_long(match(_h(spark, sf_dir, "doc_words"), PatternGraph.from_edges(bench.edges, [first])))
+
+
+_add("bench_pattern_in_documents", _bench_in_docs)
+
 # experiment workloads, on few queries
 _add("experiment_query_times", lambda s, d: summary(workloads.query_times(s, d, ("coactive_10m",), (3,), 2)))
 _add("experiment_candidate_spaces", lambda s, d: workloads.candidate_spaces(s, d, ("coactive_10m",), (3,), 3))
 _add("experiment_pruning_ablation", lambda s, d: workloads.pruning_ablation(s, d, size=3, n=3))
+_add("experiment_verification_times", lambda s, d: workloads.verification_times(s, d, "coactive_10m", 3, 2))
+_add("experiment_unlabelled_difficulty", lambda s, d: workloads.unlabelled_difficulty(s, d, 2, 1, most=2000))
+_add("experiment_dataset_statistics", lambda s, d: workloads.dataset_statistics(s, d, ("basket_type", "coactive_10m", "nation_members")), " UNION ALL ".join(f"SELECT '{n}' AS hypergraph, * FROM ({oracle.stats(n)})" for n in ("basket_type", "coactive_10m", "nation_members")))
 _add("experiment_preprocessing", lambda s, d: workloads.preprocessing(s, d, ("coactive_10m",)))
 
 

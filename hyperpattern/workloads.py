@@ -82,3 +82,45 @@ def dataset_statistics(spark: SparkSession, sf_dir: str, names=NAMES) -> DataFra
         one = hypergraph(spark, sf_dir, name).stats().select(F.lit(name).alias("hypergraph"), "*")
         out = one if out is None else out.unionByName(one)
     return out
+
+
+def verification_times(spark: SparkSession, sf_dir: str, name: str = "supply_region", size: int = 4, n: int = 3, seed: int = 0) -> DataFrame:
+    """Seconds that three exact tests take on the same rows: every pair of connected candidates of each query, put to the cell check, the vertex profiles and the intersections of all subsets."""
+    from pyspark.sql import functions as F
+
+    from .baselines.profile import profiles, query_profiles
+    from .cells import cell_check, extended_cells, subset_test
+
+    h = hypergraph(spark, sf_dir, name).materialise()
+    rows = []
+    for q, p in _queries(h, size, n, seed).items():
+        a, b = next(iter(p.overlaps))
+        two = p.induced(1 << a | 1 << b)
+        space = build_space(two, h)
+        side = lambda i: space.candidates.where(F.col("q") == i).select(F.col("f").alias(f"m{i}"), F.col("members").alias(f"x{i}"))  # noqa: E731, B023
+        pairs = held(side(0).crossJoin(side(1)).where("m0 <> m1"), "pairs")
+        vertex = pairs.schema["x0"].dataType.elementType["v"].dataType.simpleString()
+        empty = F.create_map().cast(f"map<{vertex},bigint>")
+        x0, x1 = F.col("x0"), F.col("x1")
+        tests = {
+            "cells": cell_check(two, x1, extended_cells(x0, empty, F.lit(0)), F.lit(1), F.lit(1).cast("long")),
+            "profiles": profiles([x0, x1]) == query_profiles(two, [0, 1]),
+            "intersections": subset_test(two, [x0, x1]),
+        }
+        for kind, test in tests.items():
+            t = time.monotonic()
+            kept = pairs.where(test).count()
+            rows.append((name, kind, str(q), pairs.count(), kept, time.monotonic() - t))
+    return spark.createDataFrame(rows, "hypergraph string, test string, query_id string, checked long, kept long, seconds double")
+
+
+def unlabelled_difficulty(spark: SparkSession, sf_dir: str, size: int = 2, n: int = 2, seed: int = 0, most: int = 50_000) -> DataFrame:
+    """The same walks over the same edges with and without labels: candidates, connections, embeddings (up to `most`) and cell checks."""
+    rows = []
+    labelled, plain = (hypergraph(spark, sf_dir, x).materialise() for x in ("basket_type", "basket_plain"))
+    w = walks.sample(labelled, size, n, seed)
+    for name, h in (("basket_type", labelled), ("basket_plain", plain)):
+        for q, p in walks.patterns(h, w).items():
+            space = prune_to_fixpoint(p, build_space(p, h))
+            rows.append({"hypergraph": name, "query_id": str(q), "candidates": space.candidates.count(), "connections": space.connections.count() // 2, **effort(p, space, most=most)})
+    return spark.createDataFrame(rows)
