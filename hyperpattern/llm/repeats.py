@@ -173,7 +173,7 @@ def runs_of_starts(texts: DataFrame, length: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for first, n in K.parts(batch.column(1), 1 << 20):
+            for first, n in K.parts(batch.column(1)):
                 part = batch.slice(first, n)
                 b, starts = K.joined(part.column(1))
                 raw = b.tobytes()

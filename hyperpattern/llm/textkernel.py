@@ -40,7 +40,7 @@ class Powers:
 
     def upto(self, n: int) -> tuple[np.ndarray, np.ndarray]:
         if len(self.up) < n:
-            n = max(n, 1 << 20)
+            n = max(n, 1 << 19)
             self.up, self.down = (np.concatenate([np.ones(1, U), np.cumprod(np.full(n - 1, b, U))]) for b in (self.base, self.inverse))
         return self.up[:n], self.down[:n]
 
@@ -86,11 +86,12 @@ def words(b: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return edge[::2], edge[1::2], lower[b]
 
 
-def parts(texts: pa.Array, most_bytes: int = 2 << 20):
+def parts(texts: pa.Array, most_bytes: int = 1 << 19):
     """Slices (first, count) of about most_bytes each; a longer text is a slice of its own."""
     sizes = np.array([len(t.as_buffer()) if t.is_valid else 0 for t in texts], np.int64)
     at = 0
     while at < len(sizes):
         n = max(1, int(np.searchsorted(np.cumsum(sizes[at:]), most_bytes, side="right")))
         yield at, n
+        pa.default_memory_pool().release_unused()
         at += n
