@@ -1,0 +1,19 @@
+"""Which engine searches a pruned candidate space, from its measured size."""
+
+from __future__ import annotations
+
+import logging
+
+from .candidates import CandidateSpace
+
+log = logging.getLogger(__name__)
+
+#: A space of at most so many candidates and connections is searched by executors that each hold all of it.
+LOCAL_LIMIT = 200_000
+
+
+def choose(space: CandidateSpace, limit: int = LOCAL_LIMIT) -> str:
+    candidates, connections = space.candidates.count(), space.connections.count()
+    engine = "local" if candidates + connections <= limit else "wavefront"
+    log.info("%s candidates, %s connections: %s", candidates, connections, engine)
+    return engine

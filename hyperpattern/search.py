@@ -16,11 +16,10 @@ from .localsearch import match_local
 from .model import HypergraphFrame
 from .order import order_key
 from .pattern import PatternGraph
+from .plan import choose
 from .storage import held
 
 PRUNES = {"none": (False, False), "connectivity": (True, False), "intersection": (False, True), "both": (True, True)}
-#: A pruned space of at most so many candidates and connections is searched by executors that each hold all of it.
-LOCAL_LIMIT = 200_000
 
 
 def _bit(q: Column) -> Column:
@@ -90,7 +89,7 @@ def match(h: HypergraphFrame, p: PatternGraph, order: str = "dynamic", prune: st
         kind = dict(space.candidates.dtypes)["f"]
         return h.edges.sparkSession.createDataFrame([], ", ".join(f"m{q} {kind}" for q in range(p.size)))
     if engine == "auto":
-        engine = "local" if space.candidates.count() + space.connections.count() <= LOCAL_LIMIT else "wavefront"
+        engine = choose(space)
     if engine == "local":
         out = match_local(p, space, order, prune, non_simple, limit)
     else:

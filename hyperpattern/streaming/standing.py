@@ -52,3 +52,29 @@ def standing_query(edge_stream: DataFrame, p: PatternGraph, store: str, report:
             report(delta_matches(old, new, p), number)
 
     return edge_stream.writeStream.outputMode("append").option("checkpointLocation", checkpoint).foreachBatch(step).start()
+
+
+def new_edges(edge_stream: DataFrame, ts: str, delay: str = "1 hour") -> DataFrame:
+    """Hyperedges (with a time column ts and members) whose vertex set wasn't seen within the watermark."""
+    return edge_stream.withColumn("members_key", F.to_json("members")).withWatermark(ts, delay).dropDuplicatesWithinWatermark(["members_key"]).drop("members_key")
+
+
+def recent_by_signature(edge_stream: DataFrame, ttl_ms: int) -> DataFrame:
+    """sig, n, latest: for each signature of (sig string, at long in ms), how many hyperedges came within ttl_ms of the latest, kept as state.
+
+    The state of a signature is the times still inside, so it is bounded by the rate times ttl_ms; there is one for each
+    signature ever seen.
+    """
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+
+    def update(key: tuple, frames, state: GroupState):
+        times = list(state.get[0]) if state.exists else []
+        for f in frames:
+            times += f["at"].tolist()
+        latest = max(times)
+        times = [t for t in times if t > latest - ttl_ms]
+        state.update((times,))
+        yield pd.DataFrame({"sig": [key[0]], "n": [len(times)], "latest": [latest]})
+
+    return edge_stream.groupBy("sig").applyInPandasWithState(update, "sig string, n long, latest long", "times array<long>", "update", GroupStateTimeout.NoTimeout)

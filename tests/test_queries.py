@@ -86,3 +86,19 @@ def test_streamed_equals_batch_and_late_events_change_nothing(spark, tmp_path):
     batch = sorted(tuple(r) for r in match(kept, p).collect())
     assert sorted(seen) == batch and len(batch) > 0
     assert all(m["v"] != 7 for r in kept.edges.collect() for m in r["members"])
+
+
+def test_stateful_streams(spark, tmp_path):
+    from hyperpattern.streaming.standing import new_edges, recent_by_signature
+
+    src = tmp_path / "edges"
+    src.mkdir()
+    for i, part in enumerate(([("A", 1000, [1, 2]), ("A", 1500, [1, 2])], [("A", 6000, [1, 3]), ("B", 6000, [4])])):
+        spark.createDataFrame(part, "sig string, at long, members array<long>").coalesce(1).write.mode("append").parquet(str(src / f"p{i}"))
+    stream = spark.readStream.schema("sig string, at long, members array<long>").option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(str(src))
+    seen, kept = [], []
+    for frame, out, mode in ((recent_by_signature(stream, 3000), seen, "update"), (new_edges(stream.withColumn("ts", F.timestamp_millis("at")), "ts"), kept, "append")):
+        q = frame.writeStream.outputMode(mode).option("checkpointLocation", str(tmp_path / f"c-{mode}")).foreachBatch(lambda df, n, out=out: out.extend(df.collect())).trigger(availableNow=True).start()
+        assert q.awaitTermination(90)
+    assert {(r["sig"], r["n"]) for r in seen if r["latest"] == 6000} == {("A", 1), ("B", 1)}
+    assert sorted(r["members"] for r in kept) == [[1, 2], [1, 3], [4]]
