@@ -1,11 +1,13 @@
 """Toxicity from the nearest labelled examples by exact TF-IDF cosine.
 
 Terms are words and the 4- to 7-byte beginnings of longer words. The labelled sample, of at most EXAMPLES rows of each
-label, gives the vocabulary (terms tied to the label by chi-square) and the examples; document frequencies come from all
-documents. The examples are an inverted index whose postings lie in blocks with a largest weight for each term. A
-document's blocks are taken in order of the bound that these give on a cosine, and the search ends when no block left
-can hold a nearer example, so the neighbours are exact. Their votes, weighted by cosine and by how the labels were
-sampled, are calibrated on the examples themselves, each scored without itself, by pooling adjacent violators.
+label, gives the examples, with all their terms; document frequencies come from all documents, and terms tied to
+label 1 weigh EMPHASIS times as much as their TF-IDF, the others as it is; none is dropped. The examples are an
+inverted index. A document's terms that many examples have are multiplied as dense rows, its other terms add their
+postings, and all examples that rounding leaves near the last place are weighed again in double precision, so the
+neighbours are exact and every text that shares a term with an example has some. Their votes, weighted by cosine and by
+how the labels were sampled, are calibrated on the examples themselves, each scored without itself, by pooling adjacent
+violators.
 """
 
 from __future__ import annotations
@@ -15,18 +17,21 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import textkernel as K
 from .shared import small, table, text_or_empty, written
 
-#: Bounds of the fitted part: labelled rows of each label, and terms.
-EXAMPLES, TERMS = 8000, 2048
-NEIGHBOURS, BLOCK, PRIOR_WEIGHT = 16, 64, 0.25
+#: Bound of the fitted part: labelled rows of each label.
+EXAMPLES = 8000
+NEIGHBOURS, PRIOR_WEIGHT = 16, 0.25
 PREFIXES = (4, 5, 6, 7)
-#: A term is kept if it is tied to the label this strongly: chi-square, rows with label 1 (and their share), and how many times commoner there.
-CHI_SQUARE, LEAST_ROWS, LEAST_SHARE, RATIO = 20.0, 4, 1 / 250, 5
+#: A term is tied to label 1 by chi-square, rows with label 1 (and their share), and how many times commoner there; such a term weighs EMPHASIS times its TF-IDF.
+CHI_SQUARE, LEAST_ROWS, LEAST_SHARE, RATIO, EMPHASIS = 20.0, 4, 1 / 250, 5, 4.0
+#: Terms that more than one in COMMON examples have, at most DENSE of them, are dense rows. Texts are searched ROWS at a time. ROUNDING: more than single precision can be off in a cosine.
+COMMON, DENSE, ROWS, ROUNDING = 64, 1024, 128, 1e-5
 
 
 def terms(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -43,21 +48,30 @@ def terms(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 
 class Lookup:
-    """Numbers of known hashes; a table of 2**16 flags turns most others away first."""
+    """Numbers of known hashes; the first bits of a hash give the place where its likes begin."""
 
     def __init__(self, sorted_hashes: np.ndarray):
         self.known = sorted_hashes
-        self.flag = np.zeros(1 << 16, bool)
-        self.flag[(sorted_hashes >> np.uint64(48)).astype(np.int64)] = True
+        bits = max(1, len(sorted_hashes).bit_length())
+        self.shift = np.uint64(64 - bits)
+        n = np.bincount((sorted_hashes >> self.shift).astype(np.int64), minlength=1 << bits)
+        self.first = np.concatenate([[0], np.cumsum(n)])
+        self.most = int(n.max())
 
     def find(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(places in hashes, numbers)."""
-        may = np.flatnonzero(self.flag[(hashes >> np.uint64(48)).astype(np.int64)])
-        if not len(may) or not len(self.known):
-            return np.zeros(0, np.int64), np.zeros(0, np.int64)
-        k = np.minimum(np.searchsorted(self.known, hashes[may]), len(self.known) - 1)
-        same = self.known[k] == hashes[may]
-        return may[same], k[same]
+        """(places in hashes, numbers), by place."""
+        number = np.full(len(hashes), -1, np.int64)
+        left = np.arange(len(hashes))
+        bucket = (hashes >> self.shift).astype(np.int64)
+        at, end = self.first[bucket], self.first[bucket + 1]
+        for _ in range(self.most):
+            more = at < end
+            left, at, end = left[more], at[more], end[more]
+            same = self.known[at] == hashes[left]
+            number[left[same]] = at[same]
+            left, at, end = left[~same], at[~same] + 1, end[~same]
+        place = np.flatnonzero(number >= 0)
+        return place, number[place]
 
 
 def term_counts(texts: pa.Array, lookup: Lookup) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -75,11 +89,11 @@ def weights(doc: np.ndarray, term: np.ndarray, n: np.ndarray, idf: np.ndarray, t
 
 
 @dataclass
-class BlockMaxIndex:
-    """Examples in blocks of BLOCK; postings by (term, block); largest[term, block] bounds what a block can add for a term."""
+class InvertedIndex:
+    """All terms of all examples: postings by term, and largest[term, 0], the largest weight of a term."""
 
     largest: np.ndarray
-    pointer: np.ndarray  # of (term, block) into the postings
+    pointer: np.ndarray  # of a term into the postings
     example: np.ndarray
     weight: np.ndarray
     label: np.ndarray
@@ -88,50 +102,81 @@ class BlockMaxIndex:
 
     @classmethod
     def build(cls, doc, term, weight, label, vote, name, n_terms):
-        n = len(label)
-        heavy = np.zeros(n, np.int64)
-        order = np.argsort(weight, kind="stable")
-        heavy[doc[order]] = term[order]  # the heaviest term of each example; alike examples share blocks
-        by = np.lexsort((name, heavy))
-        new = np.empty(n, np.int64)
-        new[by] = np.arange(n)
-        doc = new[doc]
-        blocks = max(1, -(-n // BLOCK))
-        order = np.lexsort((doc, term))
-        doc, term, weight = doc[order], term[order], weight[order]
-        cell = term * blocks + doc // BLOCK
-        pointer = np.searchsorted(cell, np.arange(n_terms * blocks + 1))
-        largest = np.zeros(n_terms * blocks)
-        np.maximum.at(largest, cell, weight)
-        return cls(largest.reshape(n_terms, blocks), pointer, doc, weight, label[by], vote[by], name[by])
+        order = np.argsort(term, kind="stable")
+        term, doc, weight = term[order], doc[order].astype(np.int32), weight[order].astype(np.float32)
+        pointer = np.searchsorted(term, np.arange(n_terms + 1))
+        largest = np.zeros(n_terms)
+        np.maximum.at(largest, term, weight)
+        return cls(largest[:, None], pointer, doc, weight, label, vote, name)
+
+    def __getstate__(self):
+        return {k: v for k, v in self.__dict__.items() if k != "_forms"}
+
+    def forms(self) -> tuple:
+        """Made once in a process: (row of a common term or -1, dense rows, first posting, terms and weights of each example)."""
+        if not hasattr(self, "_forms"):
+            n, lengths = len(self.label), np.diff(self.pointer)
+            common = np.argsort(-lengths, kind="stable")[:DENSE]
+            common = common[lengths[common] > n / COMMON]
+            row = np.full(len(lengths), -1, np.int32)
+            row[common] = np.arange(len(common))
+            dense = np.zeros((len(common), n), np.float32)
+            for i, t in enumerate(common):
+                own = slice(self.pointer[t], self.pointer[t + 1])
+                dense[i, self.example[own]] = self.weight[own]
+            order = np.argsort(self.example, kind="stable")
+            term = np.repeat(np.arange(len(lengths), dtype=np.int32), lengths)[order]
+            start = np.concatenate([[0], np.cumsum(np.bincount(self.example, minlength=n))])
+            self._forms = row, dense, start, term, self.weight[order]
+        return self._forms
+
+    def search(self, doc: np.ndarray, term: np.ndarray, weight: np.ndarray, k: int = NEIGHBOURS, skip: np.ndarray | None = None) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+        """(text, examples, cosines) of each text of the sorted triples: the k nearest with a cosine over 0, nearest first; ties go to the lower example. skip: an example to leave out for each text."""
+        row, dense, start, own_term, own_weight = self.forms()
+        n = len(self.label)
+        query = np.zeros(len(row))
+        edge = np.flatnonzero(np.diff(doc, prepend=-1, append=-2))
+        for first in range(0, len(edge) - 1, ROWS):
+            last = min(first + ROWS, len(edge) - 1)
+            lo, hi = edge[first], edge[last]
+            at = np.repeat(np.arange(last - first), np.diff(edge[first : last + 1]))
+            own = row[term[lo:hi]]
+            left = np.zeros((last - first, len(dense)), np.float32)
+            left[at[own >= 0], own[own >= 0]] = weight[lo:hi][own >= 0]
+            score = left @ dense
+            for i in range(last - first):
+                t, w = term[edge[first + i] : edge[first + i + 1]], weight[edge[first + i] : edge[first + i + 1]]
+                t, w = t[row[t] < 0], w[row[t] < 0]
+                m = self.pointer[t + 1] - self.pointer[t]
+                place = np.arange(m.sum()) + np.repeat(self.pointer[t] - (np.cumsum(m) - m), m)
+                score[i] += np.bincount(self.example[place], np.repeat(w, m) * self.weight[place], n)
+            texts = doc[edge[first:last]]
+            if skip is not None:
+                score[np.arange(last - first), skip[texts]] = 0
+            least = np.partition(score, n - k, axis=1)[:, n - k] - ROUNDING if n > k else np.zeros(last - first)
+            near, found = np.nonzero((score >= least[:, None]) & (score > 0))
+            bound = np.searchsorted(near, np.arange(last - first + 1))
+            for i in range(last - first):
+                e = found[bound[i] : bound[i + 1]]
+                a, b = edge[first + i], edge[first + i + 1]
+                query[term[a:b]] = weight[a:b]
+                s = np.array([own_weight[start[x] : start[x + 1]] @ query[own_term[start[x] : start[x + 1]]] for x in e])
+                query[term[a:b]] = 0
+                order = np.lexsort((e, -s))[:k]
+                yield int(texts[i]), e[order], s[order]
 
     def nearest(self, term: np.ndarray, weight: np.ndarray, k: int = NEIGHBOURS, skip: int = -1) -> tuple[np.ndarray, np.ndarray]:
-        """(examples, cosines) of the k nearest with a cosine over 0, nearest first; ties go to the lower example."""
-        blocks = self.largest.shape[1]
-        bound = weight @ self.largest[term]
-        best_e, best_s = np.zeros(0, np.int64), np.zeros(0)
-        for b in np.argsort(-bound, kind="stable"):
-            if bound[b] <= 0 or len(best_s) == k and bound[b] < best_s[-1]:
-                break
-            score = np.zeros(BLOCK)
-            for t, w in zip(term, weight, strict=True):
-                lo, hi = self.pointer[t * blocks + b], self.pointer[t * blocks + b + 1]
-                score[self.example[lo:hi] - b * BLOCK] += w * self.weight[lo:hi]
-            if 0 <= skip - b * BLOCK < BLOCK:
-                score[skip - b * BLOCK] = 0
-            own = np.flatnonzero(score > 0)
-            e, s = np.concatenate([best_e, own + b * BLOCK]), np.concatenate([best_s, score[own]])
-            order = np.lexsort((e, -s))[:k]
-            best_e, best_s = e[order], s[order]
-        return best_e, best_s
+        """(examples, cosines) of one text."""
+        found = self.search(np.zeros(len(term), np.int64), term, weight, k, None if skip < 0 else np.array([skip]))
+        return next(((e, s) for _, e, s in found), (np.zeros(0, np.int64), np.zeros(0)))
 
 
 @dataclass
 class Model:
     hashes: np.ndarray
-    idf: np.ndarray
-    index: BlockMaxIndex | None
-    base: float  # share of label 1 among rows without known terms
+    idf: np.ndarray  # with the emphasis
+    index: InvertedIndex | None
+    base: float  # share of label 1 among rows without terms
     bounds: np.ndarray
     values: np.ndarray
 
@@ -149,12 +194,10 @@ class Model:
             return out, evidence
         doc, term, n = term_counts(texts, Lookup(self.hashes))
         w = weights(doc, term, n, self.idf, len(texts))
-        edge = np.flatnonzero(np.diff(doc, prepend=-1, append=-2))
-        for lo, hi in zip(edge[:-1], edge[1:], strict=True):
-            e, s = self.index.nearest(term[lo:hi], w[lo:hi])
+        for i, e, s in self.index.search(doc, term, w):
             if len(e):
-                out[doc[lo]] = self.calibrated(self.vote(e, s))
-                evidence[doc[lo]] = [(int(self.index.name[x]), float(y), int(self.index.label[x])) for x, y in zip(e[:3], s[:3], strict=True)]
+                out[i] = self.calibrated(self.vote(e, s))
+                evidence[i] = [(int(self.index.name[x]), float(y), int(self.index.label[x])) for x, y in zip(e[:3], s[:3], strict=True)]
         return out, evidence
 
 
@@ -188,8 +231,8 @@ def learnable(labels: DataFrame) -> DataFrame:
     return labels.where((rest != 0) & F.col("toxic").isNotNull()).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
 
 
-def fit(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES, n_terms: int = TERMS) -> Model:
-    """A model of bounded size from docs (doc_id, text) and labels (doc_id, toxic). Without labelled rows all scores are 0."""
+def fit(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES) -> Model:
+    """A model of bounded many examples from docs (doc_id, text) and labels (doc_id, toxic). Without labelled rows all scores are 0."""
     allowed = written(learnable(labels), "learnable")
     text = text_or_empty()
     labelled = docs.join(small(allowed), "doc_id").select(F.xxhash64(text).alias("name"), "toxic", text.alias("text"))
@@ -219,58 +262,64 @@ def fit(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES, n_terms: i
         return [pa.array(known.view(np.int64)), pa.array(pos), pa.array(np.bincount(back, minlength=len(known)).astype(np.int64) - pos)]
 
     distinct = sample.dropDuplicates(["name", "toxic"])  # copies of a text are one witness
-    counted = _batched(by_label, distinct, ["toxic", "text"], "term long, pos long, neg long").groupBy("term").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg"))
-    a, b = F.col("pos").cast("double"), F.col("neg").cast("double")
-    c, d = n[1] - a, n[0] - b
-    chi = (n[0] + n[1]) * F.pow(a * d - b * c, F.lit(2.0)) / ((a + b) * (c + d) * float(n[1]) * float(n[0]) + 1e-9)
-    tied = counted.where((a / n[1] > RATIO * b / n[0]) & (a >= max(LEAST_ROWS, n[1] * LEAST_SHARE))).select("term", chi.alias("chi")).where(F.col("chi") >= CHI_SQUARE)
-    chosen = [r["term"] for r in tied.orderBy(F.desc("chi"), "term").limit(n_terms).collect()]  # at most n_terms
-    hashes = np.sort(np.array(chosen, np.int64).view(np.uint64))
+    counted = _batched(by_label, distinct, ["toxic", "text"], "term long, pos long, neg long").groupBy("term").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg")).toArrow()  # all terms of at most 2 * examples texts
+    hashes, a, b = counted.column("term").to_numpy().view(np.uint64), *(counted.column(x).to_numpy().astype(float) for x in ("pos", "neg"))
+    order = np.argsort(hashes)
+    hashes, a, b = hashes[order], a[order], b[order]
+    chi = (n[0] + n[1]) * (a * (n[0] - b) - b * (n[1] - a)) ** 2 / ((a + b) * (n[1] - a + n[0] - b) * float(n[1]) * float(n[0]) + 1e-9)
+    tied = (a / n[1] > RATIO * b / n[0]) & (a >= max(LEAST_ROWS, n[1] * LEAST_SHARE)) & (chi >= CHI_SQUARE)
     if not len(hashes):
         empty.base = have[1] / (have[0] + have[1])
         return empty
+    shared = docs.sparkSession.sparkContext.broadcast(hashes)
 
-    def frequencies(batch: pa.RecordBatch) -> list:
-        _, term, _ = term_counts(batch.column(0), Lookup(hashes))
-        k, m = np.unique(term, return_counts=True)
-        return [pa.array(k), pa.array(m.astype(np.int64))]
+    def frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lookup = Lookup(shared.value)
+        n = np.zeros(len(lookup.known), np.int64)
+        for batch in batches:
+            for at, m in K.parts(batch.column(0)):
+                n += np.bincount(term_counts(batch.column(0).slice(at, m), lookup)[1], minlength=len(n))
+        seen = np.flatnonzero(n)
+        for at in range(0, len(seen), 1 << 16):
+            k = seen[at : at + (1 << 16)]
+            yield pa.RecordBatch.from_arrays([pa.array(k), pa.array(n[k])], names=["term", "n"])
 
     df = np.zeros(len(hashes))
     every = docs.select(text.alias("text"))
-    for r in _batched(frequencies, every, ["text"], "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).collect():
-        df[r["term"]] = r["n"]
-    idf = np.log((1 + docs.count()) / (1 + df)) + 1
+    counted = every.mapInArrow(frequencies, "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).toArrow()
+    df[counted.column("term").to_numpy()] = counted.column("n").to_numpy()
+    idf = (np.log((1 + docs.count()) / (1 + df)) + 1) * np.where(tied, EMPHASIS, 1.0)
+    given = docs.sparkSession.sparkContext.broadcast(idf)
 
     def vectors(batch: pa.RecordBatch) -> list:
-        doc, term, m = term_counts(batch.column(2), Lookup(hashes))
-        w = weights(doc, term, m, idf, batch.num_rows)
+        doc, term, m = term_counts(batch.column(2), Lookup(shared.value))
+        w = weights(doc, term, m, given.value, batch.num_rows)
         edge = np.searchsorted(doc, np.arange(batch.num_rows + 1)).astype(np.int32)
-        lists = [pa.ListArray.from_arrays(pa.array(edge), pa.array(v)) for v in (term.astype(np.int64), w)]
+        lists = [pa.ListArray.from_arrays(pa.array(edge), pa.array(v)) for v in (term.astype(np.int32), w.astype(np.float32))]
         return [batch.column(0), batch.column(1), *lists]
 
-    rows = _batched(vectors, sample, ["name", "toxic", "text"], "name long, toxic int, term array<long>, weight array<double>")
-    rows = rows.groupBy("name", "toxic").agg(F.first("term").alias("term"), F.first("weight").alias("weight"), F.count("*").alias("n")).collect()  # at most 2 * examples
-    return _index(hashes, idf, [(r["name"], r["toxic"], r["term"], r["weight"], r["n"]) for r in sorted(rows, key=lambda r: (r["name"], r["toxic"]))], {y: have[y] / n[y] for y in n})
-
-
-def _index(hashes: np.ndarray, idf: np.ndarray, rows: list[tuple], rate: dict[int, float]) -> Model:
-    none = {y: sum(n * rate[y] for _, t, term, _, n in rows if t == y and not term) for y in rate}
-    every = {y: sum(n * rate[y] for _, t, _, _, n in rows if t == y) for y in rate}
-    base = none[1] / (none[0] + none[1]) if none[0] + none[1] else every[1] / (every[0] + every[1])
-    rows = [r for r in rows if r[2]]
-    doc = np.repeat(np.arange(len(rows)), [len(r[2]) for r in rows])
-    term = np.array([t for r in rows for t in r[2]], np.int64)
-    weight = np.array([w for r in rows for w in r[3]])
-    label = np.array([r[1] for r in rows], float)
-    vote = np.array([rate[r[1]] * r[4] for r in rows]) / min(rate.values())
-    index = BlockMaxIndex.build(doc, term, weight, label, vote, np.array([r[0] for r in rows], np.int64), len(hashes))
+    rows = _batched(vectors, sample, ["name", "toxic", "text"], "name long, toxic int, term array<int>, weight array<float>")
+    rows = rows.groupBy("name", "toxic").agg(F.first("term").alias("term"), F.first("weight").alias("weight"), F.count("*").alias("n")).toArrow()  # at most 2 * examples
+    return _index(hashes, idf, rows.sort_by([("name", "ascending"), ("toxic", "ascending")]), {y: have[y] / n[y] for y in n})
+
+
+def _index(hashes: np.ndarray, idf: np.ndarray, rows: pa.Table, rate: dict[int, float]) -> Model:
+    rows = rows.combine_chunks()
+    name, label, copies = (rows.column(c).to_numpy() for c in ("name", "toxic", "n"))
+    lengths = pc.list_value_length(rows.column("term")).to_numpy()
+    mass = copies * np.where(label == 1, rate[1], rate[0])
+    blank = lengths == 0
+    of = blank if blank.any() else ~blank
+    base = float(mass[of & (label == 1)].sum() / mass[of].sum())
+    term, weight = (pc.list_flatten(rows.column(c)).to_numpy() for c in ("term", "weight"))
+    some = np.flatnonzero(~blank)
+    doc = np.repeat(np.arange(len(some)), lengths[some])
+    index = InvertedIndex.build(doc, term, weight, label[some].astype(float), mass[some] / min(rate.values()), name[some], len(hashes))
     model = Model(hashes, idf, index, base, np.zeros(0), np.zeros(0))
-    by_name = {(int(m), int(y)): i for i, (m, y) in enumerate(zip(index.name, index.label, strict=True))}
-    votes = np.zeros(len(rows))
-    for name, y, t, w, _ in rows:
-        i = by_name[name, y]
-        e, s = index.nearest(np.array(t), np.array(w), skip=i)
-        votes[i] = model.vote(e, s) if len(e) else base
+    votes = np.full(len(some), base)
+    for i, e, s in index.search(doc, term, weight, skip=np.arange(len(some))):
+        if len(e):
+            votes[i] = model.vote(e, s)
     model.bounds, model.values = pooled(votes, index.label, index.vote)
     return model
 
@@ -279,7 +328,7 @@ SCORED = "score double, evidence array<struct<example:long,cosine:double,toxic:i
 
 
 def score_texts(docs: DataFrame, model: Model, keep: list[str]) -> DataFrame:
-    """The columns in keep with score (0 to 1) and evidence; null and empty texts get the rate of rows without known terms."""
+    """The columns in keep with score (0 to 1) and evidence; null and empty texts, and texts that share no term with an example, get the rate of rows without terms."""
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(model)
     kept = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*keep).schema)

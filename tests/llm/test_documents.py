@@ -300,3 +300,21 @@ def test_toxicity(spark, none):
     assert toxicity.drop_toxic(docs.withColumn("score", F.lit("x")).withColumn("row", F.lit(1)), marks).columns == ["doc_id", "text", "score", "row"]
     assert toxicity.fit(docs, marks.limit(0)).base == 0.0
     assert toxicity.score_texts(none, model, ["doc_id"]).count() == 0
+
+
+def test_toxicity_searches_texts_without_label_words(spark):
+    r = random.Random(6)
+    word = lambda: "".join(r.choice("abcdefgh") for _ in range(5))
+    fill = [word() for _ in range(200)]
+    rows = [(i, " ".join(r.choice(fill) for _ in range(30)) + (" grimword vileness" if i % 5 == 1 else "")) for i in range(300)]
+    rows[1] = (1, "zzyzx " + " ".join(fill[:12]))  # a toxic example without any label word
+    rows += [(1000, rows[1][1]), (1001, fill[3]), (1002, "zzyzx"), (1003, "unheardof")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    marks = spark.createDataFrame([(i, int(i % 5 == 1)) for i in range(300)], "doc_id long, toxic int")
+    learnt = {x["doc_id"] for x in toxicity.learnable(marks).collect()}
+    assert 1 in learnt
+    model = toxicity.fit(docs, marks)
+    got = {x["doc_id"]: x for x in toxicity.score_texts(docs, model, ["doc_id"]).collect()}
+    assert (round(got[1000]["evidence"][0]["cosine"], 5), got[1000]["evidence"][0]["toxic"]) == (1.0, 1)
+    assert got[1002]["evidence"][0]["toxic"] == 1 and all(got[i]["evidence"] for i in [*range(300), 1001])
+    assert not got[1003]["evidence"] and got[1003]["score"] == model.base
