@@ -16,7 +16,6 @@ from .shared import small, table, text_or_empty, written
 
 SHINGLE, THRESHOLD = 9, 0.8
 BANDS, ROWS = 6, 3
-FEW, MANY, SAMPLE = 160, 200, 4
 
 
 def _held(df: DataFrame, name: str, value: Column) -> DataFrame:
@@ -50,19 +49,15 @@ def verified_lines(threshold: float):
 def band_keys(lines: DataFrame) -> DataFrame:
     """node, keys for lines (node, line), each node once: the least hash of each of BANDS * ROWS parts of a line's shingles, ROWS of them a key.
 
-    Lines of FEW bytes and more are also signed by one in SAMPLE of their shingles, chosen by hash, and lines of MANY
-    bytes and more only so. Lines that reach a similarity of 0.8 differ in length by a factor of at most FEW / MANY, so
-    they are signed alike. Exploding and adding up stay in generated code, which lambdas over arrays don't.
+    All lines are signed alike, by all their shingles. Exploding and adding up stay in generated code, which lambdas over
+    arrays don't.
     """
-    n = F.octet_length("line")
-    ways = F.when(n < FEW, F.array(F.lit(0))).when(n < MANY, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(1)))
-    held = _held(lines.select("node", "line"), "_bytes", F.col("line").cast("binary")).select("node", "_bytes", F.explode(ways).alias("_way"))
-    rows = held.select("node", "_way", "_bytes", F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), F.octet_length("_bytes") - (SHINGLE - 1)))).alias("_i"))
-    rows = rows.select("node", "_way", F.hash(F.substring("_bytes", F.col("_i"), F.lit(SHINGLE))).alias("h"))
-    rows = rows.where((F.col("_way") == 0) | (F.col("h").bitwiseAND(SAMPLE - 1) == 0))
-    rows = rows.select("node", "_way", "h", F.pmod(F.shiftright("h", 4), F.lit(BANDS * ROWS)).alias("_part"))
-    least = rows.groupBy("node", "_way").agg(*[F.min(F.when(F.col("_part") == j, F.col("h"))).alias(f"_{j}") for j in range(BANDS * ROWS)])
-    key = lambda b: F.when(F.coalesce(*[F.col(f"_{b * ROWS + i}") for i in range(ROWS)]).isNotNull(), F.xxhash64("_way", F.lit(b), *[F.col(f"_{b * ROWS + i}") for i in range(ROWS)]))
+    held = _held(lines.select("node", "line"), "_bytes", F.col("line").cast("binary")).select("node", "_bytes")
+    rows = held.select("node", "_bytes", F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), F.octet_length("_bytes") - (SHINGLE - 1)))).alias("_i"))
+    rows = rows.select("node", F.hash(F.substring("_bytes", F.col("_i"), F.lit(SHINGLE))).alias("h"))
+    rows = rows.select("node", "h", F.pmod(F.shiftright("h", 4), F.lit(BANDS * ROWS)).alias("_part"))
+    least = rows.groupBy("node").agg(*[F.min(F.when(F.col("_part") == j, F.col("h"))).alias(f"_{j}") for j in range(BANDS * ROWS)])
+    key = lambda b: F.when(F.coalesce(*[F.col(f"_{b * ROWS + i}") for i in range(ROWS)]).isNotNull(), F.xxhash64(F.lit(b), *[F.col(f"_{b * ROWS + i}") for i in range(ROWS)]))
     return least.select("node", F.array_compact(F.array(*[key(b) for b in range(BANDS)])).alias("keys"))
 
 

@@ -318,3 +318,10 @@ def test_toxicity_searches_texts_without_label_words(spark):
     assert (round(got[1000]["evidence"][0]["cosine"], 5), got[1000]["evidence"][0]["toxic"]) == (1.0, 1)
     assert got[1002]["evidence"][0]["toxic"] == 1 and all(got[i]["evidence"] for i in [*range(300), 1001])
     assert not got[1003]["evidence"] and got[1003]["score"] == model.base
+
+
+def test_lines_that_repeat_themselves_are_alike_at_any_length(spark):
+    text = "buy now and save big! " * 20
+    docs = spark.createDataFrame([(i, text[:n]) for i, n in enumerate((120, 150, 230, 400))], "doc_id long, text string")
+    got = {x["doc_id"]: x for x in line_dedup.judged_lines(docs).collect()}
+    assert len({x["component"] for x in got.values()}) == 1 and [got[i]["kept"] for i in range(4)] == [True, False, False, False]
