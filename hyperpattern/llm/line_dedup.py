@@ -15,7 +15,7 @@ from .components import alike, linked
 from .shared import small, table, text_or_empty, written
 
 SHINGLE, THRESHOLD = 9, 0.8
-BANDS, ROWS = 6, 3
+BANDS, ROWS = 10, 3
 
 
 def _held(df: DataFrame, name: str, value: Column) -> DataFrame:

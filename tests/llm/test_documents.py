@@ -325,3 +325,22 @@ def test_lines_that_repeat_themselves_are_alike_at_any_length(spark):
     docs = spark.createDataFrame([(i, text[:n]) for i, n in enumerate((120, 150, 230, 400))], "doc_id long, text string")
     got = {x["doc_id"]: x for x in line_dedup.judged_lines(docs).collect()}
     assert len({x["component"] for x in got.values()}) == 1 and [got[i]["kept"] for i in range(4)] == [True, False, False, False]
+
+
+def test_alike_lines_share_a_key(spark):
+    r = random.Random(1)
+    word = lambda: "".join(r.choice("abcdefghij") for _ in range(r.randint(2, 8)))
+    runs = lambda x: {x[i : i + 9] for i in range(len(x) - 8)}
+    rows = []
+    while len(rows) < 4000:
+        w = [word() for _ in range(45)]
+        line = " ".join(w)
+        alike = 1.0
+        while alike > 0.85:
+            w[r.randrange(45)] = word()
+            a, b = runs(line), runs(" ".join(w))
+            alike = len(a & b) / len(a | b)
+        if alike >= 0.8:
+            rows += [(len(rows), line), (len(rows) + 1, " ".join(w))]
+    keys = {x["node"]: set(x["keys"]) for x in line_dedup.band_keys(spark.createDataFrame(rows, "node long, line string")).collect()}
+    assert sum(not keys[i] & keys[i + 1] for i in range(0, 4000, 2)) <= 3
