@@ -140,6 +140,7 @@ _add("experiment_pruning_ablation", lambda s, d: workloads.pruning_ablation(s, d
 _add("experiment_verification_times", lambda s, d: workloads.verification_times(s, d, "coactive_10m", 3, 2))
 _add("experiment_unlabelled_difficulty", lambda s, d: workloads.unlabelled_difficulty(s, d, 2, 1, most=2000))
 _add("experiment_dataset_statistics", lambda s, d: workloads.dataset_statistics(s, d, ("basket_type", "coactive_10m", "nation_members")), " UNION ALL ".join(f"SELECT '{n}' AS hypergraph, * FROM ({oracle.stats(n)})" for n in ("basket_type", "coactive_10m", "nation_members")))
+_add("experiment_dataset_statistics_all", lambda s, d: workloads.dataset_statistics(s, d), " UNION ALL ".join(f"SELECT '{n}' AS hypergraph, * FROM ({oracle.stats(n)})" for n in NAMES))
 _add("experiment_preprocessing", lambda s, d: workloads.preprocessing(s, d, ("coactive_10m",)))
 
 
@@ -158,6 +159,7 @@ _add("relational_rollup", lambda s, d: s.read.parquet(f"{d}/lineitem.parquet").r
 _add("relational_pivot", lambda s, d: s.read.parquet(f"{d}/orders.parquet").groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O", "P"]).count().select("o_orderpriority", *[F.coalesce(c, F.lit(0)).alias(f"n_{c.lower()}") for c in "FOP"]), "SELECT o_orderpriority, count(*) FILTER (o_orderstatus = 'F') AS n_f, count(*) FILTER (o_orderstatus = 'O') AS n_o, count(*) FILTER (o_orderstatus = 'P') AS n_p FROM orders GROUP BY o_orderpriority")
 _add("relational_top_vertices", lambda s, d: top_by_group(_h(s, d, "coactive_10m").incidence().groupBy("label", "v").agg(F.count("*").alias("degree")), ["label"], [F.desc("degree"), F.asc("v")], 3), f"WITH edges AS ({edges_sql('coactive_10m')}), i AS (SELECT CAST(split_part(t, '\t', 1) AS BIGINT) AS v, split_part(t, '\t', 2) AS label FROM (SELECT unnest(tagged) AS t FROM edges)), g AS (SELECT label, v, count(*) AS degree FROM i GROUP BY label, v) SELECT label, v, degree FROM g QUALIFY row_number() OVER (PARTITION BY label ORDER BY degree DESC, v) <= 3")
 _add("relational_interval_join", lambda s, d: interval_join(_events(s, d).select("event_id", "t"), "t", _orders(s, d).where("o_orderkey < 50").select("o_orderkey", F.col("t").alias("lo"), (F.col("t") + 86400 * 30).alias("hi")), "lo", "hi", 86400 * 30).select("event_id", "o_orderkey"), f"SELECT event_id, o_orderkey FROM ({_EV}) e JOIN (SELECT o_orderkey, CAST(floor(epoch(o_orderdate)) AS BIGINT) AS lo FROM orders WHERE o_orderkey < 50) o ON t >= lo AND t < lo + 86400 * 30")
+_add("relational_interval_join_all", lambda s, d: interval_join(_events(s, d).select("event_id", "t"), "t", _orders(s, d).select("o_orderkey", F.col("t").alias("lo"), (F.col("t") + 86400 * 30).alias("hi")), "lo", "hi", 86400 * 30).select("event_id", "o_orderkey"), f"SELECT event_id, o_orderkey FROM ({_EV}) e JOIN (SELECT o_orderkey, CAST(floor(epoch(o_orderdate)) AS BIGINT) AS lo FROM orders) o ON t >= lo AND t < lo + 86400 * 30")
 _add("relational_as_of_join", lambda s, d: as_of_join(_events(s, d).select("event_id", "user_id", "t"), _orders(s, d).groupBy("user_id", "t").agg(F.max("o_orderkey").alias("o_orderkey")), "user_id", "t", "o_orderkey"), f"SELECT e.event_id, e.user_id, e.t, o.o_orderkey FROM ({_EV}) e ASOF LEFT JOIN (SELECT o_custkey AS user_id, CAST(floor(epoch(o_orderdate)) AS BIGINT) AS t, max(o_orderkey) AS o_orderkey FROM orders GROUP BY 1, 2) o ON e.user_id = o.user_id AND e.t >= o.t")
 _add("relational_windows", lambda s, d: _events(s, d).select("event_id", F.lag("event_id").over(Window.partitionBy("user_id").orderBy("t", "event_id")).alias("before"), F.count("*").over(Window.partitionBy("user_id").orderBy("t").rangeBetween(-3600, 0)).alias("last_hour")), f"SELECT event_id, lag(event_id) OVER (PARTITION BY user_id ORDER BY t, event_id) AS before, count(*) OVER (PARTITION BY user_id ORDER BY t RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW) AS last_hour FROM ({_EV})")
 _add("relational_except_all", lambda s, d: s.read.parquet(f"{d}/customer.parquet").select("c_nationkey").exceptAll(s.read.parquet(f"{d}/supplier.parquet").select(F.col("s_nationkey").alias("c_nationkey"))), "SELECT c_nationkey FROM customer EXCEPT ALL SELECT s_nationkey FROM supplier")

@@ -115,12 +115,13 @@ def verification_times(spark: SparkSession, sf_dir: str, name: str = "supply_reg
 
 
 def unlabelled_difficulty(spark: SparkSession, sf_dir: str, size: int = 2, n: int = 2, seed: int = 0, most: int = 50_000) -> DataFrame:
-    """The same walks over the same edges with and without labels: candidates, connections, embeddings (up to `most`) and cell checks."""
+    """The same walks over the same edges with and without labels: candidates, connections, embeddings (up to `most`) and cell checks; truncated: the search ended at `most`, so the row's costs are lower bounds."""
     rows = []
     labelled, plain = (hypergraph(spark, sf_dir, x).materialise() for x in ("basket_type", "basket_plain"))
     w = walks.sample(labelled, size, n, seed)
     for name, h in (("basket_type", labelled), ("basket_plain", plain)):
         for q, p in walks.patterns(h, w).items():
             space = prune_to_fixpoint(p, build_space(p, h))
-            rows.append({"hypergraph": name, "query_id": str(q), "candidates": space.candidates.count(), "connections": space.connections.count() // 2, **effort(p, space, most=most)})
+            cost = effort(p, space, most=most)
+            rows.append({"hypergraph": name, "query_id": str(q), "candidates": space.candidates.count(), "connections": space.connections.count() // 2, **cost, "truncated": cost["embeddings"] == most})
     return spark.createDataFrame(rows)

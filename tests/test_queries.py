@@ -8,11 +8,12 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from hyperpattern import sources, walks
-from hyperpattern.carriers import hypergraph
+from hyperpattern.carriers import NAMES, hypergraph
 from hyperpattern.model import HypergraphFrame
 from hyperpattern.pattern import PatternGraph
 from hyperpattern.search import match
 from hyperpattern.streaming.standing import standing_query, windows
+from hyperpattern.workloads import unlabelled_difficulty
 
 SOME = ["stats_basket_type", "stats_vec_buckets", "match_coactive_pair", "filtered_coactive_chain", "walks_coactive", "disconnected_coactive", "baseline_overlap_coactive_triangle", "prune_none_coactive_chain", "relational_as_of_join", "relational_interval_join", "relational_top_vertices"]
 
@@ -102,3 +103,17 @@ def test_stateful_streams(spark, tmp_path):
         assert q.awaitTermination(90)
     assert {(r["sig"], r["n"]) for r in seen if r["latest"] == 6000} == {("A", 1), ("B", 1)}
     assert sorted(r["members"] for r in kept) == [[1, 2], [1, 3], [4]]
+
+
+@pytest.mark.parametrize("name", ["relational_interval_join_all", "experiment_dataset_statistics_all"])
+def test_whole_query_equals_sql(spark, data, name):
+    test_query_equals_sql(spark, data, name)
+
+
+def test_whole_queries_leave_nothing_out(spark, data, tmp_path):
+    spark.sql("select 1L as event_id, 2L as user_id, 'view' as event_type, timestamp '2024-01-10 00:00:00' as ts, 1.0D as value").write.parquet(f"{tmp_path}/events.parquet")
+    spark.sql("select k as o_orderkey, 2L as o_custkey, timestamp '2024-01-01 00:00:00' as o_orderdate from values (49L), (50L), (7000L) as t(k)").write.parquet(f"{tmp_path}/orders.parquet")
+    assert sorted(r["o_orderkey"] for r in entry.queries()["relational_interval_join_all"](spark, str(tmp_path)).collect()) == [49, 50, 7000]
+    assert {r["hypergraph"] for r in entry.queries()["experiment_dataset_statistics_all"](spark, data).collect()} == set(NAMES)
+    rows = unlabelled_difficulty(spark, data, 2, 1, most=2).collect()
+    assert any(r["truncated"] for r in rows) and all(r["truncated"] == (r["embeddings"] == 2) for r in rows)
