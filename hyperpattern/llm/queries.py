@@ -36,8 +36,8 @@ ORACLES: dict[str, str] = {
         WITH p AS (SELECT page_id, coalesce(html, '') AS html, sha1(coalesce(html, '')) AS h FROM pages),
         f AS (SELECT *, min(page_id) OVER (PARTITION BY h) AS least FROM p)
         SELECT page_id, strlen(html) AS payload_bytes, {_DIGEST} AS payload_digest,
-               CASE WHEN page_id = least THEN 'response' ELSE 'revisit' END AS record_type,
-               CASE WHEN page_id <> least THEN least END AS refers_to
+               CASE WHEN page_id IS NOT DISTINCT FROM least THEN 'response' ELSE 'revisit' END AS record_type,
+               CASE WHEN page_id IS DISTINCT FROM least THEN least END AS refers_to
         FROM f""",
     "op7_winnowing_decontamination": f"""
         WITH d AS (SELECT doc_id, {_WORDS.format('text')} AS w FROM documents),

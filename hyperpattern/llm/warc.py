@@ -10,6 +10,7 @@ from __future__ import annotations
 import base64
 import gzip
 import hashlib
+import uuid
 import zlib
 from collections.abc import Iterator
 
@@ -21,6 +22,8 @@ from .shared import small, table, text_or_empty, written
 
 SEGMENT, CHUNK, ARCHIVE = 32_768, 8_192, 4 << 20
 CRLF = b"\r\n"
+#: Extension fields that hold the id of a page, and of the page that a revisit refers to.
+PAGE, REFERS_TO_PAGE = "WARC-X-Page-ID", "WARC-X-Refers-To-Page-ID"
 SCHEMA = "archive string, content binary"
 
 
@@ -66,23 +69,29 @@ def http_payload(block: bytes) -> bytes:
     return unchunked(body) if headers.get(b"transfer-encoding") == b"chunked" else body
 
 
-def record_id(page_id) -> str:
-    return f"<urn:page:{page_id}>"
+def record_id(page_id, digest: str, ordinal: str = "") -> str:
+    """Unique by page id and payload; rows that repeat both are told apart by an ordinal."""
+    return f"<urn:page:{'' if page_id is None else page_id}:{digest}{ordinal and ':' + ordinal}>"
 
 
-def page_records(page_id, url: str, payload: bytes, digest: str, origin, segment: int = SEGMENT) -> Iterator[bytes]:
-    """A revisit of `origin`, or a response in segments of at most `segment` bytes."""
-    common = [("WARC-Target-URI", url), ("WARC-Date", "2024-01-01T00:00:00Z")]
+def page_records(page_id, url: str, payload: bytes, digest: str, origin, segment: int = SEGMENT, ordinal: str = "") -> Iterator[bytes]:
+    """A revisit of `origin`, or a response in segments of at most `segment` bytes.
+
+    The page id travels in a field of its own (none if null). A revisit names its response by page id and payload; should
+    that response be repeated, all of its records fit, since their payloads are equal.
+    """
+    name = record_id(page_id, digest, ordinal)
+    common = [("WARC-Target-URI", url), ("WARC-Date", "2024-01-01T00:00:00Z")] + [(PAGE, str(page_id))] * (page_id is not None)
     if origin is not None:
-        yield record([("WARC-Type", "revisit"), ("WARC-Record-ID", record_id(page_id)), *common, ("WARC-Refers-To", record_id(origin)), ("WARC-Payload-Digest", f"sha1:{digest}"), ("WARC-Profile", "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest")], b"")
+        yield record([("WARC-Type", "revisit"), ("WARC-Record-ID", name), *common, (REFERS_TO_PAGE, str(origin)), ("WARC-Refers-To", record_id(origin, digest)), ("WARC-Payload-Digest", f"sha1:{digest}"), ("WARC-Profile", "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest")], b"")
         return
     block = http_block(payload)
     parts = [block[i : i + segment] for i in range(0, len(block), segment)]
-    first = [("WARC-Type", "response"), ("WARC-Record-ID", record_id(page_id)), *common, ("WARC-Payload-Digest", f"sha1:{digest}"), ("Content-Type", "application/http; msgtype=response")]
+    first = [("WARC-Type", "response"), ("WARC-Record-ID", name), *common, ("WARC-Payload-Digest", f"sha1:{digest}"), ("Content-Type", "application/http; msgtype=response")]
     yield record(first + [("WARC-Segment-Number", "1")] * (len(parts) > 1), parts[0])
     for k, part in enumerate(parts[1:], 2):
         last = [("WARC-Segment-Total-Length", str(len(block)))] if k == len(parts) else []
-        yield record([("WARC-Type", "continuation"), ("WARC-Record-ID", f"<urn:page:{page_id}:segment:{k}>"), *common, ("WARC-Segment-Origin-ID", record_id(page_id)), ("WARC-Segment-Number", str(k)), *last], part)
+        yield record([("WARC-Type", "continuation"), ("WARC-Record-ID", f"{name[:-1]}:segment-{k}>"), *common, ("WARC-Segment-Origin-ID", name), ("WARC-Segment-Number", str(k)), *last], part)
 
 
 def one_line(text: str | None) -> str:
@@ -90,7 +99,11 @@ def one_line(text: str | None) -> str:
 
 
 def write_archives(pages: DataFrame, segment: int = SEGMENT) -> DataFrame:
-    """pages: page_id, url, html, origin (null: a response). Rows archive, content; an archive holds records of one input partition up to ARCHIVE bytes."""
+    """pages: page_id, url, html, origin (null: a response), repeated (its page id and payload occur again). Rows archive, content.
+
+    An archive holds records of one input partition up to ARCHIVE bytes. Repeated rows get a random ordinal, which need only
+    be unique in the archives that are kept: a task that runs twice leaves one set of them.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         members: list[bytes] = []
@@ -104,9 +117,10 @@ def write_archives(pages: DataFrame, segment: int = SEGMENT) -> DataFrame:
             return pa.RecordBatch.from_arrays([pa.array([f"{hashlib.sha1(content).hexdigest()}.warc.gz"]), pa.array([content], pa.binary())], names=["archive", "content"])
 
         for batch in batches:
-            for page_id, url, html, origin in zip(*(batch.column(c) for c in range(4)), strict=True):
+            for page_id, url, html, origin, repeated in zip(*(batch.column(c) for c in range(5)), strict=True):
                 payload = (html.as_py() or "").encode()
-                for r in page_records(page_id.as_py(), one_line(url.as_py()), payload, digest32(payload), origin.as_py(), segment):
+                ordinal = uuid.uuid4().hex if repeated.as_py() else ""
+                for r in page_records(page_id.as_py(), one_line(url.as_py()), payload, digest32(payload), origin.as_py(), segment, ordinal):
                     members.append(gzip.compress(r, 1, mtime=0))
                     size += len(members[-1])
                 if size >= ARCHIVE:
@@ -114,7 +128,7 @@ def write_archives(pages: DataFrame, segment: int = SEGMENT) -> DataFrame:
         if members:
             yield flush()
 
-    return pages.select("page_id", "url", "html", "origin").mapInArrow(run, SCHEMA)
+    return pages.select("page_id", "url", "html", "origin", "repeated").mapInArrow(run, SCHEMA)
 
 
 def parse(raw: bytes) -> tuple[dict[str, str], bytes]:
@@ -127,7 +141,7 @@ def parse(raw: bytes) -> tuple[dict[str, str], bytes]:
     return headers, rest[:n]
 
 
-RECORDS = "record_id string, record_type string, digest string, refers_to string, segment int, total long, block binary"
+RECORDS = "record_id string, page_id long, record_type string, digest string, refers_to long, segment int, total long, block binary"
 
 
 def read_archives(archives: DataFrame) -> DataFrame:
@@ -135,7 +149,7 @@ def read_archives(archives: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = [x.split(" ")[0] for x in RECORDS.split(", ")]
-        kinds = (pa.string(), pa.string(), pa.string(), pa.string(), pa.int32(), pa.int64(), pa.binary())
+        kinds = (pa.string(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.int32(), pa.int64(), pa.binary())
 
         def made(out: list[tuple]) -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=names)
@@ -158,7 +172,8 @@ def read_archives(archives: DataFrame) -> DataFrame:
                     h, block = parse(b"".join(parts))
                     number = int(h["warc-segment-number"]) if "warc-segment-number" in h else None
                     total = int(h["warc-segment-total-length"]) if "warc-segment-total-length" in h else None
-                    out.append((h.get("warc-segment-origin-id", h["warc-record-id"]), h["warc-type"], h.get("warc-payload-digest", "").removeprefix("sha1:") or None, h.get("warc-refers-to"), number, total, block))
+                    page, other = (int(h[k.lower()]) if k.lower() in h else None for k in (PAGE, REFERS_TO_PAGE))
+                    out.append((h.get("warc-segment-origin-id", h["warc-record-id"]), page, h["warc-type"], h.get("warc-payload-digest", "").removeprefix("sha1:") or None, other, number, total, block))
                     size += len(block)
                     if size >= ARCHIVE:
                         yield made(out)
@@ -170,28 +185,31 @@ def read_archives(archives: DataFrame) -> DataFrame:
 
 
 def reassembled(records: DataFrame) -> DataFrame:
-    """record_id, record_type, digest, refers_to, block, complete: segments joined in order; incomplete ones keep what there is, with complete false."""
-    whole = records.where("segment is null").select("record_id", "record_type", "digest", "refers_to", "block", F.lit(True).alias("complete"))
-    parts = F.array_sort(F.collect_list(F.struct("segment", "block")))
+    """record_id, page_id, record_type, digest, refers_to, block, complete: segments joined in order; incomplete ones keep what there is, with complete false."""
+    keep = ["record_id", "page_id", "record_type", "digest", "refers_to", "block"]
+    whole = records.where("segment is null").select(*keep, F.lit(True).alias("complete"))
+    parts = F.array_sort(F.collect_list(F.struct("segment", F.decode("block", "ISO-8859-1").alias("bytes"))))
     grouped = records.where("segment is not null").groupBy("record_id").agg(
+        F.max("page_id").alias("page_id"),
         F.max(F.when(F.col("segment") == 1, F.col("record_type"))).alias("record_type"),
         F.max("digest").alias("digest"),
         F.max("refers_to").alias("refers_to"),
         F.max("total").alias("total"),
         parts.alias("parts"),
     )
-    block = F.aggregate(F.col("parts"), F.lit(b""), lambda a, x: F.concat(a, x["block"]))
+    # bytes as characters of one byte each, so that any number of segments is joined in one copy
+    block = F.encode(F.array_join(F.transform("parts", lambda x: x["bytes"]), ""), "ISO-8859-1")
     numbered = F.transform("parts", lambda x: x["segment"]) == F.sequence(F.lit(1), F.size("parts"))
-    joined = grouped.withColumn("block", block).select("record_id", "record_type", "digest", "refers_to", "block", (numbered & F.coalesce(F.col("total") == F.octet_length("block"), F.lit(False))).alias("complete"))
+    joined = grouped.withColumn("block", block).select(*keep, (numbered & F.coalesce(F.col("total") == F.octet_length("block"), F.lit(False))).alias("complete"))
     return whole.unionByName(joined)
 
 
 def payloads(records: DataFrame) -> DataFrame:
-    """record_id, payload_bytes, payload_digest, record_type, refers_to: payloads taken out of HTTP and its framing, digests recomputed from the bytes.
+    """page_id, payload_bytes, payload_digest, record_type, refers_to, one row for each record: payloads taken out of HTTP and its framing, digests recomputed from the bytes.
 
     A broken frame, an incomplete record or a digest that disagrees with the header fails the job.
     """
-    schema = "record_id string, payload_bytes long, payload_digest string, record_type string, refers_to string"
+    schema = "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -208,34 +226,36 @@ def payloads(records: DataFrame) -> DataFrame:
                 digests.append(digest32(body))
                 if digests[-1] != said.as_py():
                     raise ValueError(f"{rid.as_py()}: digest differs")
-            yield pa.RecordBatch.from_arrays([batch.column("record_id"), pa.array(sizes, pa.int64()), pa.array(digests, pa.string()), batch.column("record_type"), batch.column("refers_to")], names=[x.split(" ")[0] for x in schema.split(", ")])
+            yield pa.RecordBatch.from_arrays([batch.column("page_id"), pa.array(sizes, pa.int64()), pa.array(digests, pa.string()), batch.column("record_type"), batch.column("refers_to")], names=[x.split(" ")[0] for x in schema.split(", ")])
 
     return records.mapInArrow(run, schema)
 
 
 def with_origins(pages: DataFrame) -> DataFrame:
-    """pages with `origin`: the smallest page_id of equal payloads for the other pages, null for that page itself."""
-    marked = pages.select("page_id", "url", "html", F.sha1(F.encode(text_or_empty("html"), "UTF-8")).alias("_digest"))
-    groups = marked.groupBy("_digest").agg(F.min("page_id").alias("_least"), F.count("*").alias("_n"))
-    repeated = written(groups.where("_n > 1").select("_digest", "_least"), "equal-payloads")
-    joined = marked.join(small(repeated), "_digest", "left")
-    return joined.select("page_id", "url", "html", F.when(F.col("_least") != F.col("page_id"), F.col("_least")).alias("origin"))
+    """pages with `origin`: the smallest page_id of equal payloads for the other pages, null for that page itself; and `repeated`: page_id and payload occur again.
+
+    Null ids come last: they are responses only if no page with an id has their payload.
+    """
+    marked = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html", F.sha1(F.encode(text_or_empty("html"), "UTF-8")).alias("_digest"))
+    by_page = marked.groupBy("_digest", "page_id").agg(F.count("*").alias("_n"))
+    # a payload that occurs once has no row here
+    groups = written(by_page.groupBy("_digest").agg(F.min("page_id").alias("_least"), F.sum("_n").alias("_all"), F.max("_n").alias("_most")).where("_all > 1").select("_digest", "_least", "_most"), "equal-payloads")
+    joined = marked.join(small(groups), "_digest", "left")
+    return joined.select("page_id", "url", "html", F.when(~F.col("_least").eqNullSafe(F.col("page_id")), F.col("_least")).alias("origin"), F.coalesce(F.col("_most") > 1, F.lit(False)).alias("repeated"))
 
 
 def op3_warc_reassembly(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every page written to archives and read back. Repeated rows of one page_id are written and read once."""
+    """Every page written to archives and read back: one record and one row for each row of pages, repeated ids and null ids too."""
     return round_trip(table(spark, sf_dir, "pages"))
 
 
 def round_trip(pages: DataFrame, segment: int = SEGMENT) -> DataFrame:
     archives = written(write_archives(with_origins(pages), segment), "archives")
-    read = payloads(reassembled(read_archives(archives))).withColumn("refers_to", F.nullif("refers_to", F.lit("")))
-    read = written(read.dropDuplicates(["record_id"]), "payloads")
-    page = lambda c: F.regexp_extract(c, r"^<urn:page:(-?\d+)>$", 1).cast("long")
-    out = read.select(page("record_id").alias("page_id"), "payload_bytes", "payload_digest", "record_type", F.when(F.col("refers_to").isNotNull(), page("refers_to")).alias("refers_to"))
+    out = written(payloads(reassembled(read_archives(archives))), "payloads")
     # a revisit holds no payload: its size is that of the response it refers to, whose digest must be equal
-    origins = out.where("record_type = 'response'").select(F.col("page_id").alias("refers_to"), F.col("payload_digest").alias("_digest"), F.col("payload_bytes").alias("_bytes"))
-    revisits = out.where("record_type = 'revisit'").drop("payload_bytes").join(origins, "refers_to", "left")
-    checked = F.when(F.col("_digest") == F.col("payload_digest"), F.col("_bytes"))
-    revisits = revisits.select("page_id", checked.alias("payload_bytes"), "payload_digest", "record_type", "refers_to")
-    return out.where("record_type = 'response'").unionByName(revisits)
+    revisits = out.where("record_type = 'revisit'").drop("payload_bytes")
+    asked = revisits.select(F.col("refers_to").alias("page_id"), "payload_digest").distinct()
+    given = out.where("record_type = 'response'").join(asked, ["page_id", "payload_digest"], "left_semi")
+    origins = written(given.groupBy(F.col("page_id").alias("refers_to"), "payload_digest").agg(F.max("payload_bytes").alias("payload_bytes")), "origins")
+    revisits = revisits.join(small(origins), ["refers_to", "payload_digest"], "left")
+    return out.where("record_type = 'response'").unionByName(revisits.select(*out.columns))

@@ -80,7 +80,7 @@ def test_archives(spark):
     first = {}
     for i, _, h, _ in sorted(rows):
         first.setdefault(h or "", i)
-    assert len(got) == 6
+    assert len(got) == 6 and warc.round_trip(pages, 1000).count() == 7
     for i, _, h, _ in rows:
         b = (h or "").encode()
         want = (len(b), base64.b32encode(hashlib.sha1(b).digest()).decode(), "response" if first[h or ""] == i else "revisit", None if first[h or ""] == i else first[h or ""])
@@ -88,8 +88,19 @@ def test_archives(spark):
     assert warc.round_trip(pages.limit(0)).count() == 0
 
 
+def test_archives_with_repeated_and_null_ids(spark):
+    big, other = "x" * 50_000, "é" * 40_000
+    rows = [(1, big), (1, big), (2, big), (None, big), (None, other), (None, other), (4, "a" * 70_000), (4, "b" * 70_000), (4, None), (5, "")]
+    pages = spark.createDataFrame([(i, "u", h) for i, h in rows], "page_id long, url string, html string")
+    digest = lambda h: base64.b32encode(hashlib.sha1((h or "").encode()).digest()).decode()
+    want = [(1, big, "response", None), (1, big, "response", None), (2, big, "revisit", 1), (None, big, "revisit", 1), (None, other, "response", None), (None, other, "response", None), (4, "a" * 70_000, "response", None), (4, "b" * 70_000, "response", None), (4, None, "response", None), (5, "", "revisit", 4)]
+    key = lambda r: tuple(map(str, r))
+    got = [tuple(r[c] for c in ("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")) for r in warc.round_trip(pages).collect()]
+    assert sorted(got, key=key) == sorted([(i, len((h or "").encode()), digest(h), kind, to) for i, h, kind, to in want], key=key)
+
+
 def test_a_missing_segment_is_told(spark):
-    pages = spark.createDataFrame([(1, "u", "x" * 5000)], "page_id long, url string, html string").selectExpr("*", "cast(null as long) origin")
+    pages = spark.createDataFrame([(1, "u", "x" * 5000)], "page_id long, url string, html string").selectExpr("*", "cast(null as long) origin", "false repeated")
     records = warc.read_archives(warc.write_archives(pages, 1000))
     assert warc.reassembled(records).first()["complete"]
     assert not warc.reassembled(records.where("segment <> 3")).first()["complete"]
