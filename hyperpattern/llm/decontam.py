@@ -12,15 +12,15 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import forget, small, table, text_or_empty, written
+from .shared import small, table, text_or_empty, written
 
 SPAN, GRAM = 13, 8
 WINDOW = SPAN - GRAM + 1
-#: A word of the contract, after lower-casing A-Z (fixed value).
-WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-#: The same words before lower-casing, for counting.
-ANY_WORD = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+#: What is not in a word: ASCII other than digits and letters. Written out one by one, since the regex engine looks single
+#: characters up in a bit table and tries ranges one after the other, at ten times the cost. Possessive: a word is never given back.
+BETWEEN = "".join(rf"\x{c:02X}" for c in range(128) if not chr(c).isalnum())
+WORD = f"[^{BETWEEN}]++"
 
 
 def words(text: Column) -> Column:
@@ -76,29 +76,44 @@ def benchmark_windows(bench: DataFrame, id_col: str) -> DataFrame:
     return items.select("item", "w", "n", starts.alias("s")).select("item", "n", _window_text(F.col("w"), F.col("s"), F.col("n")).alias("window")).distinct()
 
 
-def hits(docs: DataFrame, key: list[str], windows: DataFrame) -> DataFrame:
-    """key columns, s, n, window: the places at which a benchmark window occurs in a document."""
+def prints(frame: DataFrame, n: int) -> DataFrame:
+    """frame (with words w) with marks: the fingerprints that guarantee to meet equal spans of n words."""
+    if n == SPAN:
+        return with_winnowed(with_gram_hashes(frame, GRAM)).drop("h")
+    return with_gram_hashes(frame, n).withColumn("marks", F.array_distinct("h")).drop("h")
+
+
+def shared_prints(docs: DataFrame, key: list[str], windows: DataFrame, lengths: list[int]) -> DataFrame:
+    """key columns, n_words, n, f in one pass over docs (key columns, text): a row with null n and f for each row of docs, and one for each fingerprint that a document shares with the benchmark's windows of n words."""
     distinct = windows.select("window", "n").distinct()
-    lengths = sorted(r[0] for r in distinct.select("n").distinct().collect())  # at most 13 values
+    known = [prints(distinct.where(F.col("n") == n).select(F.split("window", " ").alias("w")), n).select(F.lit(n).alias("n"), F.explode("marks").alias("f")) for n in lengths]
+    met = known[0]
+    for x in known[1:]:
+        met = met.unionByName(x)
+    met = written(met.distinct(), "benchmark-prints")
+    out = _held(docs.select(*key, text_or_empty().alias("text")), "w", words(F.col("text"))).select(*key, "w", F.size("w").cast("long").alias("n_words"))
+    marks = F.array(F.lit(None).cast("long"))
+    for n in lengths:
+        out = _held(prints(out, n), f"_p{n}", F.col("marks")).drop("marks")
+        marks = F.concat(marks, F.col(f"_p{n}"))
+    spread = out.select(*key, "n_words", F.explode(marks).alias("f"))
+    return spread.join(small(met), "f", "left").where("n is not null or f is null").select(*key, "n_words", "n", "f")
+
+
+def hits(docs: DataFrame, key: list[str], windows: DataFrame, shared: DataFrame, lengths: list[int]) -> DataFrame:
+    """key columns, s, n, window: the places at which a benchmark window occurs in a document. shared: key columns, n, fs (shared fingerprints)."""
     found = []
+    distinct = written(windows.select("window", "n").distinct(), "benchmark-windows")
     for n in lengths:
-        of_n = distinct.where(F.col("n") == n)
-        cut = of_n.select("window", F.split("window", " ").alias("w"))
-        full = n == SPAN
-        gram = GRAM if full else n
-        marked = lambda frame: with_winnowed(with_gram_hashes(frame, gram)) if full else with_gram_hashes(frame, gram).withColumn("marks", F.array_distinct("h"))  # noqa: E731, B023
-        prints = written(marked(cut).select(F.explode("marks").alias("f")).distinct(), "benchmark-prints")
-        split = _held(docs, "w", words(text_or_empty())).drop("text").where(F.size("w") >= gram)
-        shared = marked(split).select(*key, F.explode("marks").alias("f")).join(small(prints), "f")
-        shared = written(shared.groupBy(*key).agg(F.collect_set("f").alias("fs")), "shared-prints")
-        again = docs.join(small(shared), _same(docs, shared, key)).select(*[docs[k] for k in key], "text", "fs")
+        gram = GRAM if n == SPAN else n
+        of_n = written(shared.where(F.col("n") == n).drop("n"), "to-extend")
+        again = docs.join(small(of_n), _same(docs, of_n, key)).select(*[docs[k] for k in key], "text", "fs")
         again = with_gram_hashes(_held(again, "w", words(text_or_empty())).drop("text"), gram)
         places = F.filter(F.transform("h", lambda h, i: F.when(F.array_contains("fs", h), i + 1)), lambda i: i.isNotNull())
         again = again.select(*key, "w", F.explode(places).alias("at"))
         spots = again.select(*key, "w", F.explode(F.sequence(F.greatest(F.lit(1), F.col("at") - (n - gram)), F.least(F.col("at"), F.greatest(F.lit(1), F.size("w") - n + 1)))).alias("s"))
         spots = spots.select(*key, "s", _window_text(F.col("w"), F.col("s"), F.lit(n)).alias("window"))
-        of_n = written(of_n, "benchmark-windows")
-        found.append(spots.join(small(of_n), "window").select(*key, "s", "n", "window"))
+        found.append(spots.join(small(distinct), "window").where(F.col("n") == n).select(*key, "s", "n", "window"))
     out = found[0]
     for x in found[1:]:
         out = out.unionByName(x)
@@ -121,10 +136,13 @@ def contamination(docs: DataFrame, bench: DataFrame, id_col: str = "item_id") ->
     docs = docs.select("doc_id", "text", F.xxhash64(text_or_empty()).alias("text_hash"))
     key = ["doc_id", "text_hash"]
     windows = written(benchmark_windows(bench, id_col), "benchmark-items")
-    sizes = docs.select(*key, F.size(F.regexp_extract_all(text_or_empty(), F.lit(ANY_WORD), F.lit(0))).cast("long").alias("n_words"))
-    if windows.isEmpty():
-        return _with_result(sizes, None)
-    spots = written(hits(docs, key, windows).distinct(), "benchmark-hits")
+    lengths = sorted(r[0] for r in windows.select("n").distinct().collect())  # at most 13 values
+    if not lengths:
+        return _with_result(docs.select(*key, F.size(words(text_or_empty())).cast("long").alias("n_words")), None)
+    met = written(shared_prints(docs, key, windows, lengths), "shared-prints")
+    sizes = met.where("f is null").select(*key, "n_words")
+    shared = written(met.where("f is not null").groupBy(*key, "n").agg(F.collect_set("f").alias("fs")), "prints-by-document")
+    spots = written(hits(docs, key, windows, shared, lengths).distinct(), "benchmark-hits")
     spans = F.array_sort(F.collect_list(F.struct("s", "n")))
     covered = F.aggregate(
         spans,
