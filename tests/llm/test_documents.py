@@ -263,6 +263,55 @@ def test_sharding(docs, none, texts):
     assert sharding.shard_documents(none).count() == 0
 
 
+def brute_shards(rows, shards):
+    """shard of each row of (group, dims, weight): the same splits by sorting."""
+    scale = [(min(c), max(c)) for c in zip(*(d for _, d, _ in rows), strict=True)]
+    keys = [[(int((x - lo) * float((1 << 20) - 1) / float(max(1, hi - lo))), g) for x, (lo, hi) in zip(d, scale, strict=True)] for g, d, _ in rows]
+    out = {}
+
+    def split(own, first, n):
+        if n == 1 or not own:
+            out.update({i: first for i in own})
+            return
+        spread = [max(keys[i][k][0] for i in own) - min(keys[i][k][0] for i in own) for k in range(len(scale))]
+        k = spread.index(max(spread))
+        total, at, weights = sum(rows[i][2] for i in own), 0, collections.Counter()
+        for i in own:
+            weights[keys[i][k]] += rows[i][2]
+        want, cut = total * (n // 2) / n, None
+        for key in sorted(weights):
+            if at + weights[key] >= want:
+                cut = (key, want - at <= at + weights[key] - want)
+                break
+            at += weights[key]
+        low = [i for i in own if keys[i][k] < cut[0] or keys[i][k] == cut[0] and not cut[1]]
+        split(low, first, n // 2)
+        split([i for i in own if i not in set(low)], first + n // 2, n - n // 2)
+
+    split(list(range(len(rows))), 0, shards)
+    return out
+
+
+def test_sharding_is_that_of_sorted_medians(spark):
+    r = random.Random(8)
+    texts = ["w" * r.randint(1, 3000) + " x" * r.randint(0, 50) + "\n" * r.randint(0, 9) + "é" * r.randint(0, 40) for _ in range(200)]
+    texts += [texts[3]] * 4
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    got = {x["doc_id"]: x["shard"] for x in sharding.shard_documents(docs, 6).collect()}
+    tie = {x["text"]: (x["h"] >> 24) & ((1 << 40) - 1) for x in docs.select("text", F.xxhash64(F.xxhash64("text")).alias("h")).collect()}
+    dims = lambda t: (len(t.encode()), len(t.encode()) - len(t), t.count("\n"), t.count(" "))
+    assert got == brute_shards([(tie[t], dims(t), len(t.encode()) + 8) for t in texts], 6)
+    assert len({got[i] for i in (3, 200, 201, 202, 203)}) == 1
+
+
+def test_sharding_of_null_ids_and_repeated_rows(spark):
+    rows = spark.createDataFrame([(None, "same")] * 40 + [(7, "same")] * 40 + [(1, None), (1, "")], "doc_id long, text string")
+    got = sharding.shard_documents(rows, 4).collect()
+    assert len(got) == 82 and {x["shard"] for x in got} == {0, 1, 2, 3}
+    by = collections.Counter(x["shard"] for x in got)
+    assert max(by.values()) - min(by.values()) <= 4 and all(sorted(x["slot"] for x in got if x["shard"] == k) == list(range(n)) for k, n in by.items())
+
+
 def test_a_heavy_group_is_split(spark):
     rows = spark.createDataFrame([(i, "same text") for i in range(300)] + [(1000 + i, f"t{i}" * 3) for i in range(100)], "doc_id long, text string")
     loads = [r["n"] for r in sharding.shard_documents(rows, 8).groupBy("shard").agg(F.sum("size").alias("n")).collect()]
