@@ -3,7 +3,9 @@
 Pieces of at most `capacity` tokens are placed in sequences. Only the number of pieces of each length matters for how
 many sequences are needed, so the search runs on the driver over at most `capacity` counts. It takes the longest piece
 left, enumerates the undominated fillings of the room beside it, prunes those that waste more than the bound on the
-number of sequences allows, and repeats; a best-fit-decreasing solution is the incumbent that it has to beat. The plan
+number of sequences allows, and branches on each; a best-fit-decreasing solution is the incumbent that it has to beat.
+Fillings are tried in order of waste with few departures from the first choice before many, at every depth alike, until
+the bound is met, everything is tried, or the budget of steps is spent (None: no budget, an exact search). The plan
 that results, rows of (length, first rank, repetitions, first sequence, offset), is applied to the pieces by their rank
 within a length, on the executors.
 """
@@ -24,8 +26,10 @@ from pyspark.sql import functions as F
 from .shared import ranked, table, written
 
 CAPACITY, END = 1024, 2
-#: Work limits of the search: fillings looked at for one sequence, and branches taken in all. Beyond them the best found so far is used.
-FILLINGS, BRANCHES = 4000, 400
+#: Nodes that the search visits at most, over fillings and branches together; beyond them the best found so far is used, which is never worse than best fit.
+STEPS = 400_000
+#: The one special string of the vocabulary (fixed value), an id in texts too, as `tokenizers` has it.
+SPECIAL = {"<|endoftext|>": 50256}
 
 
 def vocabulary_path(name: str = "byte_bpe_50k.tiktoken") -> str:
@@ -36,13 +40,13 @@ def vocabulary_path(name: str = "byte_bpe_50k.tiktoken") -> str:
 
 @lru_cache(maxsize=2)
 def encoder(path: str):
-    """The byte-level vocabulary read as ranks: the same ids as its tokenizers file gives, special strings being ordinary text."""
+    """The byte-level vocabulary read as ranks: the same ids as its tokenizers file gives."""
     import public_tokenizers
     import tiktoken
 
     with open(path, "rb") as f:
         ranks = {base64.b64decode(k): int(v) for k, v in (line.split() for line in f if line.strip())}
-    return tiktoken.Encoding("byte-bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    return tiktoken.Encoding("byte-bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens=SPECIAL)
 
 
 def pieces_of(docs: DataFrame, path: str, capacity: int = CAPACITY, end: int = END) -> DataFrame:
@@ -54,7 +58,7 @@ def pieces_of(docs: DataFrame, path: str, capacity: int = CAPACITY, end: int = E
         for batch in batches:
             out: list[tuple] = []
             for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                ids = enc.encode_ordinary(text.as_py() or "")
+                ids = enc.encode(text.as_py() or "", allowed_special="all")
                 ids.append(end)
                 raw = np.asarray(ids, "<u4").tobytes()
                 first = len(ids) % capacity or capacity
@@ -116,82 +120,129 @@ def _best_fit(counts: dict[int, int], capacity: int) -> list[tuple[tuple[int, ..
     return plan
 
 
-def _fillings(stock: _Stock, room: int, allowed: int, most: int = 3) -> list[tuple[int, ...]]:
-    """Undominated fillings of the room that waste at most `allowed`, least waste first, fewest pieces first.
+class _Spent(Exception):
+    pass
 
-    Sizes are tried from the longest down; a filling that leaves room for another piece in stock is dominated, and so
-    is one in which a piece could be swapped for a longer one in stock.
+
+class _Budget:
+    def __init__(self, steps: int | None):
+        self.left = steps
+
+    def step(self) -> None:
+        if self.left is not None:
+            self.left -= 1
+            if self.left < 0:
+                raise _Spent
+
+
+def _fillings(stock: _Stock, room: int, allowed: int, budget: _Budget) -> Iterator[tuple[int, ...]]:
+    """Undominated fillings of the room that waste at most `allowed`, found from the longest pieces down.
+
+    A filling that leaves room for another piece in stock is dominated, and so is one in which a piece could be swapped
+    for a longer one in stock. What can't fill the room up to the allowed waste with all smaller pieces is not grown.
+    The stock must not change between two fillings; the caller puts it back first.
+    """
+    sizes, count = list(stock.sizes), dict(stock.count)
+    below = np.concatenate([[0], np.cumsum([x * count[x] for x in sizes])]).tolist()  # tokens of all shorter pieces
+
+    def whole(room: int, chosen: dict[int, int]) -> bool:
+        if any(chosen.get(x, 0) < count[x] for x in sizes[: bisect_left(sizes, room + 1)]):
+            return False
+        return not any(chosen.get(x, 0) < count[x] for c in chosen for x in sizes[bisect_left(sizes, c + 1) : bisect_left(sizes, c + room + 1)])
+
+    def grow(end: int, room: int, chosen: dict[int, int]) -> Iterator[tuple[int, ...]]:
+        """Fillings that add pieces of sizes[:end] to the chosen; a level for each length used."""
+        budget.step()
+        for i in range(min(end, bisect_left(sizes, room + 1)) - 1, -1, -1):
+            if below[i + 1] < room - allowed:
+                break
+            for n in range(min(room // sizes[i], count[sizes[i]]), 0, -1):
+                yield from grow(i, room - n * sizes[i], chosen | {sizes[i]: n})
+        if room <= allowed and whole(room, chosen):
+            yield tuple(x for x, n in chosen.items() for _ in range(n))
+
+    yield from grow(len(sizes), room, {})
+
+
+def complete_bins(counts: dict[int, int], capacity: int = CAPACITY, steps: int | None = STEPS) -> tuple[list[tuple[tuple[int, ...], int]], int]:
+    """(plan, lower bound): plan lists the lengths of a sequence and how many such sequences are made; the fewest found.
+
+    steps None: the search ends only with the fewest possible. With a budget the gap to the bound may be real or not.
     """
-    found: list[tuple[int, tuple[int, ...]]] = []
-    seen = 0
-
-    def grow(at: int, room: int, chosen: list[int]) -> bool:
-        nonlocal seen
-        seen += 1
-        if seen > FILLINGS:
-            return True
-        i = min(at, bisect_left(stock.sizes, room + 1) - 1)
-        fits = False
-        while i >= 0:
-            size = stock.sizes[i]
-            if chosen.count(size) < stock.count[size]:
-                fits = True
-                if grow(i, room - size, [*chosen, size]):
-                    return True
-            i -= 1
-        if not fits and room <= allowed:
-            longer = any(0 < s - c <= room and chosen.count(s) < stock.count[s] for c in set(chosen) for s in stock.sizes[bisect_left(stock.sizes, c + 1) : bisect_left(stock.sizes, c + room + 1)])
-            if not longer:
-                found.append((room, tuple(chosen)))
-                return room == 0 and sum(w == 0 for w, _ in found) >= most
-        return False
-
-    grow(len(stock.sizes), room, [])
-    return [c for _, c in sorted(found, key=lambda x: (x[0], len(x[1])))[:most]]
-
-
-def complete_bins(counts: dict[int, int], capacity: int = CAPACITY) -> tuple[list[tuple[tuple[int, ...], int]], int]:
-    """(plan, lower bound): plan lists the lengths of a sequence and how many such sequences are made; fewest found."""
     incumbent = _best_fit(counts, capacity)
     size = lambda plan: sum(n for _, n in plan)
-    bound = max(-(-sum(k * v for k, v in counts.items()) // capacity), sum(v for k, v in counts.items() if 2 * k > capacity))
-    best, best_size, left = incumbent, size(incumbent), BRANCHES
-
-    def search(stock: _Stock, plan: list, made: int, spare: int) -> None:
-        """spare: tokens of room that may still be wasted by a solution better than the incumbent."""
-        nonlocal best, best_size, left
-        undo = []
-        while stock.sizes:
-            longest = stock.sizes[-1]
-            stock.take(longest, 1)
-            options = _fillings(stock, capacity - longest, spare)
-            stock.put(longest, 1)
-            if not options:
+    tokens = sum(k * v for k, v in counts.items())
+    bound = max(-(-tokens // capacity), sum(v for k, v in counts.items() if 2 * k > capacity))
+    best, best_size = incumbent, size(incumbent)
+    budget, stock = _Budget(steps), _Stock(counts)
+
+    def choices(spare: int, departures: int) -> Iterator[tuple[tuple[int, ...], int, int]]:
+        """(lengths, times, departures left) for the next sequences: the first filling as often as the stock allows, and, as a departure, once; then each other filling once."""
+        nonlocal tried_all
+        longest = stock.sizes[-1]
+        stock.take(longest, 1)
+        options = _fillings(stock, capacity - longest, spare, budget)
+        choice = next(options, None)
+        stock.put(longest, 1)
+        if choice is None:
+            return
+        full = (longest, *choice)
+        waste = capacity - sum(full)
+        times = min(stock.count[x] // full.count(x) for x in set(full))
+        times = min(times, spare // waste) if waste else times
+        yield full, times, departures
+        if not departures:
+            tried_all &= times == 1 and next(options, None) is None
+            return
+        if times > 1:
+            yield full, 1, departures - 1
+        for choice in options:
+            yield (longest, *choice), 1, departures - 1
+
+    def search(spare: int, departures: int) -> list[tuple[tuple[int, ...], int]] | None:
+        """A plan that wastes at most `spare` tokens and departs from the first choice at most so often; depth first, with a stack of its own."""
+        plan: list[tuple[tuple[int, ...], int]] = []
+        stack = [(choices(spare, departures), spare)]  # the choices of each plan entry, and of the one to come
+
+        def undo() -> None:
+            full, times = plan.pop()
+            for x in full:
+                stock.put(x, times)
+
+        while stack:
+            if len(plan) == len(stack):
+                undo()
+            options, room = stack[-1]
+            chosen = next(options, None)
+            if chosen is None:
+                stack.pop()
+                continue
+            full, times, left = chosen
+            for x in full:
+                stock.take(x, times)
+            plan.append((full, times))
+            if not stock.sizes:
+                done = list(plan)
+                while plan:
+                    undo()
+                return done
+            room -= (capacity - sum(full)) * times
+            stack.append((choices(room, left), room))
+        return None
+
+    departures = 0
+    try:
+        while best_size > bound:
+            tried_all = True
+            found = search((best_size - 1) * capacity - tokens, departures)
+            if found is not None:
+                best, best_size, departures = found, size(found), 0
+            elif tried_all:
                 break
-            for other in options[1:]:
-                if left > 0 and best_size > bound and len(stock.sizes) < 40:
-                    left -= 1
-                    for s in (longest, *other):
-                        stock.take(s, 1)
-                    search(stock, [*plan, ((longest, *other), 1)], made + 1, spare - capacity + longest + sum(other))
-                    for s in (longest, *other):
-                        stock.put(s, 1)
-            full = (longest, *options[0])
-            waste = capacity - sum(full)
-            times = min(stock.count[s] // full.count(s) for s in set(full))
-            if waste:
-                times = min(times, spare // waste)
-            for s in full:
-                stock.take(s, times)
-                undo.append((s, times))
-            plan, made, spare = [*plan, (full, times)], made + times, spare - waste * times
-        if not stock.sizes and made < best_size:
-            best, best_size = plan, made
-        for s, n in undo:
-            stock.put(s, n)
-
-    if best_size > bound:
-        search(_Stock(counts), [], 0, (best_size - 1) * capacity - sum(k * v for k, v in counts.items()))
+            else:
+                departures += 1
+    except _Spent:
+        pass
     return best, bound
 
 

@@ -5,10 +5,13 @@ such that for any two places some shift below v brings both to sampled places. S
 equal, two sampled tuples of LENGTH - v + 1 bytes, equally far inside, are equal too. Sampled tuples are named by
 fingerprints and sorted; equal neighbours mark the only places near which a repeated string can start. There the
 remaining starts are merged: runs of starts that share the least 8-gram of their strings are equal or not together, and
-within what is left starts are sorted by the fingerprint of all LENGTH bytes and neighbours are compared.
+within what is left starts are sorted by the fingerprint of all LENGTH bytes, neighbours are compared, and those that
+seem equal are compared byte by byte.
 
 Names are fingerprints in place of ranks, since only equality is asked for: 48 bits and the bucket for samples, which can
-only add places to look at; 128 bits for the strings themselves. Equal texts are one text throughout.
+only add places to look at. Equal texts are one text throughout. A name that many texts have is met once for each chunk of
+texts, and a bucket with more starts than PER_BUCKET is dealt out over several tasks, which pass on one start of each
+string to be met in a second round.
 """
 
 from __future__ import annotations
@@ -27,7 +30,9 @@ from .shared import small, table, text_or_empty, written
 
 LENGTH, GRAM = 400, 8
 #: Entries that one bucket is meant to hold.
-PER_BUCKET = 1_000_000
+PER_BUCKET = 250_000
+#: Bytes of text in a chunk, at which names are first met.
+CHUNK = 1 << 20
 U = np.uint64
 
 
@@ -69,38 +74,66 @@ def _lists(values: np.ndarray, counts: np.ndarray) -> pa.ListArray:
     return pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]).astype(np.int32)), pa.array(values))
 
 
+def grams(b: np.ndarray, width: int = GRAM) -> np.ndarray:
+    """The `width` (at most 8) bytes from each place on as a mixed number; zeros follow the last byte."""
+    raw = np.concatenate([b, np.zeros(8, np.uint8)])
+    x = np.ndarray((len(b),), "<u8", raw.data, strides=(1,)).astype(U)
+    return K.mixed((x & U((1 << 8 * width) - 1)) + U(K.BASE))
+
+
+def gram_sums(mixed: np.ndarray) -> np.ndarray:
+    """Prefix sums for hashes of stretches of mixed grams. Sums over bytes themselves agree for some strings of a few symbols whatever their values; those over mixed grams don't."""
+    out = np.zeros(len(mixed) + 1, U)
+    np.cumsum(mixed * K.POWERS.upto(len(mixed) + 1)[0][: len(mixed)], out=out[1:])
+    return out
+
+
 def sampled_names(texts: DataFrame, length: int, buckets: int) -> DataFrame:
-    """bucket, chunk, names (48 bits each), keys, counts, places: sampled tuples of a chunk of texts (named by its first key), dealt out by name."""
+    """bucket, chunk, names (48 bits each), keys, counts, places: sampled tuples of a chunk of texts (named by its first key), dealt out by name.
+
+    A name that a chunk has several times goes to its bucket once. All places of such names are a row of their own, with
+    null names: they are known to be repeated.
+    """
     period, residues = difference_cover(length)
     tuple_bytes = length - period + 1
+    width = min(GRAM, tuple_bytes)
     schema = "bucket int, chunk binary, names binary, keys array<binary>, counts array<int>, places binary"
+    kinds = (pa.int32(), pa.binary(), pa.binary(), pa.list_(pa.binary()), pa.list_(pa.int32()), pa.binary())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         chosen = np.zeros(period, bool)
         chosen[list(residues)] = True
         for batch in batches:
-            for first, n in K.parts(batch.column(1), 2 << 20):
+            for first, n in K.parts(batch.column(1), CHUNK):
                 part = batch.slice(first, n)
                 keys = part.column(0).to_pylist()
                 b, starts = K.joined(part.column(1))
                 at, left = _places(starts, len(b))
                 s = np.flatnonzero(chosen[at % period] & (left >= tuple_bytes))
-                h = K.mixed(K.stretch_hashes(K.prefix_sums(b), s, s + tuple_bytes))
-                bucket = ((h >> U(48)) % U(buckets)).astype(np.int64) if buckets < 1 << 16 else (K.mixed(h) % U(buckets)).astype(np.int64)
-                order = np.argsort(bucket, kind="stable")
-                bucket, s, h = bucket[order], s[order], h[order]
-                text = np.searchsorted(starts, s, side="right") - 1
-                edge = np.searchsorted(bucket, np.arange(buckets + 1))
+                if not len(s):
+                    continue
+                h = K.mixed(K.stretch_hashes(gram_sums(grams(b, width)), s, s + tuple_bytes - width + 1))
+                _, one_of, which, times = np.unique(h, return_index=True, return_inverse=True, return_counts=True)
                 out = []
-                for k in np.flatnonzero(np.diff(edge)):
-                    own = slice(edge[k], edge[k + 1])
-                    who, counts = np.unique(text[own], return_counts=True)
-                    names = h[own].view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
-                    places = at[s[own]].astype("<u4").view(np.uint8).reshape(-1, 4).T.tobytes()  # planes of bytes compress
-                    out.append((int(k), keys[0], names, [keys[i] for i in who], counts.tolist(), places))
-                if out:
-                    kinds = (pa.int32(), pa.binary(), pa.binary(), pa.list_(pa.binary()), pa.list_(pa.int32()), pa.binary())
-                    yield pa.RecordBatch.from_arrays([pa.array(c, kind) for c, kind in zip(zip(*out, strict=True), kinds, strict=True)], names=["bucket", "chunk", "names", "keys", "counts", "places"])
+
+                def add(bucket: int, own: np.ndarray, named: bool) -> None:
+                    """own: places in s, in the order of texts."""
+                    who, counts = np.unique(np.searchsorted(starts, s[own], side="right") - 1, return_counts=True)  # noqa: B023
+                    names = h[own].view(np.uint8).reshape(-1, 8)[:, :6].tobytes() if named else None  # noqa: B023
+                    places = at[s[own]].astype("<u4").view(np.uint8).reshape(-1, 4).T.tobytes()  # noqa: B023  planes of bytes compress
+                    out.append((bucket, keys[0], names, [keys[i] for i in who], counts.tolist(), places))  # noqa: B023
+
+                again = np.flatnonzero(times[which] > 1)
+                if len(again):
+                    add(int(h[again[0]] % U(buckets)), again, False)
+                one_of.sort()
+                bucket = ((h[one_of] >> U(48)) % U(buckets)).astype(np.int64) if buckets < 1 << 16 else (K.mixed(h[one_of]) % U(buckets)).astype(np.int64)
+                order = np.argsort(bucket, kind="stable")
+                edge = np.searchsorted(bucket[order], np.arange(buckets + 1)) if buckets < len(order) else np.flatnonzero(np.diff(bucket[order], prepend=-1, append=-1))
+                for i, j in zip(edge[:-1], edge[1:], strict=True):
+                    if i < j:
+                        add(int(bucket[order[i]]), one_of[order[i:j]], True)
+                yield pa.RecordBatch.from_arrays([pa.array(c, kind) for c, kind in zip(zip(*out, strict=True), kinds, strict=True)], names=["bucket", "chunk", "names", "keys", "counts", "places"])
 
     return texts.select("k", "text").mapInArrow(run, schema)
 
@@ -113,10 +146,11 @@ def _numbers(lists: pa.ChunkedArray) -> np.ndarray:
 
 
 def _repeated_names(group: pa.Table) -> pa.Table:
-    """Of each row of the bucket, the samples whose name occurs twice or more in the bucket."""
-    raw = np.concatenate([np.frombuffer(x.as_buffer(), np.uint8).reshape(-1, 6) for x in group.column("names")])
-    name = np.zeros((len(raw), 8), np.uint8)
-    name[:, :6] = raw
+    """Of each row of the bucket, the samples whose name occurs twice or more in the bucket; rows of known repeats as they are."""
+    raw = [np.frombuffer(x.as_buffer(), np.uint8).reshape(-1, 6) if x.is_valid else np.zeros((0, 6), np.uint8) for x in group.column("names")]
+    name = np.zeros((sum(map(len, raw)), 8), np.uint8)
+    if len(name):
+        name[:, :6] = np.concatenate(raw)
     name = name.view(U).ravel()
     order = np.argsort(name, kind="stable")
     same = name[order][1:] == name[order][:-1]
@@ -124,11 +158,11 @@ def _repeated_names(group: pa.Table) -> pa.Table:
     again[order[1:][same]] = True
     again[order[:-1][same]] = True
     out, at = [], 0
-    for chunk, keys, counts, places in zip(*(group.column(c) for c in ("chunk", "keys", "counts", "places")), strict=True):
+    for own, chunk, keys, counts, places in zip(raw, *(group.column(c) for c in ("chunk", "keys", "counts", "places")), strict=True):
         counts = np.asarray(counts.values)
-        n = int(counts.sum())
-        hit = again[at : at + n]
-        at += n
+        named = group.num_rows and len(own) > 0
+        hit = again[at : at + len(own)] if named else np.ones(int(counts.sum()), bool)
+        at += len(own)
         if hit.any():
             place = np.ascontiguousarray(np.frombuffer(places.as_buffer(), np.uint8).reshape(4, -1).T).view("<u4").ravel()
             of_key = np.add.reduceat(hit.astype(np.int32), np.concatenate([[0], np.cumsum(counts)[:-1]]))
@@ -185,10 +219,7 @@ def runs_of_starts(texts: DataFrame, length: int) -> DataFrame:
                     to = np.minimum(np.concatenate([np.asarray(x.values) for x in lists]), np.repeat(np.diff(starts), [len(x) for x in lists]))
                     np.add.at(check, where + to, step)
                 check = (np.cumsum(check)[:-1] > 0) & (left >= length)
-                gram = np.arange(max(0, len(b) - GRAM + 1))
-                h = np.full(len(b), ~U(0))
-                h[: len(gram)] = K.mixed(K.stretch_hashes(K.prefix_sums(b), gram, gram + GRAM))
-                least = _least_ahead(h, length - GRAM + 1)
+                least = _least_ahead(grams(b), length - GRAM + 1)
                 p = np.flatnonzero(check)
                 new = np.ones(len(p), bool)
                 new[1:] = (np.diff(p) != 1) | (least[p][1:] != least[p][:-1])
@@ -201,36 +232,80 @@ def runs_of_starts(texts: DataFrame, length: int) -> DataFrame:
     return texts.select("k", "text", "lo", "hi").mapInArrow(run, "least long, k binary, at int, bytes binary")
 
 
-def _strings(pieces: pa.Array, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(first fingerprint, second fingerprint, piece, start in it) of all strings of `length` bytes in pieces."""
+def _strings(pieces: pa.Array, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(fingerprint, piece, start in it, start in bytes, bytes) of all strings of `length` bytes in pieces."""
     b, starts = K.joined(pieces)
     count = np.diff(starts) - length  # a piece ends in a zero byte of ours
-    piece = np.repeat(np.arange(len(count)), count)
-    within = np.arange(len(piece)) - np.repeat(np.cumsum(count) - count, count)
+    piece = np.repeat(np.arange(len(count), dtype=np.int32), count)
+    within = (np.arange(len(piece)) - np.repeat(np.cumsum(count) - count, count)).astype(np.int32)
     s = starts[piece] + within
-    one = K.mixed(K.stretch_hashes(K.prefix_sums(b), s, s + length))
-    two = K.mixed(K.stretch_hashes(K.prefix_sums(b, K.byte_values(2)), s, s + length))
-    return one, two, piece, within
+    width = min(GRAM, length)
+    return K.mixed(K.stretch_hashes(gram_sums(grams(b, width)), s, s + length - width + 1)), piece, within, s, b
+
+
+def _equal_neighbours(name: np.ndarray, s: np.ndarray, b: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+    """(has an equal string elsewhere, is the first of its likes): starts are sorted by name, neighbours of one name are compared by their bytes.
+
+    A pair whose two strings begin one byte after those of another equal pair differs at most in the last byte; other
+    pairs are compared whole. Should strings of one name differ, those of that name are told apart by their bytes.
+    """
+    order = np.argsort(name, kind="stable")
+    x, y = order[:-1], order[1:]
+    same = name[x] == name[y]
+    x, y = x[same], y[same]
+    at = np.argsort(y, kind="stable")
+    x, y = x[at], y[at]
+    follows = np.zeros(len(x), bool)
+    follows[1:] = (s[x][1:] == s[x][:-1] + 1) & (s[y][1:] == s[y][:-1] + 1)
+    equal = b[s[x] + length - 1] == b[s[y] + length - 1]
+    ahead = np.arange(length)
+
+    def compare(pairs: np.ndarray) -> None:
+        for i in range(0, len(pairs), 4096):
+            own = pairs[i : i + 4096]
+            equal[own] = (b[s[x[own]][:, None] + ahead] == b[s[y[own]][:, None] + ahead]).all(axis=1)
+
+    compare(np.flatnonzero(~follows))
+    if not equal.all():
+        compare(np.arange(len(x)))  # what follows an unequal pair was taken on its word
+    again, first = np.zeros(len(name), bool), np.ones(len(name), bool)
+    again[x[equal]] = again[y[equal]] = True
+    first[y[equal]] = False
+    if not equal.all():
+        for odd in np.unique(name[x[~equal]]):
+            own, seen = np.flatnonzero(name == odd), {}
+            again[own], first[own] = False, True
+            for i in own:
+                other = seen.setdefault(b[s[i] : s[i] + length].tobytes(), i)
+                if other != i:
+                    again[[i, other]], first[i] = True, False
+    return again, first
+
+
+def _as_stretches(piece: np.ndarray, within: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(piece, lo, hi) of stretches of starts, sorted by piece; they don't run on from one piece into the next."""
+    place = piece.astype(np.int64) * np.int64(2) ** 32 + within
+    new = np.flatnonzero(np.diff(place, prepend=-2) != 1)
+    last = place[np.append(new[1:], len(place)) - 1] if len(place) else place
+    return (place[new] >> 32), (place[new] & 0xFFFFFFFF).astype(np.int32), ((last & 0xFFFFFFFF) + 1).astype(np.int32)
 
 
 def _repeated_strings(length: int):
     def run(group: pa.Table) -> pa.Table:
-        """digest, lo, hi: stretches of starts in distinct pieces whose string also starts elsewhere in the bucket."""
+        """Stretches of starts (null name) whose string also starts elsewhere in the group; of a group that is a part of a bucket also stretches of the first start of each string, with the bytes they cover and a null lo."""
         pieces = group.column("bytes").combine_chunks()
-        one, two, piece, within = _strings(pieces, length)
-        order = np.argsort(one, kind="stable")
-        a, b = order[1:], order[:-1]
-        same = (one[a] == one[b]) & (two[a] == two[b])
-        again = np.zeros(len(one), bool)
-        again[a[same]] = True
-        again[b[same]] = True
-        place = piece * np.int64(2) ** 32 + within  # stretches don't run on from one piece into the next
-        hit = place[again]
-        new = np.flatnonzero(np.diff(hit, prepend=-2) != 1)
-        lo, hi = hit[new], (hit[np.append(new[1:], len(hit)) - 1] if len(hit) else hit)
-        owner = lo >> 32
-        digest = group.column("digest").combine_chunks().take(pa.array(owner))
-        return pa.table({"digest": digest, "lo": pa.array((lo & 0xFFFFFFFF).astype(np.int32)), "hi": pa.array(((hi & 0xFFFFFFFF) + 1).astype(np.int32))})
+        digests = group.column("digest").combine_chunks()
+        name, piece, within, s, b = _strings(pieces, length)
+        again, first = _equal_neighbours(name, s, b, length)
+        owner, lo, hi = _as_stretches(piece[again], within[again])
+        none = pa.nulls(len(lo), pa.binary())
+        out = [pa.table({"digest": digests.take(pa.array(owner)), "lo": pa.array(lo), "hi": pa.array(hi), "at": pa.nulls(len(lo), pa.int32()), "bytes": none})]
+        if group.column("parts")[0].as_py() > 1:
+            owner, lo, hi = _as_stretches(piece[first], within[first])
+            covered = [pieces[i].as_buffer()[j : k - 1 + length].to_pybytes() for i, j, k in zip(owner.tolist(), lo.tolist(), hi.tolist(), strict=True)]
+            empty = pa.nulls(len(lo), pa.int32())
+            out.append(pa.table({"digest": digests.take(pa.array(owner)), "lo": empty, "hi": empty, "at": pa.array(lo), "bytes": pa.array(covered, pa.binary())}))
+        return pa.concat_tables(out)
 
     return run
 
@@ -250,15 +325,44 @@ def repeated_starts(texts: DataFrame, total: int, length: int) -> DataFrame | No
     # equal runs are repeated as a whole; one of each stands for all in what follows
     kinds = written(runs.groupBy("digest").agg(F.count("*").alias("times"), F.first("least").alias("least"), F.first("n").alias("n"), F.first("bytes").alias("bytes")), "distinct-runs")
     whole = kinds.where("times > 1").select("digest", F.lit(0).alias("lo"), F.col("n").cast("int").alias("hi"))
+    # runs are compared with runs of the same least 8-gram, and with themselves, since a text may repeat itself
     starts = kinds.agg(F.sum("n")).first()[0]
     buckets = max(least_buckets, -(-starts // PER_BUCKET))
-    # runs are compared with runs of the same least 8-gram, and with themselves, since a text may repeat itself
-    mixed = kinds.select(F.pmod(F.xxhash64("least"), F.lit(buckets)).cast("int").alias("bucket"), "digest", "bytes")
-    found = mixed.groupBy("bucket").applyInArrow(_repeated_strings(length), "digest binary, lo int, hi int")
-    hit = written(whole.unionByName(found), "repeated-runs")
+    dealt = kinds.withColumn("bucket", F.pmod(F.xxhash64("least"), F.lit(buckets)).cast("int"))
+    loads = dealt.groupBy("bucket").agg(F.ceil(F.sum("n") / PER_BUCKET).cast("int").alias("parts"))
+    full = written(loads.where("parts > 2"), "full-buckets")
+    parts = F.coalesce("parts", F.lit(1))
+    dealt = dealt.join(small(full), "bucket", "left").select("bucket", parts.alias("parts"), F.pmod(F.xxhash64("digest"), parts).cast("int").alias("part"), "digest", "bytes")
+    shape = "digest binary, lo int, hi int, at int, bytes binary"
+    found = written(dealt.groupBy("bucket", "part").applyInArrow(_repeated_strings(length), shape), "repeated-strings")
+    hits = found.where("lo is not null").select("digest", "lo", "hi")
+    if not full.isEmpty():
+        # one start of each string of each part of a full bucket: those that share their bytes are met by them
+        passed = found.where("lo is null").select("digest", "at", F.col("bytes"))
+        hits = hits.unionByName(_second_round(passed, length, least_buckets))
+    hit = written(whole.unionByName(hits), "repeated-runs")
     return runs.select("k", "at", "digest").join(small(hit), "digest").select("k", (F.col("at") + F.col("lo")).alias("lo"), (F.col("at") + F.col("hi")).alias("hi"))
 
 
+def _second_round(passed: DataFrame, length: int, least_buckets: int) -> DataFrame:
+    """digest, lo, hi of stretches of starts that have an equal string in another part. passed: digest, at, bytes; every string occurs once in a part, so a string has at most as many rows as its bucket has parts. Strings are met by digests of 128 bits (BLAKE2b)."""
+    schema = "string binary, digest binary, at int"
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for first, n in K.parts(batch.column(2), 1 << 16):
+                part = batch.slice(first, n)
+                _, piece, within, s, b = _strings(part.column(2), length)
+                raw = b.tobytes()
+                at = part.column(1).to_numpy(zero_copy_only=False)[piece] + within
+                string = pa.array([hashlib.blake2b(raw[i : i + length], digest_size=16).digest() for i in s.tolist()], pa.binary())
+                yield pa.RecordBatch.from_arrays([string, part.column(0).take(pa.array(piece)), pa.array(at.astype(np.int32))], names=["string", "digest", "at"])
+
+    both = written(passed.mapInArrow(each, schema), "passed-strings")
+    twice = written(both.groupBy("string").agg(F.count("*").alias("n")).where("n > 1").select("string"), "strings-of-parts")
+    return both.join(small(twice), "string", "left_semi").select("digest", F.col("at").alias("lo"), (F.col("at") + 1).cast("int").alias("hi"))
+
+
 def removals(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept (the bytes left) for each row of docs (doc_id, text).
 

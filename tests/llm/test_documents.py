@@ -201,6 +201,19 @@ def test_repeats(docs, none, texts, length):
     assert repeats.removals(none).count() == 0
 
 
+def test_repeats_of_full_buckets(docs, texts, monkeypatch):
+    want = {r["doc_id"]: tuple(r) for r in repeats.removals(docs, 40).collect()}
+    monkeypatch.setattr(repeats, "PER_BUCKET", 20)
+    assert {r["doc_id"]: tuple(r) for r in repeats.removals(docs, 40).collect()} == want
+
+
+def test_equal_neighbours_are_compared_by_bytes():
+    b = np.frombuffer(b"abcdabceabcd", np.uint8)
+    s = np.array([0, 4, 8])
+    again, first = repeats._equal_neighbours(np.zeros(3, np.uint64), s, b, 4)  # all of one name
+    assert again.tolist() == [True, False, True] and first.tolist() == [True, True, False]
+
+
 @pytest.mark.parametrize("length", [3, 14, 40, 400, 2000])
 def test_difference_covers(length):
     v, d = repeats.difference_cover(length)
@@ -210,8 +223,9 @@ def test_difference_covers(length):
 def test_packing(docs, none, texts):
     tokenizers = pytest.importorskip("tokenizers")
     t = tokenizers.Tokenizer.from_file(packing.vocabulary_path("byte_bpe_50k.json"))
-    t.encode_special_tokens = True
     want = {}
+    texts = [*texts, "a <|endoftext|> b<|endoftext|>", "<|endoftext|>", "<|endoftext"]
+    docs = docs.unionByName(docs.sparkSession.createDataFrame([(i, x) for i, x in enumerate(texts) if i >= len(texts) - 3], "doc_id long, text string"), allowMissingColumns=True)
     for i, x in enumerate(texts):
         ids = [*t.encode(x or "", add_special_tokens=False).ids, 2]
         first, at, k = len(ids) % 1024 or 1024, 0, 0
@@ -230,6 +244,18 @@ def test_packing(docs, none, texts):
     assert packing.pack_documents(none).count() == 0
 
 
+def test_packing_of_repeated_rows_and_null_ids(spark):
+    rows = spark.createDataFrame([(1, "a b"), (1, "a b"), (None, "a b"), (None, None), (2, "word " * 3000)], "doc_id long, text string")
+    got = packing.pack_documents(rows).collect()
+    assert collections.Counter((r["doc_id"], r["piece"]) for r in got if r["doc_id"] != 2) == {(1, 0): 2, (None, 0): 2}
+    assert len({(r["sequence_id"], r["offset"]) for r in got}) == len(got) == 4 + len([r for r in got if r["doc_id"] == 2])
+
+
+def test_bin_completion_of_very_many_equal_pieces():
+    plan, bound = packing.complete_bins({1: 10**9, 500: 10**7, 1024: 5}, steps=10_000)
+    assert sum(n for _, n in plan) == bound
+
+
 @pytest.mark.parametrize("seed", range(12))
 def test_bin_completion_is_optimal_on_small_cases(seed):
     r = random.Random(seed)
@@ -244,7 +270,7 @@ def test_bin_completion_is_optimal_on_small_cases(seed):
                 out = min(out, best(left[1:], bins[:i] + (bins[i] - left[0],) + bins[i + 1 :]))
         return min(out, best(left[1:], (*bins, 30 - left[0])))
 
-    plan, bound = packing.complete_bins(dict(collections.Counter(sizes)), 30)
+    plan, bound = packing.complete_bins(dict(collections.Counter(sizes)), 30, steps=None)
     assert sum(n for _, n in plan) == best(tuple(sorted(sizes, reverse=True)), ()) >= bound
     assert collections.Counter({k: v for k, v in sum((collections.Counter({s: n * c.count(s) for s in set(c)}) for c, n in plan), collections.Counter()).items()}) == collections.Counter(sizes)
 
