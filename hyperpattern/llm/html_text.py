@@ -1,23 +1,24 @@
-"""Main text of web pages, by structure and by differencing with the page of the nearest URL.
+"""Main text of web pages, by differencing with the page of the nearest URL and by structure.
 
 A page is read once into blocks of text with their zone: inside an article, in the open, or in a part that is never
-main text (navigation, headers, footers, sidebars, forms, adverts, notices, comments, scripts). A page that has an
-article is that article. On any other page, the page with the nearest URL path of its host is fetched, the two
-sequences of lines are aligned by longest common subsequence, and the lines they share are deleted from what is open.
+main text (navigation, headers, footers, sidebars, forms, adverts, notices, comments, scripts). Every page is paired with
+the page of the nearest URL path of its host whose content differs, copies and pages without text being passed over, and the two sequences of
+lines are aligned by longest common subsequence. Lines they share are deleted, but for lines inside an article: what a
+neighbour repeats there is still the article's. On a page with an article, the article is what remains of the page.
 """
 
 from __future__ import annotations
 
 import re
-import zlib
 from bisect import bisect_left
 from collections.abc import Iterator
 from html import unescape
 from urllib.parse import urlsplit
 
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -139,14 +140,20 @@ def place(url: str | None) -> tuple[str, str]:
 
 
 def common_subsequence(a: list[int], b: list[int]) -> list[int]:
-    """Places in a of a longest common subsequence: lines of a are chained through their places in b, shortest tails first."""
+    """Places in a of a longest common subsequence: equal ends are matched as they are, between them lines of a are chained through their places in b, shortest tails first."""
+    head = 0
+    while head < min(len(a), len(b)) and a[head] == b[head]:
+        head += 1
+    tail = 0
+    while tail < min(len(a), len(b)) - head and a[-1 - tail] == b[-1 - tail]:
+        tail += 1
     at: dict[int, list[int]] = {}
-    for j in range(len(b) - 1, -1, -1):
+    for j in range(len(b) - tail - 1, head - 1, -1):
         at.setdefault(b[j], []).append(j)
     tails: list[int] = []
     ends: list[tuple] = []
-    for i, x in enumerate(a):
-        for j in at.get(x, ()):
+    for i in range(head, len(a) - tail):
+        for j in at.get(a[i], ()):
             k = bisect_left(tails, j)
             node = (i, ends[k - 1] if k else None)
             if k == len(tails):
@@ -158,7 +165,7 @@ def common_subsequence(a: list[int], b: list[int]) -> list[int]:
     while node:
         chain.append(node[0])
         node = node[1]
-    return chain[::-1]
+    return [*range(head), *chain[::-1], *range(len(a) - tail, len(a))]
 
 
 def nearest(path: str, others: list[tuple[str, list[int]]]) -> list[int]:
@@ -179,21 +186,24 @@ def _line_hash(line: str) -> int:
 
 
 def page_lines(pages: DataFrame) -> DataFrame:
-    """page_id, text_hash, host, path, lines (hashes), open (numbers of lines that differencing may delete; null if the page has an article)."""
-    schema = "page_id long, text_hash long, host string, path string, lines array<long>, open array<int>"
+    """host, path, content (hash of the lines), url, html_hash, lines (hashes), open (numbers of lines that differencing may delete; none if the page has an article). pages: url, html, html_hash."""
+    schema = "host string, path string, content long, url string, html_hash long, lines array<long>, open array<int>"
+    names = [x.split(" ")[0] for x in schema.split(", ")]
+    kinds = (pa.string(), pa.string(), pa.int64(), pa.string(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int32()))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             out = []
-            for page_id, url, html in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
-                found = blocks(html or "")
-                spare = None if any(z == IN_ARTICLE for _, z in found) else [i for i, (_, z) in enumerate(found) if z == OPEN]
-                out.append((page_id, zlib.crc32((html or "").encode()), *place(url), [_line_hash(t) for t, _ in found], spare))
-            kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.list_(pa.int64()), pa.list_(pa.int32()))
-            columns = list(zip(*out, strict=True)) or [()] * 6
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["page_id", "text_hash", "host", "path", "lines", "open"])
+            for url, html, html_hash in zip(*(batch.column(i) for i in range(3)), strict=True):
+                found = blocks(html.as_py() or "")
+                spare = [] if any(z == IN_ARTICLE for _, z in found) else [i for i, (_, z) in enumerate(found) if z == OPEN]
+                lines = [_line_hash(t) for t, _ in found]
+                content = xxhash.xxh64_intdigest(repr((lines, spare)).encode()) - (1 << 63)
+                out.append((*place(url.as_py()), content, url.as_py(), html_hash.as_py(), lines, spare))
+            columns = list(zip(*out, strict=True)) or [()] * len(names)
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=names)
 
-    return pages.select("page_id", "url", "html").mapInArrow(run, schema)
+    return pages.select("url", "html", "html_hash").mapInArrow(run, schema)
 
 
 def in_order(frame: DataFrame, order: list[str], name: str) -> DataFrame:
@@ -208,22 +218,25 @@ def in_order(frame: DataFrame, order: list[str], name: str) -> DataFrame:
 
 
 def shared_lines(lines: DataFrame) -> DataFrame:
-    """page_id, text_hash, gone: numbers of the open lines that a page shares with its nearest page. lines: a written table of page_lines."""
-    placed = written(in_order(lines, ["host", "path", "page_id", "text_hash"], "at"), "placed-pages")
-    need = placed.where(F.size("open") > 0)
+    """url, html_hash, shared (how many lines a page shares with its nearest page of other content), gone (numbers of those that are deleted). lines: a written table of page_lines, a row for each url and html."""
+    kinds = lines.where(F.size("lines") > 0).groupBy("host", "content").agg(F.min("path").alias("path"), F.first("lines").alias("lines"), F.first("open").alias("open"))
+    placed = written(in_order(kinds, ["host", "path", "content"], "at"), "placed-pages")
     side = lambda by, tag: placed.select((F.col("at") + by).alias("at"), F.col("host").alias(f"{tag}_host"), F.col("path").alias(f"{tag}_path"), F.col("lines").alias(f"{tag}_lines"))
-    beside = need.join(side(1, "a"), "at", "left").join(side(-1, "b"), "at", "left")
-    beside = beside.select("page_id", "text_hash", "path", "lines", "open", *[F.when(F.col(f"{t}_host") == F.col("host"), F.col(c)).alias(c) for t in "ab" for c in (f"{t}_path", f"{t}_lines")])
+    beside = placed.join(side(1, "a"), "at", "left").join(side(-1, "b"), "at", "left")
+    beside = beside.select("host", "content", "path", "lines", "open", *[F.when(F.col(f"{t}_host") == F.col("host"), F.col(c)).alias(c) for t in "ab" for c in (f"{t}_path", f"{t}_lines")])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            gone = []
+            gone, shared = [], []
             for _, _, path, own, spare, a_path, a, b_path, b in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                other = nearest(path, [(q, x) for q, x in ((a_path, a), (b_path, b)) if q is not None and x != own])  # a copy of the page tells nothing about it
-                gone.append(sorted(set(spare) & set(common_subsequence(own, other))))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(gone, pa.list_(pa.int32()))], names=["page_id", "text_hash", "gone"])
+                other = nearest(path, [(q, x) for q, x in ((a_path, a), (b_path, b)) if q is not None])
+                same = common_subsequence(own, other)
+                shared.append(len(same))
+                gone.append(sorted(set(spare) & set(same)))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(shared, pa.int32()), pa.array(gone, pa.list_(pa.int32()))], names=["host", "content", "shared", "gone"])
 
-    return beside.mapInArrow(run, "page_id long, text_hash long, gone array<int>").where(F.size("gone") > 0)
+    found = written(beside.mapInArrow(run, "host string, content long, shared int, gone array<int>").where("shared > 0"), "shared-lines")
+    return lines.select("url", "html_hash", "host", "content").join(small(found), ["host", "content"]).select("url", "html_hash", "shared", "gone")
 
 
 def main_text(html: str, gone: list[int] | None) -> str:
@@ -236,22 +249,33 @@ def main_text(html: str, gone: list[int] | None) -> str:
 
 
 def extract(pages: DataFrame) -> DataFrame:
-    """page_id, url, text, n_chars for each row of pages (page_id, url, html). A null or empty page has an empty text; equal rows get equal texts."""
-    lines = written(page_lines(pages), "page-lines")
-    rows = pages.select("page_id", "url", "html")
-    if lines.where(F.size("open") > 0).isEmpty():
-        joined = rows.withColumn("gone", F.lit(None).cast("array<int>"))
-    else:
-        gone = written(shared_lines(lines).groupBy("page_id", "text_hash").agg(F.first("gone").alias("gone")), "shared-lines")
-        marked = rows.withColumn("text_hash", F.crc32(F.encode(F.coalesce("html", F.lit("")), "UTF-8")))
-        joined = marked.join(small(gone), ["page_id", "text_hash"], "left").select("page_id", "url", "html", "gone")
+    """page_id, url, text, n_chars, n_shared, n_deleted for each row of pages (page_id, url, html).
+
+    n_shared: lines that the page shares with its nearest page; n_deleted: those that are deleted from its text. A null or
+    empty page has an empty text; equal rows get equal texts, and so do copies under other ids.
+    """
+    rows = pages.select("page_id", "url", "html", F.xxhash64("html").alias("html_hash"))
+    single = rows.groupBy("url", "html_hash").agg(F.count("*").alias("n")).where("n > 1").select("url", "html_hash")
+    repeated = written(single, "repeated-pages")
+    rare = rows.join(small(repeated), _same_page(rows, repeated), "left_anti")
+    one_each = rows.join(small(repeated), _same_page(rows, repeated), "left_semi").groupBy("url", "html_hash").agg(F.first("html").alias("html"))
+    lines = written(page_lines(rare.select("url", "html", "html_hash").unionByName(one_each)), "page-lines")
+    gone = written(shared_lines(lines), "lines-gone")
+    joined = rows.join(small(gone), _same_page(rows, gone), "left").select("page_id", rows["url"], "html", "shared", "gone")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = [main_text(h.as_py() or "", g.as_py()) for h, g in zip(batch.column(2), batch.column(3), strict=True)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
+            texts = [main_text(h.as_py() or "", g.as_py()) for h, g in zip(batch.column(2), batch.column(4), strict=True)]
+            chars = pa.array([len(t) for t in texts], pa.int64())
+            shared = pc.fill_null(batch.column(3), 0)
+            deleted = pc.fill_null(pc.list_value_length(batch.column(4)), 0)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), chars, shared, deleted], names=["page_id", "url", "text", "n_chars", "n_shared", "n_deleted"])
 
-    return joined.mapInArrow(run, "page_id long, url string, text string, n_chars long")
+    return joined.mapInArrow(run, "page_id long, url string, text string, n_chars long, n_shared int, n_deleted int")
+
+
+def _same_page(a: DataFrame, b: DataFrame) -> Column:
+    return a["url"].eqNullSafe(b["url"]) & (a["html_hash"] == b["html_hash"])
 
 
 def op9_nearest_url_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:

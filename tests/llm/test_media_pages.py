@@ -4,6 +4,8 @@ import base64
 import gzip
 import hashlib
 import io
+import os
+import random
 import struct
 import zipfile
 import zlib
@@ -138,6 +140,49 @@ def test_differencing(spark):
     assert html_text.extract(pages.limit(0)).count() == 0
 
 
+def test_differencing_passes_copies_over(spark):
+    page = "<html><body><p>Site</p><div><p>%s</p></div><p>Imprint</p></body></html>"
+    rows = [(i, "http://h/a/1", page % "one") for i in range(3)] + [(7, "http://h/a/2", page % "two"), (8, "http://h/b", page % "<article>Site</article>"), (9, "http://h/a/1", None), (None, "http://h/a/1", page % "one")]
+    got = {(r["page_id"], r["text"]): r for r in html_text.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert set(got) == {(0, "one"), (1, "one"), (2, "one"), (7, "two"), (8, "Site"), (9, ""), (None, "one")}
+    assert got[0, "one"]["n_shared"] == got[7, "two"]["n_deleted"] == 2 and got[8, "Site"]["n_deleted"] == 0
+
+
+def test_differencing_against_a_plain_version(spark):
+    r = random.Random(4)
+    word = lambda: "".join(r.choice("abcd") for _ in range(3))
+    rows = []
+    for i in range(60):
+        body = "".join(f"<p>{r.choice(['top', 'more', word(), word()])}</p>" for _ in range(r.randint(0, 8)))
+        rows.append((i, f"http://h{r.randint(0, 2)}/{r.choice('ab')}/{r.randint(0, 30):02}", f"<body><nav>menu</nav><p>top</p>{body}<p>end</p></body>"))
+    got = {x["page_id"]: x["text"] for x in html_text.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    hosts = {}
+    for i, url, html in rows:
+        host, path = html_text.place(url)
+        found = [t for t, _ in html_text.blocks(html)]
+        same = hosts.setdefault(host, {})
+        same[tuple(found)] = min(same.get(tuple(found), path), path)
+    for i, url, html in rows:
+        host, _ = html_text.place(url)
+        found = tuple(t for t, _ in html_text.blocks(html))
+        path = hosts[host][found]
+        alike = lambda p: len(os.path.commonprefix([p, path]))  # noqa: E731, B023
+        others = [(alike(p), x) for x, p in hosts[host].items() if x != found]
+        if not others:
+            continue
+        most = max(n for n, _ in others)
+        wants = set()
+        for n, other in others:  # any of the nearest will do
+            if n == most:
+                table = [[0] * (len(other) + 1) for _ in range(len(found) + 1)]
+                for x in range(len(found)):
+                    for y in range(len(other)):
+                        table[x + 1][y + 1] = table[x][y] + 1 if found[x] == other[y] else max(table[x][y + 1], table[x + 1][y])
+                wants.add(table[-1][-1])
+        left = len(got[i].split("\n\n")) if got[i] else 0
+        assert len(found) - 1 - left in {n - 1 for n in wants}, i  # the menu is out by its zone, and shared by all
+
+
 def test_common_subsequence():
     assert html_text.common_subsequence([1, 2, 3, 2, 5], [2, 3, 9, 2]) == [1, 2, 3]
     assert html_text.common_subsequence([], [1]) == []
