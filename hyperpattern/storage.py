@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -9,9 +10,11 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """spark.checkpoint.dir of the session; a folder of our own only where it is unset, as in local tests."""
+    """spark.checkpoint.dir of the session; a folder of our own only where it is unset and all runs in one process, as in local tests."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         found = getattr(spark, "_pattern_folder", None) or tempfile.mkdtemp(prefix="hyperpattern-")
         spark._pattern_folder = found
     return found.rstrip("/")
