@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -18,9 +19,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that all executors share (spark.checkpoint.dir); a folder of our own only where the setting is absent, as in local tests."""
+    """The folder that all executors share (spark.checkpoint.dir); a folder of our own only where the setting is absent and all runs in one process, as in local tests."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         found = getattr(spark, "_own_shared_folder", None) or tempfile.mkdtemp(prefix="hyperpattern-")
         spark._own_shared_folder = found
     return found.rstrip("/")
