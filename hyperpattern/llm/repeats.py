@@ -290,26 +290,73 @@ def _as_stretches(piece: np.ndarray, within: np.ndarray) -> tuple[np.ndarray, np
     return (place[new] >> 32), (place[new] & 0xFFFFFFFF).astype(np.int32), ((last & 0xFFFFFFFF) + 1).astype(np.int32)
 
 
+#: Columns of what a part of a full bucket passes on: strings (digests of 16 bytes) of one source for one bucket of the second round.
+PASSED = "bucket int, source binary, strings binary, owners array<binary>, counts array<int>, places binary"
+FOUND = "digest binary, lo int, hi int, " + PASSED
+PASSED_KINDS = (pa.int32(), pa.binary(), pa.binary(), pa.list_(pa.binary()), pa.list_(pa.int32()), pa.binary())
+
+
+def _names(schema: str) -> list[str]:
+    return [x.split(" ")[0] for x in schema.split(", ")]
+
+
 def _repeated_strings(length: int):
     def run(group: pa.Table) -> pa.Table:
-        """Stretches of starts (null name) whose string also starts elsewhere in the group; of a group that is a part of a bucket also stretches of the first start of each string, with the bytes they cover and a null lo."""
+        """digest, lo, hi: stretches of starts whose string also starts elsewhere in the group. A group that is a part of a full bucket also passes on the first start of each string, in rows for the buckets of a second round."""
         pieces = group.column("bytes").combine_chunks()
         digests = group.column("digest").combine_chunks()
         name, piece, within, s, b = _strings(pieces, length)
         again, first = _equal_neighbours(name, s, b, length)
         owner, lo, hi = _as_stretches(piece[again], within[again])
-        none = pa.nulls(len(lo), pa.binary())
-        out = [pa.table({"digest": digests.take(pa.array(owner)), "lo": pa.array(lo), "hi": pa.array(hi), "at": pa.nulls(len(lo), pa.int32()), "bytes": none})]
+        hits = {"digest": digests.take(pa.array(owner)), "lo": pa.array(lo), "hi": pa.array(hi)}
+        out = [pa.table(hits | {c: pa.nulls(len(lo), k) for c, k in zip(_names(PASSED), PASSED_KINDS, strict=True)})]
         if group.column("parts")[0].as_py() > 1:
-            owner, lo, hi = _as_stretches(piece[first], within[first])
-            covered = [pieces[i].as_buffer()[j : k - 1 + length].to_pybytes() for i, j, k in zip(owner.tolist(), lo.tolist(), hi.tolist(), strict=True)]
-            empty = pa.nulls(len(lo), pa.int32())
-            out.append(pa.table({"digest": digests.take(pa.array(owner)), "lo": empty, "hi": empty, "at": pa.array(lo), "bytes": pa.array(covered, pa.binary())}))
+            buckets = group.column("buckets")[0].as_py()
+            one = np.flatnonzero(first)
+            raw, source = b.tobytes(), digests[0].as_py()
+            strings = np.frombuffer(b"".join(hashlib.blake2b(raw[i : i + length], digest_size=16).digest() for i in s[one].tolist()), "V16")
+            bucket = (strings.view("<u8")[::2] % U(buckets)).astype(np.int64)
+            rows = []
+            for k in np.unique(bucket):
+                own = np.flatnonzero(bucket == k)
+                who, counts = np.unique(piece[one[own]], return_counts=True)  # starts are in the order of pieces
+                rows.append((int(k), source, strings[own].tobytes(), digests.take(pa.array(who)).to_pylist(), counts.tolist(), within[one[own]].astype("<i4").tobytes()))
+            columns = list(zip(*rows, strict=True)) or [()] * 6
+            passed = {c: pa.array(x, k) for c, x, k in zip(_names(PASSED), columns, PASSED_KINDS, strict=True)}
+            out.append(pa.table({"digest": pa.nulls(len(rows), pa.binary()), "lo": pa.nulls(len(rows), pa.int32()), "hi": pa.nulls(len(rows), pa.int32())} | passed))
         return pa.concat_tables(out)
 
     return run
 
 
+def _met_again(group: pa.Table) -> pa.Table:
+    """Of each row of a bucket of the second round, the starts whose string another source has too."""
+    strings = np.concatenate([np.frombuffer(x.as_buffer(), "V16") for x in group.column("strings")])
+    _, which, times = np.unique(strings, return_inverse=True, return_counts=True)
+    again, at, out = times[which] > 1, 0, []
+    for source, owners, counts, places in zip(*(group.column(c) for c in ("source", "owners", "counts", "places")), strict=True):
+        counts = np.asarray(counts.values)
+        hit = again[at : at + int(counts.sum())]
+        at += len(hit)
+        if hit.any():
+            of = np.add.reduceat(hit.astype(np.int32), np.concatenate([[0], np.cumsum(counts)[:-1]]))
+            has = np.flatnonzero(of)
+            out.append((source.as_py(), owners.values.take(pa.array(has)).to_pylist(), of[has].tolist(), np.frombuffer(places.as_buffer(), "<i4")[hit].tobytes()))
+    columns = list(zip(*out, strict=True)) or [()] * 4
+    return pa.table({c: pa.array(x, k) for c, x, k in zip(("source", "owners", "counts", "places"), columns, (pa.binary(), *PASSED_KINDS[3:]), strict=True)})
+
+
+def _merged(group: pa.Table) -> pa.Table:
+    """digest, lo, hi: the starts of one source as stretches."""
+    owners = pa.concat_arrays([x.values for x in group.column("owners")])
+    names, who = np.unique(np.frombuffer(b"".join(owners.to_pylist()), f"V{len(owners[0].as_py())}"), return_inverse=True)
+    owner = np.repeat(who, _numbers(group.column("counts")))
+    place = np.concatenate([np.frombuffer(x.as_buffer(), "<i4") for x in group.column("places")])
+    order = np.lexsort((place, owner))
+    piece, lo, hi = _as_stretches(owner[order], place[order])
+    return pa.table({"digest": pa.array([names[i].tobytes() for i in piece], pa.binary()), "lo": pa.array(lo), "hi": pa.array(hi)})
+
+
 def repeated_starts(texts: DataFrame, total: int, length: int) -> DataFrame | None:
     """k, lo, hi: stretches of starts of repeated strings in texts (k, text), which are all different and hold `total` bytes."""
     period, residues = difference_cover(length)
@@ -330,39 +377,20 @@ def repeated_starts(texts: DataFrame, total: int, length: int) -> DataFrame | No
     buckets = max(least_buckets, -(-starts // PER_BUCKET))
     dealt = kinds.withColumn("bucket", F.pmod(F.xxhash64("least"), F.lit(buckets)).cast("int"))
     loads = dealt.groupBy("bucket").agg(F.ceil(F.sum("n") / PER_BUCKET).cast("int").alias("parts"))
-    full = written(loads.where("parts > 2"), "full-buckets")
+    full = written(loads.where("parts > 4"), "full-buckets")
+    rounds = full.agg(F.coalesce(F.sum("parts"), F.lit(1)).cast("int")).first()[0]
     parts = F.coalesce("parts", F.lit(1))
-    dealt = dealt.join(small(full), "bucket", "left").select("bucket", parts.alias("parts"), F.pmod(F.xxhash64("digest"), parts).cast("int").alias("part"), "digest", "bytes")
-    shape = "digest binary, lo int, hi int, at int, bytes binary"
-    found = written(dealt.groupBy("bucket", "part").applyInArrow(_repeated_strings(length), shape), "repeated-strings")
+    dealt = dealt.join(small(full), "bucket", "left").select("bucket", parts.alias("parts"), F.pmod(F.xxhash64("digest"), parts).cast("int").alias("part"), F.lit(rounds).alias("buckets"), "digest", "bytes")
+    found = written(dealt.groupBy("bucket", "part").applyInArrow(_repeated_strings(length), FOUND), "repeated-strings")
     hits = found.where("lo is not null").select("digest", "lo", "hi")
-    if not full.isEmpty():
-        # one start of each string of each part of a full bucket: those that share their bytes are met by them
-        passed = found.where("lo is null").select("digest", "at", F.col("bytes"))
-        hits = hits.unionByName(_second_round(passed, length, least_buckets))
+    if rounds > 1:
+        # strings of the parts of full buckets are met by digests of 128 bits (BLAKE2b); a string comes once from each part
+        met = found.where("strings is not null").select(*_names(PASSED)).groupBy("bucket").applyInArrow(_met_again, "source binary, owners array<binary>, counts array<int>, places binary")
+        hits = hits.unionByName(met.groupBy("source").applyInArrow(_merged, "digest binary, lo int, hi int"))
     hit = written(whole.unionByName(hits), "repeated-runs")
     return runs.select("k", "at", "digest").join(small(hit), "digest").select("k", (F.col("at") + F.col("lo")).alias("lo"), (F.col("at") + F.col("hi")).alias("hi"))
 
 
-def _second_round(passed: DataFrame, length: int, least_buckets: int) -> DataFrame:
-    """digest, lo, hi of stretches of starts that have an equal string in another part. passed: digest, at, bytes; every string occurs once in a part, so a string has at most as many rows as its bucket has parts. Strings are met by digests of 128 bits (BLAKE2b)."""
-    schema = "string binary, digest binary, at int"
-
-    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for first, n in K.parts(batch.column(2), 1 << 16):
-                part = batch.slice(first, n)
-                _, piece, within, s, b = _strings(part.column(2), length)
-                raw = b.tobytes()
-                at = part.column(1).to_numpy(zero_copy_only=False)[piece] + within
-                string = pa.array([hashlib.blake2b(raw[i : i + length], digest_size=16).digest() for i in s.tolist()], pa.binary())
-                yield pa.RecordBatch.from_arrays([string, part.column(0).take(pa.array(piece)), pa.array(at.astype(np.int32))], names=["string", "digest", "at"])
-
-    both = written(passed.mapInArrow(each, schema), "passed-strings")
-    twice = written(both.groupBy("string").agg(F.count("*").alias("n")).where("n > 1").select("string"), "strings-of-parts")
-    return both.join(small(twice), "string", "left_semi").select("digest", F.col("at").alias("lo"), (F.col("at") + 1).cast("int").alias("hi"))
-
-
 def removals(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept (the bytes left) for each row of docs (doc_id, text).
 
