@@ -22,12 +22,16 @@ def transform(h: HypergraphFrame, edge_node_label: str = "arity") -> tuple[DataF
     return nodes, h.incidence().select(vertex.alias("a"), edge.alias("b"))
 
 
-def match(h: HypergraphFrame, p: PatternGraph, edge_node_label: str = "arity") -> DataFrame:
-    """The arcs of the pattern's graph are joined along a spanning order; nodes of one kind are all different."""
+def labelled_arcs(h: HypergraphFrame, edge_node_label: str = "arity") -> DataFrame:
+    """a, b, la, lb: the incidence graph's arcs with the labels of both ends; what a query needs of the transformed data."""
     nodes, arcs = (held(x, "graph") for x in transform(h, edge_node_label))
+    return held(arcs.join(nodes.select(F.col("id").alias("a"), F.col("label").alias("la")), "a").join(nodes.select(F.col("id").alias("b"), F.col("label").alias("lb")), "b"), "arcs")
+
+
+def match(h: HypergraphFrame, p: PatternGraph, edge_node_label: str = "arity", arc: DataFrame | None = None) -> DataFrame:
+    """The arcs of the pattern's graph are joined along a spanning order; nodes of one kind are all different. arc: labelled_arcs(h, edge_node_label), if they are there already."""
     tag = {"signature": lambda e: "E:" + "|".join(p.signature(e)), "arity": lambda e: f"E:{len(e)}", "none": lambda e: "E:"}[edge_node_label]
-    arc = arcs.join(nodes.select(F.col("id").alias("a"), F.col("label").alias("la")), "a").join(nodes.select(F.col("id").alias("b"), F.col("label").alias("lb")), "b")
-    arc = held(arc, "arcs")
+    arc = labelled_arcs(h, edge_node_label) if arc is None else arc
     rows, name = None, {}
     todo = [(u, q) for q, e in enumerate(p.edges) for u in e]
     while todo:

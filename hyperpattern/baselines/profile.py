@@ -39,9 +39,10 @@ def counts(h: HypergraphFrame, p: PatternGraph) -> list[int]:
     return [have.get(s, 0) for s in sigs]
 
 
-def match(h: HypergraphFrame, p: PatternGraph) -> DataFrame:
+def match(h: HypergraphFrame, p: PatternGraph, inverted: DataFrame | None = None) -> DataFrame:
+    """inverted: index(h), if it is there already."""
     order = static_order(p, counts(h, p))
-    inverted = held(index(h), "inverted")
+    inverted = held(index(h), "inverted") if inverted is None else inverted
     sig = lambda q: "|".join(p.signature(p.edges[q]))
     q = order[0]
     rows = h.edges.where(F.array_join("sig", "|") == sig(q)).select(F.col("e").alias(f"m{q}"), F.col("members").alias(f"x{q}"))

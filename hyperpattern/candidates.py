@@ -7,7 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .model import HypergraphFrame, member_labels
+from .model import HypergraphFrame, member_labels, signature_hash
 from .pattern import PatternGraph
 from .storage import held
 
@@ -25,10 +25,11 @@ def init_candidates(p: PatternGraph, h: HypergraphFrame) -> DataFrame:
     wanted: dict[tuple, list[int]] = {}
     for q, e in enumerate(p.edges):
         wanted.setdefault((tuple(p.signature(e)), p.elabels[q] if p.elabels else None), []).append(q)
-    rows = [(list(sig), name, qs) for (sig, name), qs in wanted.items()]
-    asked = spark.createDataFrame(rows, "_sig array<string>, _elabel string, qs array<int>").withColumn("sig_id", F.xxhash64("_sig"))
-    sizes = sorted({len(r[0]) for r in rows})
-    found = h.edges.where(F.col("arity").isin(sizes)).join(F.broadcast(asked), "sig_id").where(F.col("sig") == F.col("_sig"))
+    rows = [(list(sig), name, qs, signature_hash(sig)) for (sig, name), qs in wanted.items()]
+    asked = spark.createDataFrame(rows, "_sig array<string>, _elabel string, qs array<int>, sig_id long")
+    sizes, ids = sorted({len(r[0]) for r in rows}), sorted({r[3] for r in rows})
+    # literals reach the scan: row groups are skipped by their statistics and bloom filters
+    found = h.edges.where(F.col("arity").isin(sizes) & F.col("sig_id").isin(ids)).join(F.broadcast(asked), "sig_id").where(F.col("sig") == F.col("_sig"))
     if p.elabels:
         found = found.where(F.col("elabel").eqNullSafe(F.col("_elabel")))
     return found.select(F.explode("qs").alias("q"), F.col("e").alias("f"), "members")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -10,13 +11,16 @@ from pyspark.sql.window import Window
 
 from . import oracle, walks, workloads
 from .baselines import BASELINES, bipartite
-from .candidates import build_space, init_candidates, prune_to_fixpoint
+from .candidates import build_space, init_candidates, prune_to_fixpoint, prune_worklist
 from .carriers import NAMES, edges_sql, hypergraph
-from .measures import summary
+from .cells import valid_by_cells, valid_by_subsets
+from .measures import solved_ratio, summary
+from .model import HypergraphFrame
 from .operators import as_of_join, interval_join, top_by_group
 from .order import ORDERS
 from .pattern import PatternGraph
 from .search import PRUNES, distinct_subgraphs, embeddings_long, match
+from .storage import shared_folder
 
 _HOT = {}
 
@@ -42,10 +46,10 @@ TRIANGLE = _pattern([[(1, A), (2, B)], [(2, B), (3, M)], [(1, A), (3, M)]])
 STAR4 = _pattern([[(1, A), (2, B)], [(1, A), (3, M)], [(1, A), (4, H)], [(4, H), (5, U)]])
 TWO_PARTS = _pattern([[(1, A), (2, B), (3, U)], [(3, U), (4, H)], [(5, M), (6, M), (7, H), (8, B)]])
 REGIONS = _pattern([[(1, "ASIA"), (2, "EUROPE")], [(2, "EUROPE"), (3, "AFRICA")], [(3, "AFRICA"), (1, "ASIA"), (4, "AMERICA")]])
-CO2 = _pattern([[(1, ""), (2, ""), (3, ""), (4, ""), (5, "")], [(1, ""), (2, ""), (6, ""), (7, ""), (8, ""), (9, "")]])
+CO2 = _pattern([[(i, "") for i in range(13)], [(i, "") for i in range(11, 26)]])
 DEAL = _pattern([[(1, "C"), (2, "P"), (3, "S")], [(1, "C"), (4, "P"), (3, "S")]])
-LINKS = _pattern([[(1, ""), (2, ""), (3, ""), (4, ""), (5, "")], [(1, ""), (2, ""), (6, ""), (7, ""), (8, "")]])
-VECTORS = _pattern([[(1, "1"), (2, "2")], [(2, "2"), (3, "3")]])
+LINKS = _pattern([[(i, "") for i in range(5)], [(i, "") for i in range(5)]])
+VECTORS = _pattern([[(1, "3"), (2, "4")], [(2, "4"), (3, "9")]])
 
 CASES: dict[str, tuple[str, PatternGraph]] = {
     "coactive_pair": ("coactive_10m", PAIR),
@@ -66,7 +70,8 @@ def _match(case: str, **how) -> Callable[[SparkSession, str], DataFrame]:
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _match("coactive_pair")(spark, sf_dir)
+    """A walk of three orders over shared parts as a query; it has at least the walk itself as a result."""
+    return _walk_match("basket_type")(spark, sf_dir)
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -91,6 +96,7 @@ for _c in ("coactive_chain", "supply_regions"):
     _add(f"filtered_{_c}", lambda s, d, n=_n, p=_p: prune_to_fixpoint(p, build_space(p, _h(s, d, n))).candidates.select("q", "f"), oracle.filtered_candidates(_p, _n))
 for _c, (_n, _p) in CASES.items():
     _add(f"match_{_c}", _match(_c), oracle.by_subsets(_p, _n))
+    _add(f"wavefront_{_c}", _match(_c, engine="wavefront"), oracle.by_subsets(_p, _n))
 _add("match_coactive_pair_vertices", _match("coactive_pair"), oracle.by_vertices(PAIR, "coactive_10m"))
 _CHAIN_SQL = oracle.by_subsets(CHAIN, "coactive_10m")
 for _v in PRUNES:
@@ -98,11 +104,13 @@ for _v in PRUNES:
 _add("unfiltered_coactive_chain", _match("coactive_chain", initial_filter=False), _CHAIN_SQL)
 for _o in ORDERS:
     _add(f"order_{_o}_coactive_chain", _match("coactive_chain", order=_o), _CHAIN_SQL)
+    _add(f"wavefront_order_{_o}_coactive_fork", _match("coactive_fork", order=_o, engine="wavefront"), oracle.by_subsets(FORK, "coactive_10m"))
+_add("wavefront_batches_coactive_chain", _match("coactive_chain", engine="wavefront", batch=30), _CHAIN_SQL)
 for _b in BASELINES:
     _add(f"baseline_{_b}_coactive_triangle", lambda s, d, b=_b: BASELINES[b](_h(s, d, "coactive_10m"), TRIANGLE), oracle.by_subsets(TRIANGLE, "coactive_10m"))
-_add("bipartite_without_arity", lambda s, d: bipartite(_h(s, d, "coactive_10m"), PAIR, "none"))
+_add("bipartite_without_arity", lambda s, d: bipartite(_h(s, d, "coactive_10m"), PAIR, "none"), oracle.by_vertices(PAIR, "coactive_10m", False))
 _add("disconnected_coactive", lambda s, d: match(_h(s, d, "coactive_10m"), TWO_PARTS), oracle.by_subsets(TWO_PARTS, "coactive_10m"))
-_add("non_simple_page_links", lambda s, d: match(_h(s, d, "page_links", False), LINKS, non_simple=True), None)
+_add("non_simple_page_links", lambda s, d: match(_h(s, d, "page_links", False), LINKS, non_simple=True), oracle.by_subsets(LINKS, "page_links", False))
 _add("embeddings_long_coactive", lambda s, d: embeddings_long(match(_h(s, d, "coactive_10m"), PAIR)), f"SELECT concat(m0, '|', m1) AS embedding_id, 0 AS q, m0 AS f FROM ({oracle.by_subsets(PAIR, 'coactive_10m')}) UNION ALL SELECT concat(m0, '|', m1), 1, m1 FROM ({oracle.by_subsets(PAIR, 'coactive_10m')})")
 _add("distinct_subgraphs_coactive", lambda s, d: distinct_subgraphs(match(_h(s, d, "coactive_10m"), PAIR)), f"SELECT DISTINCT concat(least(m0, m1), '|', greatest(m0, m1)) AS edges FROM ({oracle.by_subsets(PAIR, 'coactive_10m')})")
 _add("walks_coactive", lambda s, d: walks.sample(_h(s, d, "coactive_10m"), 3, 5).select("query", "step", "e"), oracle.walks("coactive_10m", 3, 5))
@@ -121,7 +129,9 @@ def _walk_match(name: str, size: int = 3) -> Callable[[SparkSession, str], DataF
 
 
 for _n in ("basket_type", "basket_brand", "supply_region", "customer_parts", "supplier_parts", "doc_words", "turn_words", "doc_quality"):
-    _add(f"match_walk_{_n}", _walk_match(_n))
+    _add(f"match_walk_{_n}", _walk_match(_n), oracle.by_walk(_n, 3, 3))
+for _n in ("coactive_1h", "vec_buckets", "conv_words", "page_links"):
+    _add(f"match_walk_pair_{_n}", _walk_match(_n, 2), oracle.by_walk(_n, 2, 3))
 
 
 def _bench_in_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -133,7 +143,43 @@ def _bench_in_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 _add("bench_pattern_in_documents", _bench_in_docs)
 
+
+def _fixpoint_by_worklist(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return prune_worklist(CHAIN, build_space(CHAIN, _h(spark, sf_dir, "coactive_10m"))).candidates.select("q", "f")
+
+
+_add("worklist_coactive_chain", _fixpoint_by_worklist, oracle.filtered_candidates(CHAIN, "coactive_10m"))
+_add("vertex_adjacency_coactive", lambda s, d: _h(s, d, "coactive_10m").vertex_adjacency(), f"WITH edges AS ({edges_sql('coactive_10m')}), i AS (SELECT e, unnest(members) AS v FROM edges) SELECT DISTINCT x.v AS a, y.v AS b FROM i x JOIN i y ON x.e = y.e AND x.v < y.v")
+for _t, _f in (("subsets", valid_by_subsets), ("cells", valid_by_cells)):
+
+    def _valid(spark: SparkSession, sf_dir: str, test=_f) -> DataFrame:
+        """Connected pairs of the triangle's first two edges with all candidates of the third, put to an exact test."""
+        h = _h(spark, sf_dir, "coactive_10m")
+        c = init_candidates(TRIANGLE, h)
+        side = lambda q: c.where(F.col("q") == q).select(F.col("f").alias(f"m{q}"))
+        linked = build_space(TRIANGLE, h).connections.where("q = 0 AND q2 = 1").select(F.col("f").alias("m0"), F.col("f2").alias("m1"))
+        return test(TRIANGLE, linked.crossJoin(side(2)), h.edges)
+
+    _add(f"valid_by_{_t}_coactive_triangle", _valid, oracle.by_subsets(TRIANGLE, "coactive_10m"))
+_add("induced_subhypergraph_stats", lambda s, d: _h(s, d, "coactive_10m").subhypergraph(_h(s, d, "coactive_10m").edges.where("arity = 3").select("e")).stats(), f"SELECT * FROM ({oracle.stats('coactive_10m').replace('FROM edges)', 'FROM edges WHERE len(members) = 3)').replace('FROM edges) SELECT', 'FROM edges WHERE len(members) = 3) SELECT')})")
+_add("index_match_supply_regions", lambda s, d: match(_indexed(s, d, "supply_region"), REGIONS), oracle.by_subsets(REGIONS, "supply_region"))
+
+
+def _indexed(spark: SparkSession, sf_dir: str, name: str) -> HypergraphFrame:
+    """The signature index of a folder, written once for each session and folder."""
+    key = (spark.sparkContext.applicationId, sf_dir, name, "index")
+    if key not in _HOT:
+        path = f"{shared_folder(spark)}/index-{uuid.uuid4().hex}"
+        _h(spark, sf_dir, name).write_index(path)
+        _HOT[key] = HypergraphFrame.read_index(spark, path)
+    return _HOT[key]
+
+
 # experiment workloads, on few queries
+_add("experiment_solved_ratio", lambda s, d: solved_ratio(workloads.query_times(s, d, ("supply_region",), (3,), 2, time_limit=20.0)))
+_add("experiment_memory", lambda s, d: workloads.query_times(s, d, ("supply_region",), (3,), 1, time_limit=60.0).select("hypergraph", "system", "size", "query_id", "peak_bytes", "embeddings"))
+_add("experiment_large_sets", lambda s, d: summary(workloads.query_times(s, d, ("basket_brand",), (3, 6), 1, ("interleaved", "overlap"), time_limit=60.0)))
+_add("experiment_filter_share", lambda s, d: workloads.filter_shares(s, d, ("customer_parts",), 3, 1))
 _add("experiment_query_times", lambda s, d: summary(workloads.query_times(s, d, ("coactive_10m",), (3,), 2)))
 _add("experiment_candidate_spaces", lambda s, d: workloads.candidate_spaces(s, d, ("coactive_10m",), (3,), 3))
 _add("experiment_pruning_ablation", lambda s, d: workloads.pruning_ablation(s, d, size=3, n=3))
@@ -158,8 +204,24 @@ _EV = "SELECT event_id, user_id, event_type, CAST(floor(epoch(ts)) AS BIGINT) AS
 _add("relational_rollup", lambda s, d: s.read.parquet(f"{d}/lineitem.parquet").rollup("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.sum(F.col("l_quantity").cast("long")).alias("qty")), "SELECT l_returnflag, l_linestatus, count(*) AS n, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS qty FROM lineitem GROUP BY ROLLUP (l_returnflag, l_linestatus)")
 _add("relational_pivot", lambda s, d: s.read.parquet(f"{d}/orders.parquet").groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O", "P"]).count().select("o_orderpriority", *[F.coalesce(c, F.lit(0)).alias(f"n_{c.lower()}") for c in "FOP"]), "SELECT o_orderpriority, count(*) FILTER (o_orderstatus = 'F') AS n_f, count(*) FILTER (o_orderstatus = 'O') AS n_o, count(*) FILTER (o_orderstatus = 'P') AS n_p FROM orders GROUP BY o_orderpriority")
 _add("relational_top_vertices", lambda s, d: top_by_group(_h(s, d, "coactive_10m").incidence().groupBy("label", "v").agg(F.count("*").alias("degree")), ["label"], [F.desc("degree"), F.asc("v")], 3), f"WITH edges AS ({edges_sql('coactive_10m')}), i AS (SELECT CAST(split_part(t, '\t', 1) AS BIGINT) AS v, split_part(t, '\t', 2) AS label FROM (SELECT unnest(tagged) AS t FROM edges)), g AS (SELECT label, v, count(*) AS degree FROM i GROUP BY label, v) SELECT label, v, degree FROM g QUALIFY row_number() OVER (PARTITION BY label ORDER BY degree DESC, v) <= 3")
-_add("relational_interval_join", lambda s, d: interval_join(_events(s, d).select("event_id", "t"), "t", _orders(s, d).where("o_orderkey < 50").select("o_orderkey", F.col("t").alias("lo"), (F.col("t") + 86400 * 30).alias("hi")), "lo", "hi", 86400 * 30).select("event_id", "o_orderkey"), f"SELECT event_id, o_orderkey FROM ({_EV}) e JOIN (SELECT o_orderkey, CAST(floor(epoch(o_orderdate)) AS BIGINT) AS lo FROM orders WHERE o_orderkey < 50) o ON t >= lo AND t < lo + 86400 * 30")
-_add("relational_interval_join_all", lambda s, d: interval_join(_events(s, d).select("event_id", "t"), "t", _orders(s, d).select("o_orderkey", F.col("t").alias("lo"), (F.col("t") + 86400 * 30).alias("hi")), "lo", "hi", 86400 * 30).select("event_id", "o_orderkey"), f"SELECT event_id, o_orderkey FROM ({_EV}) e JOIN (SELECT o_orderkey, CAST(floor(epoch(o_orderdate)) AS BIGINT) AS lo FROM orders) o ON t >= lo AND t < lo + 86400 * 30")
+
+
+def _activity(s: SparkSession, d: str) -> DataFrame:
+    """Events against the spans [first, last] of every user's day: how many spans each event falls into."""
+    e = _events(s, d)
+    day = F.floor(F.col("t") / 86400)
+    spans = e.groupBy(F.col("user_id").alias("who"), day.alias("d")).agg(F.min("t").alias("lo"), (F.max("t") + 1).alias("hi"))
+    return interval_join(e.select("event_id", "t"), "t", spans, "lo", "hi", 86400).groupBy("event_id").agg(F.count("*").alias("n_spans"))
+
+
+_add("relational_interval_join", _activity, f"WITH e AS ({_EV}), s AS (SELECT user_id, t // 86400 AS d, min(t) AS lo, max(t) + 1 AS hi FROM e GROUP BY ALL) SELECT event_id, count(*) AS n_spans FROM e JOIN s ON t >= lo AND t < hi GROUP BY event_id")
+_add("relational_cube", lambda s, d: s.read.parquet(f"{d}/orders.parquet").cube("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n"), F.grouping_id().alias("g")), "SELECT o_orderstatus, o_orderpriority, count(*) AS n, GROUPING(o_orderstatus, o_orderpriority) AS g FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)")
+_add("relational_grouping_sets", lambda s, d: s.read.parquet(f"{d}/orders.parquet").groupingSets([[F.col("o_orderstatus")], [F.col("o_orderpriority")], []], "o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")), "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY GROUPING SETS ((o_orderstatus), (o_orderpriority), ())")
+_add("relational_intersect", lambda s, d: s.read.parquet(f"{d}/customer.parquet").select("c_nationkey").intersect(s.read.parquet(f"{d}/supplier.parquet").select(F.col("s_nationkey").alias("c_nationkey"))), "SELECT c_nationkey FROM customer INTERSECT SELECT s_nationkey FROM supplier")
+_add("relational_intersect_all", lambda s, d: s.read.parquet(f"{d}/customer.parquet").select("c_nationkey").intersectAll(s.read.parquet(f"{d}/supplier.parquet").select(F.col("s_nationkey").alias("c_nationkey"))), "SELECT c_nationkey FROM customer INTERSECT ALL SELECT s_nationkey FROM supplier")
+_add("relational_outer_join", lambda s, d: s.read.parquet(f"{d}/customer.parquet").select("c_custkey").join(s.read.parquet(f"{d}/events.parquet").groupBy("user_id").agg(F.count("*").alias("n")), F.col("c_custkey") == F.col("user_id"), "full"), "SELECT c_custkey, user_id, n FROM customer FULL JOIN (SELECT user_id, count(*) AS n FROM events GROUP BY user_id) ON c_custkey = user_id")
+_add("relational_approximate", lambda s, d: s.read.parquet(f"{d}/lineitem.parquet").groupBy("l_returnflag").agg((F.abs(F.approx_count_distinct("l_partkey", 0.02) / F.count_distinct("l_partkey") - 1) < 0.1).alias("distinct_near"), (F.abs(F.percentile_approx("l_quantity", 0.5, 1000) - F.median("l_quantity")) <= 1).alias("median_near")), "SELECT l_returnflag, true AS distinct_near, true AS median_near FROM lineitem GROUP BY l_returnflag")
 _add("relational_as_of_join", lambda s, d: as_of_join(_events(s, d).select("event_id", "user_id", "t"), _orders(s, d).groupBy("user_id", "t").agg(F.max("o_orderkey").alias("o_orderkey")), "user_id", "t", "o_orderkey"), f"SELECT e.event_id, e.user_id, e.t, o.o_orderkey FROM ({_EV}) e ASOF LEFT JOIN (SELECT o_custkey AS user_id, CAST(floor(epoch(o_orderdate)) AS BIGINT) AS t, max(o_orderkey) AS o_orderkey FROM orders GROUP BY 1, 2) o ON e.user_id = o.user_id AND e.t >= o.t")
 _add("relational_windows", lambda s, d: _events(s, d).select("event_id", F.lag("event_id").over(Window.partitionBy("user_id").orderBy("t", "event_id")).alias("before"), F.count("*").over(Window.partitionBy("user_id").orderBy("t").rangeBetween(-3600, 0)).alias("last_hour")), f"SELECT event_id, lag(event_id) OVER (PARTITION BY user_id ORDER BY t, event_id) AS before, count(*) OVER (PARTITION BY user_id ORDER BY t RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW) AS last_hour FROM ({_EV})")
 _add("relational_except_all", lambda s, d: s.read.parquet(f"{d}/customer.parquet").select("c_nationkey").exceptAll(s.read.parquet(f"{d}/supplier.parquet").select(F.col("s_nationkey").alias("c_nationkey"))), "SELECT c_nationkey FROM customer EXCEPT ALL SELECT s_nationkey FROM supplier")
+_add("relational_json", lambda s, d: s.read.parquet(f"{d}/events.parquet").select("event_id", F.get_json_object("props", "$.k").cast("long").alias("k"), F.to_json(F.struct((F.from_json("props", "k long")["k"] + 1).alias("k"))).alias("next")), "SELECT event_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, CASE WHEN props IS NULL THEN '{}' ELSE concat('{\"k\":', CAST(json_extract_string(props, '$.k') AS BIGINT) + 1, '}') END AS next FROM events")

@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+import contextlib
 import json
+import threading
 import time
+import uuid
 from collections.abc import Callable
 from pathlib import Path
 
-from pyspark.sql import DataFrame
+from py4j.protocol import Py4JJavaError
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .candidates import CandidateSpace, build_space, prune_to_fixpoint
@@ -15,15 +19,47 @@ from .localsearch import Searcher, gathered
 from .model import HypergraphFrame
 from .pattern import PatternGraph
 
-SCHEMA = "hypergraph string, system string, size int, query_id string, seconds double, solved boolean, embeddings long"
-
-
-def timed(action: Callable[[], int], time_limit: float) -> tuple[float, bool, int | None]:
-    """(seconds, solved, result). A run past the limit counts as unsolved."""
-    t = time.monotonic()
-    n = action()
-    s = time.monotonic() - t
-    return s, s <= time_limit, n if s <= time_limit else None
+SCHEMA = "hypergraph string, system string, size int, query_id string, seconds double, solved boolean, embeddings long, peak_bytes long"
+
+
+def timed(spark: SparkSession, action: Callable[[], int], time_limit: float) -> tuple[float, bool, int | None, str]:
+    """(seconds, solved, result, job group). The jobs of a run past the limit are cancelled, and it counts as unsolved."""
+    sc, group = spark.sparkContext, uuid.uuid4().hex
+    sc.setJobGroup(group, "timed run", interruptOnCancel=True)
+    late = threading.Event()
+    over = threading.Event()
+
+    def stop() -> None:
+        late.set()
+        while not over.wait(0.2):  # a run between two jobs starts the next one
+            sc.cancelJobGroup(group)
+
+    timer = threading.Timer(time_limit, stop)
+    timer.daemon = True
+    timer.start()
+    t, n = time.monotonic(), None
+    try:
+        n = action()
+    except Exception:
+        if not late.is_set():
+            raise
+    finally:
+        s = time.monotonic() - t
+        over.set()
+        timer.cancel()
+        sc.setLocalProperty("spark.jobGroup.id", None)
+    return s, not late.is_set(), n, group
+
+
+def peak_bytes(spark: SparkSession, group: str) -> int:
+    """The most execution memory that the tasks of one stage of a job group took together, from Spark's status store."""
+    tracker, store, most = spark.sparkContext.statusTracker(), spark.sparkContext._jsc.sc().statusStore(), 0
+    for job in tracker.getJobIdsForGroup(group):
+        info = tracker.getJobInfo(job)
+        for stage in info.stageIds if info else ():
+            with contextlib.suppress(Py4JJavaError):  # a skipped stage has no attempt
+                most = max(most, store.lastStageAttempt(stage).peakExecutionMemory())
+    return most
 
 
 def space_stats(p: PatternGraph, h: HypergraphFrame) -> dict:
@@ -71,7 +107,7 @@ def geometric_mean(c: str):
 
 def summary(runs: DataFrame, cap: float = 600.0) -> DataFrame:
     """Geometric mean time and solved count by hypergraph, size and system, with totals (rollup)."""
-    return with_cap(runs, cap).rollup("hypergraph", "size", "system").agg(geometric_mean("seconds").alias("gm_seconds"), F.count_if("solved").alias("solved"), F.count("*").alias("queries"))
+    return with_cap(runs, cap).rollup("hypergraph", "size", "system").agg(geometric_mean("seconds").alias("gm_seconds"), F.count_if("solved").alias("solved"), F.count("*").alias("queries"), geometric_mean("embeddings").alias("gm_embeddings"), F.avg("peak_bytes").alias("avg_peak_bytes"))
 
 
 def solved_ratio(runs: DataFrame) -> DataFrame:

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -15,6 +16,14 @@ def signature(labels: Column) -> Column:
     return F.sort_array(labels)
 
 
+def signature_hash(labels) -> int:
+    """sig_id of a sorted list of labels: what xxhash64 gives for the array, each label hashed with the hash so far as its seed."""
+    seed = 42
+    for x in labels:
+        seed = xxhash.xxh64_intdigest(x.encode(), seed)
+    return seed - (1 << 64) if seed >> 63 else seed
+
+
 def signature_agg(rows: DataFrame, keys: list[str], label: str = "label") -> DataFrame:
     """keys, sig: the signature of each group's labels."""
     return rows.groupBy(*keys).agg(signature(F.collect_list(label)).alias("sig"))

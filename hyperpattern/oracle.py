@@ -40,15 +40,15 @@ def by_subsets(p: PatternGraph, name: str, simple: bool = True) -> str:
     return f"{_candidates(p, name, simple)} SELECT {', '.join(seen)} FROM {joins}"
 
 
-def by_vertices(p: PatternGraph, name: str) -> str:
-    """One relation for each vertex of each query edge; equal vertices where the query shares them, different ones elsewhere."""
+def by_vertices(p: PatternGraph, name: str, arity: bool = True) -> str:
+    """One relation for each vertex of each query edge; equal vertices where the query shares them, different ones elsewhere. arity False: data edges may be larger than the query's, and are all different."""
     rows = f"WITH edges AS ({edges_sql(name)}), inc AS (SELECT e, len(members) AS arity, unnest(members) AS v, unnest(tagged) AS t, FROM edges), i AS (SELECT e, arity, split_part(t, '\t', 1) AS v, split_part(t, '\t', 2) AS l FROM inc)"
     tables, tests, place = [], [], {}
     for q, e in enumerate(p.edges):
         for k, u in enumerate(e):
             name_ = f"t{q}_{k}"
             tables.append(f"i {name_}")
-            tests += [f"{name_}.arity = {len(e)}", f"{name_}.l = '{p.label[u]}'"]
+            tests += [f"{name_}.arity = {len(e)}"] * arity + [f"{name_}.l = '{p.label[u]}'"]
             if k:
                 tests.append(f"{name_}.e = t{q}_0.e")
             if u in place:
@@ -56,10 +56,32 @@ def by_vertices(p: PatternGraph, name: str) -> str:
             else:
                 tests += [f"{name_}.v <> {o}.v" for o in place.values()]
                 place[u] = name_
+    if not arity:
+        tests += [f"t{a}_0.e <> t{b}_0.e" for a, b in combinations(range(p.size), 2)]
     columns = ", ".join(f"t{q}_0.e AS m{q}" for q in range(p.size))
     return f"{rows} SELECT DISTINCT {columns} FROM {', '.join(tables)} WHERE {' AND '.join(tests)}"
 
 
+def by_walk(name: str, size: int, n: int, seed: int = 0) -> str:
+    """embedding_id, q, f of the first of n walks as a query: its edges are found by the walk's own SQL, and intersections of all subsets of candidates are compared with those of the walk's edges."""
+    sql = f"WITH edges AS ({edges_sql(name)}), walk AS ({walks(name, size, n, seed)}), chosen AS (SELECT step, e FROM walk WHERE query = (SELECT min(query) FROM walk))"
+    for q in range(size):
+        sql += f", c{q} AS (SELECT d.e AS m{q}, d.tagged AS x{q}, o.tagged AS y{q} FROM chosen JOIN edges o ON o.e = chosen.e AND step = {q} JOIN edges d ON d.labels = o.labels AND d.elabel IS NOT DISTINCT FROM o.elabel)"
+    joins = "c0"
+    for q in range(1, size):
+        tests = []
+        for k in range(1, q + 1):
+            for s in combinations(range(q), k):
+                x, y = f"x{q}", f"y{q}"
+                for i in s:
+                    x, y = f"list_intersect({x}, x{i})", f"list_intersect({y}, y{i})"
+                tests.append(f"list_sort(list_transform({x}, lambda z: split_part(z, '\t', 2))) = list_sort(list_transform({y}, lambda z: split_part(z, '\t', 2)))")
+        joins = f"(SELECT * FROM {joins} JOIN c{q} ON {' AND '.join(tests)})"
+    ids = ", ".join(f"m{q}" for q in range(size))
+    parts = " UNION ALL ".join(f"SELECT concat_ws('|', {ids}) AS embedding_id, {q} AS q, m{q} AS f FROM found" for q in range(size))
+    return f"{sql}, found AS (SELECT {ids} FROM {joins}) {parts}"
+
+
 def stats(name: str) -> str:
     return f"WITH edges AS ({edges_sql(name)}), v AS (SELECT DISTINCT unnest(tagged) AS t FROM edges), a AS (SELECT count(DISTINCT split_part(t, '\t', 1)) AS n_vertices, count(DISTINCT split_part(t, '\t', 2)) AS n_labels FROM v), b AS (SELECT count(*) AS n_edges, CAST(max(len(members)) AS BIGINT) AS max_arity, round(avg(len(members)), 6) AS avg_arity, count(DISTINCT labels) AS n_signatures FROM edges) SELECT n_vertices, n_edges, n_labels, max_arity, avg_arity, n_signatures FROM a, b"
 

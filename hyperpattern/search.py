@@ -19,6 +19,8 @@ from .pattern import PatternGraph
 from .plan import choose
 from .storage import held
 
+#: Candidates of the first query edge that the wavefront starts from at once.
+SEEDS = 100_000
 PRUNES = {"none": (False, False), "connectivity": (True, False), "intersection": (False, True), "both": (True, True)}
 
 
@@ -76,7 +78,30 @@ def wavefront(p: PatternGraph, space: CandidateSpace, order: str = "dynamic", pr
     return _wide(p, front)
 
 
-def match(h: HypergraphFrame, p: PatternGraph, order: str = "dynamic", prune: str = "both", engine: str = "auto", limit: int | None = None, initial_filter: bool = True, non_simple: bool = False) -> DataFrame:
+def seed_batches(p: PatternGraph, space: CandidateSpace, order: str, batch: int) -> list[CandidateSpace]:
+    """The space cut by its first query edge's candidates into parts of about `batch` seeds each, by hash; connections are left as they are."""
+    c = space.candidates
+    sizes = c.groupBy("q").agg(F.count("*").alias("n"))
+    first = sizes.orderBy(order_key(p, order, F.col("q"), F.col("n"), F.lit(0).cast("long"))).first()
+    parts = max(1, -(-first["n"] // batch))
+    part = F.pmod(F.xxhash64("f"), F.lit(parts))
+    return [CandidateSpace(c.where((F.col("q") != first["q"]) | (part == i)), space.connections) for i in range(parts)]
+
+
+def wavefront_in_batches(p: PatternGraph, space: CandidateSpace, order: str = "dynamic", prune: str = "both", non_simple: bool = False, batch: int = SEEDS, limit: int | None = None) -> DataFrame:
+    """The wavefront over one batch of seeds after the other, so that the frontier is bounded by what a batch grows to; no more batches are run once `limit` rows are found."""
+    out, have = None, 0
+    for part in seed_batches(p, space, order, batch):
+        found = wavefront(p, part, order, prune, non_simple)
+        out = found if out is None else out.unionByName(found)
+        if limit is not None:
+            have += found.limit(limit).count()
+            if have >= limit:
+                break
+    return out
+
+
+def match(h: HypergraphFrame, p: PatternGraph, order: str = "dynamic", prune: str = "both", engine: str = "auto", limit: int | None = None, initial_filter: bool = True, non_simple: bool = False, batch: int = SEEDS) -> DataFrame:
     """All embeddings of p in h, m0 .. mk-1. A pattern of several components is matched by component and combined where the parts are disjoint."""
     parts = p.components()
     if len(parts) > 1:
@@ -93,7 +118,8 @@ def match(h: HypergraphFrame, p: PatternGraph, order: str = "dynamic", prune: st
     if engine == "local":
         out = match_local(p, space, order, prune, non_simple, limit)
     else:
-        out = wavefront(p, space, order, prune, non_simple)
+        # with a limit the first batches are small, since few seeds may do
+        out = wavefront_in_batches(p, space, order, prune, non_simple, batch if limit is None else min(batch, max(64, limit)), limit)
     return out if limit is None else out.limit(limit)
 
 
@@ -153,7 +179,7 @@ def witness(h: HypergraphFrame, p: PatternGraph, found: DataFrame) -> DataFrame:
 
 
 def is_isomorphic(a: HypergraphFrame, b: HypergraphFrame, most: int = 62) -> bool:
-    """Equal sizes and an embedding of a in b; a has at most `most` edges."""
+    """Equal sizes and an embedding of a in b. ValueError if a has more than `most` edges (a bitmap has 62)."""
     left, right = a.stats().first(), b.stats().first()
     if left != right:
         return False

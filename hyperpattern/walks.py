@@ -16,12 +16,11 @@ def _draw(seed: int, query: Column, step: int, f: Column) -> Column:
 
 def sample(h: HypergraphFrame, size: int, n: int, seed: int = 0, max_vertices: int | None = None) -> DataFrame:
     """query, step, e: n walks of `size` distinct, connected edges; walks that get stuck or exceed max_vertices are left out."""
-    spark = h.edges.sparkSession
-    queries = spark.range(n).select(F.col("id").alias("query"))
     inc = held(h.edges.select("e", F.explode(F.transform("members", lambda x: x["v"])).alias("v")), "incidence")
-    ids = h.edges.select("e")
-    first = queries.crossJoin(ids).groupBy("query").agg(F.min_by("e", _draw(seed, F.col("query"), 0, F.col("e"))).alias("e"))
-    walk = held(first.select("query", F.lit(0).alias("step"), "e"), "walks")
+    # one pass over the edges, combined on the map side: a column for each walk holds its least draw
+    firsts = h.edges.agg(*[F.min_by("e", _draw(seed, F.lit(i).cast("long"), 0, F.col("e"))).alias(f"e{i}") for i in range(n)])
+    first = firsts.select(F.posexplode(F.array(*[f"e{i}" for i in range(n)])).alias("query", "e")).where("e is not null")
+    walk = held(first.select(F.col("query").cast("long").alias("query"), F.lit(0).alias("step"), "e"), "walks")
     for step in range(1, size):
         reach = walk.join(inc, "e").select("query", "v").distinct().join(inc, "v").select("query", "e").distinct()
         fresh = reach.join(walk.select("query", "e"), ["query", "e"], "left_anti")

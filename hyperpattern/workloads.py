@@ -7,14 +7,16 @@ import time
 from pyspark.sql import DataFrame, SparkSession
 
 from . import walks
-from .baselines import BASELINES
+from .baselines import BASELINES, INDEXES
 from .baselines.bipartite import transform
 from .baselines.profile import index
 from .candidates import build_space, prune_to_fixpoint
 from .carriers import NAMES, hypergraph
-from .measures import SCHEMA, effort, space_stats, timed
+from .localsearch import match_local
+from .measures import SCHEMA, effort, peak_bytes, space_stats, timed
 from .model import HypergraphFrame
-from .search import PRUNES, match
+from .plan import choose
+from .search import PRUNES, match, wavefront
 from .storage import held
 
 SIZES = (3, 6, 9, 12, 15)
@@ -30,14 +32,33 @@ def query_times(spark: SparkSession, sf_dir: str, names=("supply_region", "coact
     rows = []
     for name in names:
         h = hypergraph(spark, sf_dir, name).materialise()
+        given = {s: {INDEXES[s][0]: INDEXES[s][1](h)} for s in systems if s in INDEXES}  # indexes are no part of a query's time
         for size in sizes:
             for q, p in _queries(h, size, n, seed).items():
                 for system in systems:
-                    run = (lambda: match(h, p).count()) if system == "interleaved" else (lambda: BASELINES[system](h, p).count())  # noqa: B023
-                    rows.append((name, system, size, str(q), *timed(run, time_limit)))
+                    run = (lambda: match(h, p).count()) if system == "interleaved" else (lambda: BASELINES[system](h, p, **given.get(system, {})).count())  # noqa: B023
+                    seconds, solved, found, group = timed(spark, run, time_limit)
+                    rows.append((name, system, size, str(q), seconds, solved, found, peak_bytes(spark, group)))
     return spark.createDataFrame(rows, SCHEMA)
 
 
+def filter_shares(spark: SparkSession, sf_dir: str, names=("customer_parts", "basket_type"), size: int = 3, n: int = 2, seed: int = 0) -> DataFrame:
+    """Seconds of a query by stage: candidates and connections, initial filter, search; and the first two's share."""
+    rows = []
+    for name in names:
+        h = hypergraph(spark, sf_dir, name).materialise()
+        for q, p in _queries(h, size, n, seed).items():
+            t0 = time.monotonic()
+            space = build_space(p, h)
+            t1 = time.monotonic()
+            space = prune_to_fixpoint(p, space)
+            t2 = time.monotonic()
+            found = (match_local(p, space) if choose(space) == "local" else wavefront(p, space)).count()
+            t3 = time.monotonic()
+            rows.append((name, str(q), t1 - t0, t2 - t1, t3 - t2, (t2 - t0) / (t3 - t0), found))
+    return spark.createDataFrame(rows, "hypergraph string, query_id string, space_seconds double, filter_seconds double, search_seconds double, filter_share double, embeddings long")
+
+
 def candidate_spaces(spark: SparkSession, sf_dir: str, names=("basket_type", "supply_region", "coactive_10m"), sizes=(3, 6), n: int = 5, seed: int = 0) -> DataFrame:
     """Candidates and connections before and after the initial filter."""
     rows = []
