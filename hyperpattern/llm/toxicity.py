@@ -90,30 +90,38 @@ def weights(doc: np.ndarray, term: np.ndarray, n: np.ndarray, idf: np.ndarray, t
 
 @dataclass
 class InvertedIndex:
-    """All terms of all examples: postings by term, and largest[term, 0], the largest weight of a term."""
+    """All terms of all examples: by example (start, own_term, own_weight), which is what travels, and by term (pointer, example, weight, largest weight of a term), which each process makes of it."""
 
-    largest: np.ndarray
-    pointer: np.ndarray  # of a term into the postings
-    example: np.ndarray
-    weight: np.ndarray
+    start: np.ndarray  # of an example into own_term
+    own_term: np.ndarray
+    own_weight: np.ndarray
     label: np.ndarray
     vote: np.ndarray  # of an example, by how its label was sampled
     name: np.ndarray
-
-    @classmethod
-    def build(cls, doc, term, weight, label, vote, name, n_terms):
-        order = np.argsort(term, kind="stable")
-        term, doc, weight = term[order], doc[order].astype(np.int32), weight[order].astype(np.float32)
-        pointer = np.searchsorted(term, np.arange(n_terms + 1))
-        largest = np.zeros(n_terms)
-        np.maximum.at(largest, term, weight)
-        return cls(largest[:, None], pointer, doc, weight, label, vote, name)
-
-    def __getstate__(self):
-        return {k: v for k, v in self.__dict__.items() if k != "_forms"}
-
-    def forms(self) -> tuple:
-        """Made once in a process: (row of a common term or -1, dense rows, first posting, terms and weights of each example)."""
+    n_terms: int
+
+    def __post_init__(self):
+        """Postings are filled example by example, since no example has a term twice; sorting them would take several times their size."""
+        self.pointer = np.concatenate([[0], np.cumsum(np.bincount(self.own_term, minlength=self.n_terms))])
+        self.example = np.empty(len(self.own_term), np.int32)
+        self.weight = np.empty(len(self.own_term), np.float32)
+        self.largest = np.zeros((self.n_terms, 1), np.float32)
+        to = self.pointer[:-1].copy()
+        for e in range(len(self.label)):
+            t, w = self.of(e)
+            self.example[to[t]], self.weight[to[t]] = e, w
+            to[t] += 1
+            self.largest[t, 0] = np.maximum(self.largest[t, 0], w)
+
+    def of(self, e: int) -> tuple[np.ndarray, np.ndarray]:
+        own = slice(self.start[e], self.start[e + 1])
+        return self.own_term[own], self.own_weight[own]
+
+    def __reduce__(self):
+        return InvertedIndex, (self.start, self.own_term, self.own_weight, self.label, self.vote, self.name, self.n_terms)
+
+    def forms(self) -> tuple[np.ndarray, np.ndarray]:
+        """Made once in a process: (row of a common term or -1, dense rows)."""
         if not hasattr(self, "_forms"):
             n, lengths = len(self.label), np.diff(self.pointer)
             common = np.argsort(-lengths, kind="stable")[:DENSE]
@@ -124,15 +132,12 @@ class InvertedIndex:
             for i, t in enumerate(common):
                 own = slice(self.pointer[t], self.pointer[t + 1])
                 dense[i, self.example[own]] = self.weight[own]
-            order = np.argsort(self.example, kind="stable")
-            term = np.repeat(np.arange(len(lengths), dtype=np.int32), lengths)[order]
-            start = np.concatenate([[0], np.cumsum(np.bincount(self.example, minlength=n))])
-            self._forms = row, dense, start, term, self.weight[order]
+            self._forms = row, dense
         return self._forms
 
     def search(self, doc: np.ndarray, term: np.ndarray, weight: np.ndarray, k: int = NEIGHBOURS, skip: np.ndarray | None = None) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
         """(text, examples, cosines) of each text of the sorted triples: the k nearest with a cosine over 0, nearest first; ties go to the lower example. skip: an example to leave out for each text."""
-        row, dense, start, own_term, own_weight = self.forms()
+        row, dense = self.forms()
         n = len(self.label)
         query = np.zeros(len(row))
         edge = np.flatnonzero(np.diff(doc, prepend=-1, append=-2))
@@ -160,7 +165,7 @@ class InvertedIndex:
                 e = found[bound[i] : bound[i + 1]]
                 a, b = edge[first + i], edge[first + i + 1]
                 query[term[a:b]] = weight[a:b]
-                s = np.array([own_weight[start[x] : start[x + 1]] @ query[own_term[start[x] : start[x + 1]]] for x in e])
+                s = np.array([w @ query[t] for t, w in map(self.of, e)])
                 query[term[a:b]] = 0
                 order = np.lexsort((e, -s))[:k]
                 yield int(texts[i]), e[order], s[order]
@@ -299,27 +304,32 @@ def fit(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES) -> Model:
         return [batch.column(0), batch.column(1), *lists]
 
     rows = _batched(vectors, sample, ["name", "toxic", "text"], "name long, toxic int, term array<int>, weight array<float>")
-    rows = rows.groupBy("name", "toxic").agg(F.first("term").alias("term"), F.first("weight").alias("weight"), F.count("*").alias("n")).toArrow()  # at most 2 * examples
-    return _index(hashes, idf, rows.sort_by([("name", "ascending"), ("toxic", "ascending")]), {y: have[y] / n[y] for y in n})
+    rows = rows.groupBy("name", "toxic").agg(F.first("term").alias("term"), F.first("weight").alias("weight"), F.count("*").alias("n")).orderBy("name", "toxic")
+    return _index(hashes, idf, rows.toArrow(), {y: have[y] / n[y] for y in n})  # at most 2 * examples
 
 
 def _index(hashes: np.ndarray, idf: np.ndarray, rows: pa.Table, rate: dict[int, float]) -> Model:
-    rows = rows.combine_chunks()
     name, label, copies = (rows.column(c).to_numpy() for c in ("name", "toxic", "n"))
     lengths = pc.list_value_length(rows.column("term")).to_numpy()
     mass = copies * np.where(label == 1, rate[1], rate[0])
     blank = lengths == 0
     of = blank if blank.any() else ~blank
     base = float(mass[of & (label == 1)].sum() / mass[of].sum())
-    term, weight = (pc.list_flatten(rows.column(c)).to_numpy() for c in ("term", "weight"))
+    term, weight = (np.concatenate([c.flatten().to_numpy() for c in rows.column(c).chunks]) for c in ("term", "weight"))
+    del rows
+    pa.default_memory_pool().release_unused()
     some = np.flatnonzero(~blank)
-    doc = np.repeat(np.arange(len(some)), lengths[some])
-    index = InvertedIndex.build(doc, term, weight, label[some].astype(float), mass[some] / min(rate.values()), name[some], len(hashes))
+    start = np.concatenate([[0], np.cumsum(lengths[some])])
+    index = InvertedIndex(start, term, weight, label[some].astype(float), mass[some] / min(rate.values()), name[some], len(hashes))
     model = Model(hashes, idf, index, base, np.zeros(0), np.zeros(0))
     votes = np.full(len(some), base)
-    for i, e, s in index.search(doc, term, weight, skip=np.arange(len(some))):
-        if len(e):
-            votes[i] = model.vote(e, s)
+    for first in range(0, len(some), 8 * ROWS):
+        last = min(first + 8 * ROWS, len(some))
+        own = slice(start[first], start[last])
+        at = np.repeat(np.arange(last - first), np.diff(start[first : last + 1]))
+        for i, e, s in index.search(at, term[own], weight[own], skip=np.arange(first, last)):
+            if len(e):
+                votes[first + i] = model.vote(e, s)
     model.bounds, model.values = pooled(votes, index.label, index.vote)
     return model
 
