@@ -6,7 +6,7 @@ import logging
 
 from pyspark.sql import functions as F
 
-from .candidates import CandidateSpace
+from ..candidates import CandidateSpace
 
 log = logging.getLogger(__name__)
 

@@ -16,7 +16,7 @@ from .localsearch import match_local
 from .model import HypergraphFrame
 from .order import order_key
 from .pattern import PatternGraph
-from .plan import choose
+from .plans.choice import choose
 from .storage import held
 
 #: Candidates of the first query edge that the wavefront starts from at once.

@@ -15,7 +15,7 @@ from .carriers import NAMES, hypergraph
 from .localsearch import match_local
 from .measures import SCHEMA, effort, peak_bytes, space_stats, timed
 from .model import HypergraphFrame
-from .plan import choose
+from .plans.choice import choose
 from .search import PRUNES, match, wavefront
 from .storage import held
 
