@@ -331,6 +331,7 @@ def _index(hashes: np.ndarray, idf: np.ndarray, rows: pa.Table, rate: dict[int,
             if len(e):
                 votes[first + i] = model.vote(e, s)
     model.bounds, model.values = pooled(votes, index.label, index.vote)
+    index.__dict__.pop("_forms", None)  # executors make their own
     return model
 
 
