@@ -3,8 +3,9 @@
 A document is the set of its five-word shingles, weighted by 1 + ln(occurrences). Each shingle is a Poisson process of
 that rate; an arrival falls on a random register, and a register keeps its earliest arrival. A shingle stops as soon as
 its next arrival is later than everything its document's registers hold. Two registers agree with the probability
-Jaccard similarity of the weighted sets. Bands of registers propose pairs; a pair is a link if the exact Jaccard
-similarity of the two shingle sets reaches the threshold. Equal texts are one node throughout.
+Jaccard similarity of the weighted sets. Bands of registers, drawn with these weights and with weights of 1, propose
+pairs; a pair is a link if the exact Jaccard similarity of the two shingle sets reaches the threshold. Equal texts are
+one node throughout.
 """
 
 from __future__ import annotations
@@ -111,13 +112,26 @@ def _lists(values: np.ndarray, counts: np.ndarray) -> pa.ListArray:
 
 
 def signatures(frame: DataFrame, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """node, values (band keys) of node, text; no keys for a text without words."""
+    """node, values (band keys) of node, text; no keys for a text without words.
+
+    A text that repeats a shingle also has the keys of its shingles at weight 1, which for other texts are the same keys.
+    So any two texts share registers with the Jaccard similarity of their sets at least, whatever one of them repeats.
+    """
 
     def make(texts: pa.Array) -> pa.ListArray:
         h, doc, n = distinct_in_text(*shingles(texts))
         keys = band_keys(registers(h, doc, 1 + np.log(n), len(texts), bands * rows), bands, rows)
         has = np.bincount(doc, minlength=len(texts)) > 0
-        return _lists(keys[has].reshape(-1), np.where(has, bands, 0))
+        repeats = np.bincount(doc[n > 1], minlength=len(texts)) > 0
+        of_repeats = repeats[doc]
+        place = (np.cumsum(repeats) - 1)[doc[of_repeats]]
+        even = band_keys(registers(h[of_repeats], place, np.ones(len(place)), int(repeats.sum()), bands * rows), bands, rows)
+        both = np.concatenate([keys, keys], axis=1)
+        wanted = np.repeat(has[:, None], 2 * bands, axis=1)
+        wanted[:, bands:] = False
+        both[repeats, bands:] = even
+        wanted[repeats, bands:] = even != keys[repeats]
+        return _lists(both[wanted], wanted.sum(axis=1))
 
     return _over_texts(frame, "node long, values array<long>", make)
 

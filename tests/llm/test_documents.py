@@ -152,6 +152,18 @@ def test_registers_estimate_probability_jaccard():
     assert abs((reg[0] == reg[1]).mean() - true) < 4 * (true * (1 - true) / m) ** 0.5
 
 
+def test_a_text_that_repeats_itself_meets_its_near_copy(spark):
+    r = random.Random(11)
+    pairs = []
+    for i in range(0, 120, 2):
+        w = ["w%d" % r.randrange(10**6) for _ in range(200)]
+        pairs += [(i, " ".join(w)), (i + 1, " ".join(w[:100] + ["x%d" % i] + w[100:] + w[:36] * 19))]
+    got = {x["node"]: set(x["values"]) for x in near_dup.signatures(spark.createDataFrame(pairs, "node long, text string")).collect()}
+    assert all(got[i] & got[i + 1] for i in range(0, 120, 2))
+    assert all(len(got[i]) == near_dup.BANDS < len(got[i + 1]) for i in range(0, 120, 2))
+    assert near_dup.classes(spark.createDataFrame(pairs, "doc_id long, text string")).where("class_id % 2 = 1").count() == 0
+
+
 def test_null_ids_and_repeated_rows(spark):
     rows = spark.createDataFrame([(1, "a b c d e f"), (1, "a b c d e f"), (None, "a b c d e f"), (2, None)], "doc_id long, text string")
     assert sorted(((r["doc_id"], r["class_id"]) for r in near_dup.classes(rows).collect()), key=str) == [(1, 1), (1, 1), (2, 2), (None, None)]
