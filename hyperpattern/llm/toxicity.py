@@ -3,9 +3,10 @@
 Terms are words and the 4- to 7-byte beginnings of longer words. The labelled sample, of at most EXAMPLES rows of each
 label, gives the examples, with all their terms; document frequencies come from all documents, and terms tied to
 label 1 weigh EMPHASIS times as much as their TF-IDF, the others as it is; none is dropped. The examples are an
-inverted index. A document's terms that many examples have are multiplied as dense rows, its other terms add their
-postings, and all examples that rounding leaves near the last place are weighed again in double precision, so the
-neighbours are exact and every text that shares a term with an example has some. Their votes, weighted by cosine and by
+inverted index in blocks of similar examples, with each common term's largest weight in a block. A document's rare terms
+add their postings; its common terms are multiplied only in blocks whose bound reaches the best cosines found so far.
+All examples that rounding leaves near the last place are weighed again in double precision, so the neighbours are exact
+and every text that shares a term with an example has some. Their votes, weighted by cosine and by
 how the labels were sampled, are calibrated on the examples themselves, each scored without itself, by pooling adjacent
 violators.
 """
@@ -32,6 +33,8 @@ PREFIXES = (4, 5, 6, 7)
 CHI_SQUARE, LEAST_ROWS, LEAST_SHARE, RATIO, EMPHASIS = 20.0, 4, 1 / 250, 5, 4.0
 #: Terms that more than one in COMMON examples have, at most DENSE of them, are dense rows. Texts are searched ROWS at a time. ROUNDING: more than single precision can be off in a cosine.
 COMMON, DENSE, ROWS, ROUNDING = 64, 1024, 128, 1e-5
+#: Examples in a block of the index.
+BLOCK = 64
 
 
 def terms(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -90,7 +93,7 @@ def weights(doc: np.ndarray, term: np.ndarray, n: np.ndarray, idf: np.ndarray, t
 
 @dataclass
 class InvertedIndex:
-    """All terms of all examples: by example (start, own_term, own_weight), which is what travels, and by term (pointer, example, weight, largest weight of a term), which each process makes of it."""
+    """All terms of all examples: by example (start, own_term, own_weight), which is what travels, and by term (pointer, example, weight), which each process makes of it."""
 
     start: np.ndarray  # of an example into own_term
     own_term: np.ndarray
@@ -105,13 +108,11 @@ class InvertedIndex:
         self.pointer = np.concatenate([[0], np.cumsum(np.bincount(self.own_term, minlength=self.n_terms))])
         self.example = np.empty(len(self.own_term), np.int32)
         self.weight = np.empty(len(self.own_term), np.float32)
-        self.largest = np.zeros((self.n_terms, 1), np.float32)
         to = self.pointer[:-1].copy()
         for e in range(len(self.label)):
             t, w = self.of(e)
             self.example[to[t]], self.weight[to[t]] = e, w
             to[t] += 1
-            self.largest[t, 0] = np.maximum(self.largest[t, 0], w)
 
     def of(self, e: int) -> tuple[np.ndarray, np.ndarray]:
         own = slice(self.start[e], self.start[e + 1])
@@ -120,25 +121,47 @@ class InvertedIndex:
     def __reduce__(self):
         return InvertedIndex, (self.start, self.own_term, self.own_weight, self.label, self.vote, self.name, self.n_terms)
 
-    def forms(self) -> tuple[np.ndarray, np.ndarray]:
-        """Made once in a process: (row of a common term or -1, dense rows)."""
+    def forms(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Made once in a process: (row of a common term or -1, place of an example, example at a place, weights by block, common term and place in it, largest weights by common term and block)."""
         if not hasattr(self, "_forms"):
             n, lengths = len(self.label), np.diff(self.pointer)
             common = np.argsort(-lengths, kind="stable")[:DENSE]
             common = common[lengths[common] > n / COMMON]
             row = np.full(len(lengths), -1, np.int32)
             row[common] = np.arange(len(common))
-            dense = np.zeros((len(common), n), np.float32)
+            order = self._alike(lengths)
+            place = np.empty(n, np.int32)
+            place[order] = np.arange(n)
+            dense = np.zeros((-(-n // BLOCK), len(common), BLOCK), np.float32)
             for i, t in enumerate(common):
                 own = slice(self.pointer[t], self.pointer[t + 1])
-                dense[i, self.example[own]] = self.weight[own]
-            self._forms = row, dense
+                at = place[self.example[own]]
+                dense[at // BLOCK, i, at % BLOCK] = self.weight[own]
+            self._forms = row, place, order, dense, np.ascontiguousarray(dense.max(axis=2).T)
         return self._forms
 
-    def search(self, doc: np.ndarray, term: np.ndarray, weight: np.ndarray, k: int = NEIGHBOURS, skip: np.ndarray | None = None) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-        """(text, examples, cosines) of each text of the sorted triples: the k nearest with a cosine over 0, nearest first; ties go to the lower example. skip: an example to leave out for each text."""
-        row, dense = self.forms()
+    def _alike(self, lengths: np.ndarray) -> np.ndarray:
+        """The examples, ordered by the numbers of their three heaviest terms among those neither rare nor in most examples, so that blocks hold similar ones."""
         n = len(self.label)
+        fit = (lengths * COMMON >= n) & (lengths * 3 <= n) & (lengths > 1)
+        heavy = np.full((3, n), -1)
+        for e in range(n):
+            t, w = self.of(e)
+            t, w = t[fit[t]], w[fit[t]]
+            first = np.argsort(-w, kind="stable")[:3]
+            heavy[: len(first), e] = t[first]
+        return np.lexsort(heavy[::-1])
+
+    def search(self, doc: np.ndarray, term: np.ndarray, weight: np.ndarray, k: int = NEIGHBOURS, skip: np.ndarray | None = None) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+        """(text, examples, cosines) of each text of the sorted triples: the k nearest with a cosine over 0, nearest first; ties go to the lower example. skip: an example to leave out for each text.
+
+        A block's bound is its largest sum of rare terms' postings, and the common terms' largest weights in it. The blocks
+        with the highest bounds give a cosine that k examples reach; common terms are multiplied in blocks that may reach it.
+        """
+        row, place, order, dense, top = self.forms()
+        blocks = len(dense)
+        n = blocks * BLOCK  # places
+        ahead = min(blocks, -(-2 * k // BLOCK))
         query = np.zeros(len(row))
         edge = np.flatnonzero(np.diff(doc, prepend=-1, append=-2))
         for first in range(0, len(edge) - 1, ROWS):
@@ -146,29 +169,39 @@ class InvertedIndex:
             lo, hi = edge[first], edge[last]
             at = np.repeat(np.arange(last - first), np.diff(edge[first : last + 1]))
             own = row[term[lo:hi]]
-            left = np.zeros((last - first, len(dense)), np.float32)
+            left = np.zeros((last - first, len(top)), np.float32)
             left[at[own >= 0], own[own >= 0]] = weight[lo:hi][own >= 0]
-            score = left @ dense
+            score = np.empty((last - first, n), np.float32)
             for i in range(last - first):
                 t, w = term[edge[first + i] : edge[first + i + 1]], weight[edge[first + i] : edge[first + i + 1]]
                 t, w = t[row[t] < 0], w[row[t] < 0]
                 m = self.pointer[t + 1] - self.pointer[t]
-                place = np.arange(m.sum()) + np.repeat(self.pointer[t] - (np.cumsum(m) - m), m)
-                score[i] += np.bincount(self.example[place], np.repeat(w, m) * self.weight[place], n)
+                post = np.arange(m.sum()) + np.repeat(self.pointer[t] - (np.cumsum(m) - m), m)
+                score[i] = np.bincount(place[self.example[post]], np.repeat(w, m) * self.weight[post], n)
             texts = doc[edge[first:last]]
+            every = np.arange(last - first)
             if skip is not None:
-                score[np.arange(last - first), skip[texts]] = 0
+                score[every, place[skip[texts]]] = -np.inf
+            of_block = score.reshape(last - first, blocks, BLOCK)
+            bound = left @ top + of_block.max(axis=2)
+            best = np.argpartition(-bound, ahead - 1, axis=1)[:, :ahead]
+            sure = (of_block[every[:, None], best] + (left[:, None, None, :] @ dense[best])[:, :, 0]).reshape(last - first, -1)
+            reached = np.partition(sure, -k, axis=1)[:, -k] if sure.shape[1] >= k else np.zeros(last - first)
+            able = (bound > 0) & (bound >= reached[:, None] - 2 * ROUNDING)
+            for b in np.flatnonzero(able.any(axis=0)):
+                who = np.flatnonzero(able[:, b])
+                of_block[who, b] += left[who] @ dense[b]
             least = np.partition(score, n - k, axis=1)[:, n - k] - ROUNDING if n > k else np.zeros(last - first)
             near, found = np.nonzero((score >= least[:, None]) & (score > 0))
-            bound = np.searchsorted(near, np.arange(last - first + 1))
+            limits = np.searchsorted(near, np.arange(last - first + 1))
             for i in range(last - first):
-                e = found[bound[i] : bound[i + 1]]
+                e = order[found[limits[i] : limits[i + 1]]]
                 a, b = edge[first + i], edge[first + i + 1]
                 query[term[a:b]] = weight[a:b]
                 s = np.array([w @ query[t] for t, w in map(self.of, e)])
                 query[term[a:b]] = 0
-                order = np.lexsort((e, -s))[:k]
-                yield int(texts[i]), e[order], s[order]
+                by_rank = np.lexsort((e, -s))[:k]
+                yield int(texts[i]), e[by_rank], s[by_rank]
 
     def nearest(self, term: np.ndarray, weight: np.ndarray, k: int = NEIGHBOURS, skip: int = -1) -> tuple[np.ndarray, np.ndarray]:
         """(examples, cosines) of one text."""

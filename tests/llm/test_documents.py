@@ -375,8 +375,8 @@ def test_toxicity(spark, none):
     doc, term, n = toxicity.term_counts(pa.array([t for _, t in rows]), toxicity.Lookup(model.hashes))
     w = toxicity.weights(doc, term, n, model.idf, len(rows))
     dense = np.zeros((len(model.index.label), len(model.hashes)))
-    cells = np.repeat(np.arange(model.index.largest.size), np.diff(model.index.pointer))
-    dense[model.index.example, cells // model.index.largest.shape[1]] = model.index.weight
+    cells = np.repeat(np.arange(model.index.n_terms), np.diff(model.index.pointer))
+    dense[model.index.example, cells] = model.index.weight
     for i in range(0, 600, 37):
         own = doc == i
         e, s = model.index.nearest(term[own], w[own])
@@ -389,6 +389,27 @@ def test_toxicity(spark, none):
     assert toxicity.score_texts(none, model, ["doc_id"]).count() == 0
 
 
+def test_blocks_of_the_index_hide_no_neighbour():
+    r = np.random.default_rng(5)
+    for n in (1, 40, 700):
+        topic = r.integers(0, 12, n)
+        full = np.where(r.random((n, 400)) < np.where(np.arange(400) // 30 == topic[:, None], 0.5, 0.02), r.uniform(0.1, 3, (n, 400)), 0).astype(np.float32)
+        full[:, 0] += 0.01  # no example without terms
+        full[n // 2] = full[0]  # a tie
+        e, t = np.nonzero(full)
+        start = np.searchsorted(e, np.arange(n + 1))
+        index = toxicity.InvertedIndex(start, t.astype(np.int32), full[e, t], np.zeros(n), np.ones(n), np.arange(n), 400)
+        for skip in (None, np.arange(n)):
+            found = {i: (x, c) for i, x, c in index.search(e, t, full[e, t].astype(float), skip=skip)}
+            cosines = full.astype(float) @ full.T.astype(float)
+            if skip is not None:
+                np.fill_diagonal(cosines, 0)
+            for i in range(n):
+                expected = np.lexsort((np.arange(n), -np.round(cosines[i], 9)))[: toxicity.NEIGHBOURS]
+                expected = expected[cosines[i][expected] > 0]
+                assert np.allclose(found[i][1], cosines[i][expected]) and np.array_equal(np.sort(cosines[i][found[i][0]]), np.sort(cosines[i][expected]))
+
+
 def test_toxicity_searches_texts_without_label_words(spark):
     r = random.Random(6)
     word = lambda: "".join(r.choice("abcdefgh") for _ in range(5))
