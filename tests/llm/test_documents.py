@@ -452,3 +452,16 @@ def test_alike_lines_share_a_key(spark):
             rows += [(len(rows), line), (len(rows) + 1, " ".join(w))]
     keys = {x["node"]: set(x["keys"]) for x in line_dedup.band_keys(spark.createDataFrame(rows, "node long, line string")).collect()}
     assert sum(not keys[i] & keys[i + 1] for i in range(0, 4000, 2)) <= 3
+
+
+def test_the_driver_makes_no_postings_of_the_examples(spark):
+    """op4: the index's postings and dense rows, and the examples' votes, were made on the driver."""
+    docs = spark.createDataFrame([(i, f"word{i % 7} common text number{i} " + ("vile" if i % 3 == 0 else "mild")) for i in range(60)], "doc_id long, text string")
+    model = toxicity.fit(docs, docs.select("doc_id", (F.col("doc_id") % 3 == 0).cast("int").alias("toxic")))
+    assert len(model.bounds) and not {"pointer", "example", "weight", "_forms"} & set(model.index.__dict__)
+    votes = [model.vote(*model.index.nearest(*model.index.of(e), skip=e)) for e in range(len(model.index.label))]
+    bounds, values = toxicity.pooled(np.array(votes), model.index.label, model.index.vote)
+    assert np.allclose(bounds, model.bounds) and np.allclose(values, model.values)
+    scored = {r["doc_id"]: r["score"] for r in toxicity.score_texts(docs, model, ["doc_id"]).collect()}
+    direct = model.score(pa.array([r["text"] for r in docs.orderBy("doc_id").collect()]))[0]
+    assert np.allclose([scored[i] for i in range(60)], direct)
