@@ -410,6 +410,27 @@ def test_blocks_of_the_index_hide_no_neighbour():
                 assert np.allclose(found[i][1], cosines[i][expected]) and np.array_equal(np.sort(cosines[i][found[i][0]]), np.sort(cosines[i][expected]))
 
 
+def test_the_index_holds_each_term_once_and_sums_postings_in_parts(monkeypatch):
+    """op4: common terms were kept as postings beside their dense rows, and a text's postings were gathered all at once."""
+    monkeypatch.setattr(toxicity, "POSTINGS", 7)
+    rng = np.random.default_rng(11)
+    n, m = 300, 60
+    full = np.where(rng.random((n, m)) < np.linspace(0.5, 0.003, m), rng.random((n, m)), 0).astype(np.float32)
+    full[:, -1] = 1e-3
+    e, t = np.nonzero(full)
+    start = np.concatenate([[0], np.cumsum(np.bincount(e, minlength=n))])
+    index = toxicity.InvertedIndex(start, t.astype(np.int32), full[e, t], np.zeros(n), np.ones(n), np.arange(n), m)
+    row, *_, pointer, at_place, weight = index.forms()
+    assert 0 < pointer[-1] == len(at_place) == len(weight) == (row[t] < 0).sum() < len(t)
+    query = rng.random((9, m)) * (rng.random((9, m)) < 0.4)
+    query[:, -1] = 1
+    doc, term = np.nonzero(query)
+    for i, near, s in index.search(doc, term, query[doc, term]):
+        cosines = query[i] @ full.T.astype(float)
+        assert list(near) == list(np.lexsort((np.arange(n), -cosines))[: toxicity.NEIGHBOURS])
+        assert np.allclose(s, cosines[near])
+
+
 def test_toxicity_searches_texts_without_label_words(spark):
     r = random.Random(6)
     word = lambda: "".join(r.choice("abcdefgh") for _ in range(5))
