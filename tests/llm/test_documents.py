@@ -4,6 +4,7 @@ import collections
 import hashlib
 import random
 import re
+import sys
 import zlib
 
 import numpy as np
@@ -503,3 +504,17 @@ def test_line_shingles_stay_in_generated_code(spark):
         assert "transform(" not in df._jdf.queryExecution().optimizedPlan().toString()
     plan = keys._jdf.queryExecution().executedPlan().toString()
     assert plan.count("Exchange") == 1 and plan.count("partial_min") == 3  # lines are shuffled, once
+
+
+def test_the_driver_lets_its_tables_go_before_vectors_come(spark, monkeypatch):
+    """The pipeline's toxicity stage was stopped for the driver's memory."""
+    held, index = [], toxicity._index
+
+    def spy(*args):
+        held.extend(k for k, v in sys._getframe(1).f_locals.items() if isinstance(v, np.ndarray | pa.Table))
+        return index(*args)
+
+    monkeypatch.setattr(toxicity, "_index", spy)
+    docs = spark.createDataFrame([(i, f"word{i % 9} and {'bad' if i % 3 else 'good'} thing") for i in range(60)], "doc_id long, text string")
+    toxicity.fit(docs, spark.createDataFrame([(i, int(i % 3 > 0)) for i in range(60)], "doc_id long, toxic int"))
+    assert set(held) == {"hashes", "idf", "tied"}
